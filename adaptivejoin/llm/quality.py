@@ -25,13 +25,17 @@ WINDOW = 5
 
 @dataclass(frozen=True)
 class Rule:
-    """``100 * top`` must lie between ``low * bottom`` and ``high * bottom``: percentages, in integers."""
+    """``100 * top`` must lie between ``low * bottom`` and ``high * bottom``: percentages, in integers.
+
+    Texts of fewer than ``least_words`` words are not asked: in a few words a ratio says little.
+    """
 
     name: str
     top: str
     bottom: str
     low: int | None = None
     high: int | None = None
+    least_words: int = 0
 
 
 #: The rules every text must pass before the others are asked.
@@ -41,7 +45,7 @@ RULES = (
     Rule("word_length", "word_chars", "n_words", low=200, high=1500),
     Rule("symbols", "n_symbols", "n_words", high=30),
     Rule("duplicate_lines", "n_dup_lines", "n_lines", high=40),
-    Rule("stop_words", "n_stop_words", "n_words", low=1),
+    Rule("stop_words", "n_stop_words", "n_words", low=1, least_words=50),
 )
 
 
@@ -49,10 +53,12 @@ def compile_rules(rules: tuple[Rule, ...]) -> Column:
     """True where every rule holds."""
     verdict = F.lit(True)
     for r in rules:
+        held = F.lit(True)
         if r.low is not None:
-            verdict = verdict & (100 * F.col(r.top) >= r.low * F.col(r.bottom))
+            held = held & (100 * F.col(r.top) >= r.low * F.col(r.bottom))
         if r.high is not None:
-            verdict = verdict & (100 * F.col(r.top) <= r.high * F.col(r.bottom))
+            held = held & (100 * F.col(r.top) <= r.high * F.col(r.bottom))
+        verdict = verdict & (held | (F.col("n_words") < r.least_words) if r.least_words else held)
     return verdict
 
 
@@ -132,6 +138,6 @@ WITH base AS (
 )
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
   NOT base_failed AND 100 * word_chars >= 200 * n_words AND 100 * word_chars <= 1500 * n_words AND 100 * n_symbols <= 30 * n_words
-    AND 100 * n_dup_lines <= 40 * n_lines AND 100 * n_stop_words >= n_words AS kept
+    AND 100 * n_dup_lines <= 40 * n_lines AND (100 * n_stop_words >= n_words OR n_words < 50) AS kept
 FROM judged
 """.replace("STOPS", ", ".join(f"'{w}'" for w in STOP_WORDS))

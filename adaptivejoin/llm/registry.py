@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from adaptivejoin.llm import byte_pairs, mixing, quality
+from adaptivejoin.llm import byte_pairs, mixing, quality, simhash
 
 QUERIES = {
+    "op1_simhash": simhash.query,
     "op4_quality_rules": quality.query,
     "op8_byte_pairs": byte_pairs.query,
     "op10_mixing": mixing.query,
