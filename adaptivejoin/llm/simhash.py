@@ -279,7 +279,7 @@ def near_duplicates(docs: DataFrame, width: int = SHINGLE, most: int = MOST_BITS
     """(doc_id, fp, component_id) of every row; component_id is the smallest doc_id that links reach, its own included."""
     work = Workspace(docs.sparkSession, "simhash")
     of_doc = work.save(fingerprints(docs, width, seed), "fingerprints")
-    nodes = work.save(of_doc.groupBy("fp").agg(F.min("doc_id").alias("first")), "nodes")
+    nodes = of_doc.groupBy("fp").agg(F.min("doc_id").alias("first"))
     roots = components(links(nodes.select("fp"), work, most), work)
     of_node = nodes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
     of_root = of_node.groupBy("root").agg(F.min("first").alias("component_id"))
