@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from adaptivejoin.llm import byte_pairs, mixing, quality, simhash
+from adaptivejoin.llm import byte_pairs, language, mixing, quality, simhash
 
 QUERIES = {
     "op1_simhash": simhash.query,
     "op4_quality_rules": quality.query,
+    "op6_language_id": language.query,
     "op8_byte_pairs": byte_pairs.query,
     "op10_mixing": mixing.query,
 }
