@@ -2,17 +2,20 @@
 
 from __future__ import annotations
 
-from adaptivejoin.llm import byte_pairs, language, mixing, quality, simhash
+from adaptivejoin.llm import byte_pairs, language, licences, mixing, neighbours, quality, simhash
 
 QUERIES = {
     "op1_simhash": simhash.query,
+    "op3_licence_scan": licences.query,
     "op4_quality_rules": quality.query,
+    "op5_nearest_neighbours": neighbours.query,
     "op6_language_id": language.query,
     "op8_byte_pairs": byte_pairs.query,
     "op10_mixing": mixing.query,
 }
 
 ORACLES = {
+    "op3_licence_scan": licences.ORACLE,
     "op4_quality_rules": quality.ORACLE,
     "op10_mixing": mixing.ORACLE,
 }
