@@ -10,6 +10,7 @@ get equal verdicts; an empty table gives an empty result; further columns pass t
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
@@ -62,42 +63,67 @@ def compile_rules(rules: tuple[Rule, ...]) -> Column:
     return verdict
 
 
-def with_statistics(df: DataFrame, text_col: str = "text", width: int = WINDOW) -> DataFrame:
-    """``df`` with a struct column ``stats`` of all statistics.
+def let(value: Column, body: Callable[[Column], Column]) -> Column:
+    """``body(value)`` with the value computed once. A lambda's variable is bound to it, so that lambdas within the body read it
+    instead of building it anew for each element, wherever the optimizer moves the expression."""
+    return F.get(F.transform(F.array(value), body), F.lit(0))
+
 
-    Arrays that a later step reads element by element are columns of their own: inside a lambda they would be built anew for
-    each element. Repeated windows: hashes of the windows are sorted with their positions, equal neighbours mark repeats, and
-    the marked positions, sorted again, each add the words that the next one does not cover.
+def repeated_words(ws: Column, width: int = WINDOW) -> Column:
+    """How many words lie in a window of ``width`` words that occurs at least twice.
+
+    Hashes of the windows are sorted with their positions and equal neighbours mark repeats; the marked positions, sorted again,
+    each add the words that the next one does not cover. Most texts repeat no window and are not sorted.
     """
-    t = F.coalesce(F.col(f"`{text_col}`"), F.lit(""))
-    own = df.columns
-    df = df.select(F.struct(*[F.col(f"`{c}`") for c in own]).alias("row"), t.alias("t"), words(F.col(f"`{text_col}`")).alias("ws"))
-    n = F.size("ws")
+    n = F.size(ws)
     starts = F.when(n >= width, F.sequence(F.lit(0), n - width)).otherwise(F.array().cast("array<int>"))
-    df = df.withColumn("hashes", F.transform(starts, lambda i: F.xxhash64(*[F.get(F.col("ws"), i + k) for k in range(width)])))
-    # Most texts repeat no window and are not sorted.
-    repeats = F.size(F.array_distinct("hashes")) < F.size("hashes")
-    pairs = F.sort_array(F.transform("hashes", lambda h, i: F.struct(h.alias("h"), i.alias("i"))))
-    df = df.withColumn("pairs", F.when(repeats, pairs).otherwise(F.array().cast("array<struct<h:bigint,i:int>>"))).drop("hashes")
-    same = lambda p, i: (p["h"] == F.get(F.col("pairs"), i - 1)["h"]) | (p["h"] == F.get(F.col("pairs"), i + 1)["h"])
-    marked = F.transform(F.filter("pairs", same), lambda p: p["i"])
-    df = df.withColumn("marked", F.array_sort(marked)).drop("pairs")
-    gaps = F.transform("marked", lambda p, i: F.least(F.lit(width), F.coalesce(F.get(F.col("marked"), i + 1) - p, F.lit(width))))
-    repeated = F.aggregate(gaps, F.lit(0), lambda a, g: a + g).cast("long")
-    lines = F.filter(F.split("t", "\n", -1), lambda x: F.length(F.translate(x, SPACES, "")) > 0)
-    df = df.withColumn("lines", lines)
+    hashes = F.transform(starts, lambda i: F.xxhash64(*[F.get(ws, i + k) for k in range(width)]))
+
+    def marked(pairs: Column) -> Column:
+        same = F.filter(pairs, lambda p, i: (p["h"] == F.get(pairs, i - 1)["h"]) | (p["h"] == F.get(pairs, i + 1)["h"]))
+        return F.sort_array(F.transform(same, lambda p: p["i"]))
+
+    def covered(at: Column) -> Column:
+        gaps = F.transform(at, lambda p, i: F.least(F.lit(width), F.coalesce(F.get(at, i + 1) - p, F.lit(width))))
+        return F.aggregate(gaps, F.lit(0), lambda a, g: a + g)
+
+    def count(hs: Column) -> Column:
+        pairs = F.sort_array(F.transform(hs, lambda h, i: F.struct(h.alias("h"), i.alias("i"))))
+        return F.when(F.size(F.array_distinct(hs)) < F.size(hs), let(let(pairs, marked), covered)).otherwise(F.lit(0)).cast("long")
+
+    return let(hashes, count)
+
+
+def statistics(text: Column, width: int = WINDOW) -> Column:
+    """All statistics of a text as one struct."""
+    t = F.coalesce(text, F.lit(""))
     length = lambda x: F.length(x).cast("long")
-    stats = F.struct(
+    lines = F.filter(F.split(t, "\n", -1), lambda x: F.length(F.translate(x, SPACES, "")) > 0)
+
+    def of_words(ws: Column) -> Column:
+        return F.struct(
+            F.size(ws).cast("long").alias("n_words"),
+            repeated_words(ws, width).alias("n_repeat_words"),
+            F.size(F.filter(ws, lambda w: F.lower(w).isin(*STOP_WORDS))).cast("long").alias("n_stop_words"),
+        )
+
+    def of_lines(ls: Column) -> Column:
+        return F.struct(F.size(ls).cast("long").alias("n_lines"), (F.size(ls) - F.size(F.array_distinct(ls))).cast("long").alias("n_dup_lines"))
+
+    return F.struct(
         F.lit(1).cast("long").alias("one"),
-        n.cast("long").alias("n_words"),
-        length(F.translate("t", SPACES, "")).alias("word_chars"),
-        (length(F.col("t")) - length(F.translate("t", SYMBOLS, ""))).alias("n_symbols"),
-        F.size("lines").cast("long").alias("n_lines"),
-        (F.size("lines") - F.size(F.array_distinct("lines"))).cast("long").alias("n_dup_lines"),
-        repeated.alias("n_repeat_words"),
-        F.size(F.filter("ws", lambda w: F.lower(w).isin(*STOP_WORDS))).cast("long").alias("n_stop_words"),
+        let(words(text), of_words).alias("w"),
+        let(lines, of_lines).alias("l"),
+        length(F.translate(t, SPACES, "")).alias("word_chars"),
+        (length(t) - length(F.translate(t, SYMBOLS, ""))).alias("n_symbols"),
     )
-    return df.select("row", stats.alias("stats"))
+
+
+def with_statistics(df: DataFrame, text_col: str = "text", width: int = WINDOW) -> DataFrame:
+    """(row, stats): ``row`` holds the columns of ``df``, ``stats`` the statistics of its text."""
+    own = F.struct(*[F.col(f"`{c}`") for c in df.columns])
+    out = df.select(own.alias("row"), statistics(F.col(f"`{text_col}`"), width).alias("s"))
+    return out.select("row", F.struct("s.one", "s.w.*", "s.l.*", "s.word_chars", "s.n_symbols").alias("stats"))
 
 
 def apply_rules(df: DataFrame, rules: tuple[Rule, ...] = RULES, text_col: str = "text") -> DataFrame:
