@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from adaptivejoin.llm import byte_pairs, language, licences, mixing, neighbours, quality, simhash
+from adaptivejoin.llm import byte_pairs, language, licences, mixing, neighbours, personal, quality, simhash
 
 QUERIES = {
     "op1_simhash": simhash.query,
@@ -11,6 +11,7 @@ QUERIES = {
     "op5_nearest_neighbours": neighbours.query,
     "op6_language_id": language.query,
     "op8_byte_pairs": byte_pairs.query,
+    "op9_personal_data": personal.query,
     "op10_mixing": mixing.query,
 }
 
