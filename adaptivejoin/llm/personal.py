@@ -45,7 +45,8 @@ ROUNDS = 4
 #: A token is added if the belief in a kind exceeds this.
 LEAST_BELIEF = 0.9
 
-TOKEN = re.compile(r"[^\s]*[0-9@][^\s]*")
+#: A run without white space that holds a digit or an at sign; matched from its beginning only, without going back.
+TOKEN = re.compile(r"(?<!\S)[^\s0-9@]*+[0-9@]\S*")
 EDGE = "\"'()[]{}<>,;:.!?#*$%&|"
 HEX = re.compile(r"[0-9a-fA-F]{16,}\Z")
 KEYWORD = re.compile(r"(token|secret|key|password|passwd|pwd|mail|email|ip|host|addr|address|card|visa|phone|tel|mobile|call)\W*\Z", re.I)
