@@ -18,6 +18,7 @@ import json
 from array import array
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
@@ -168,18 +169,20 @@ def decode(df: DataFrame, vocabulary: str | None = None, ids_col: str = "ids") -
     return df.withColumn("decoded", text(F.col(f"`{ids_col}`")))
 
 
-def digests(df: DataFrame, vocabulary: str | None = None, text_col: str = "text") -> DataFrame:
-    """``df`` with n_tokens and digests of the ids (little-endian unsigned 32-bit) and of the decoded text."""
+def digests(df: DataFrame, vocabulary: str | None = None, text_col: str = "text", with_ids: bool = False) -> DataFrame:
+    """``df`` with n_tokens and digests of the ids (little-endian unsigned 32-bit) and of the decoded text; with the ids, if asked."""
     fields = [T.StructField("n_tokens", T.LongType()), T.StructField("ids_sha256", T.StringType()), T.StructField("decoded_sha256", T.StringType())]
+    if with_ids:
+        fields.append(T.StructField("ids", T.ArrayType(T.IntegerType())))
 
     def make(ids: array, own: Codec) -> tuple:
         import sys
 
-        decoded = own.decode(ids)
-        n = len(ids)
+        decoded, n, out = own.decode(ids), len(ids), array("I", ids)
         if sys.byteorder == "big":
-            ids.byteswap()
-        return n, hashlib.sha256(ids.tobytes()).hexdigest(), hashlib.sha256(decoded.encode()).hexdigest()
+            out.byteswap()
+        found = n, hashlib.sha256(out.tobytes()).hexdigest(), hashlib.sha256(decoded.encode()).hexdigest()
+        return (*found, np.frombuffer(ids, np.uint32).astype(np.int32)) if with_ids else found
 
     return _mapped(df, text_col, vocabulary or default_vocabulary(), fields, make)
 
