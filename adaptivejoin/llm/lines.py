@@ -7,13 +7,14 @@ are no passages: they neither match nor go.
 Words are ordered by rarity: by the logarithm of their count over the whole corpus, kept in a table of fixed size (words that
 share a cell share a count; any order that is the same everywhere gives exact results), then by hash. Two similar lines share a
 word among the first ``n - ceil(t n) + 1`` of each (prefix filter), so lines meet at these words. Words of count one meet
-nothing and are left out. At a shared word the lengths (length filter), the words left after it (positional filter) and two
-128-bit parity sketches, whose distance never exceeds that of the sets, discard almost all pairs that are not similar.
+nothing and are left out. At a shared word the lengths (length filter), the words left after it (positional filter) and parity
+sketches of 64 bits, whose distance never exceeds that of the sets, discard almost all pairs that are not similar.
 
 Lines with equal sets are one node. At each word a later line keeps only its ``FIRST`` earliest candidates, which are verified
 with all their words; a line that none of them settles and that has more is looked up again with all its candidates, so nothing
 is lost and a group of near copies yields a few pairs a line. Lists of more than a block of lines are dealt out by pairs of
-blocks. Removed lines go back to their documents by id.
+blocks. The lines themselves travel in the same shuffle, under keys of their sets, salted by document, so that a line with a
+third of all places is spread; what remains of them is which places are first. Removed lines go back to their documents by id.
 
 Defined results: a null text stays null; blank and short lines stay; rows without an id come last and count as one document, as
 do rows that repeat an id, which lose the same lines; a document whose lines all go keeps an empty text; whole texts are read in
@@ -37,9 +38,13 @@ NUM, DEN = 4, 5
 LEAST_WORDS = 5
 FIRST = 3
 BLOCK = 2048
-TABLE_BITS = 22
+TABLE_BITS = 24
 CHUNK = 1 << 16
 SALTS = 64
+SPREAD = 16
+REMEMBERED = 1_000_000
+#: Lists up to this size are compared at all offsets at once, across lists.
+SHORT = 48
 LAST_ID = (1 << 63) - 1
 
 
@@ -105,18 +110,16 @@ def ordered_sets(lines: tokens.Lines, rarity: np.ndarray) -> tuple[np.ndarray, n
 
 
 def describe(word: np.ndarray, line: np.ndarray, n_lines: int) -> tuple[np.ndarray, ...]:
-    """Of each line: first word, size, set hash, and the two halves of its parity sketch."""
+    """Of each line: first word, size, set hash, and a parity sketch of 64 bits."""
     size = np.bincount(line, minlength=n_lines)
     begin = np.cumsum(size) - size
     some = size > 0
-    out = np.zeros((3, n_lines), np.uint64)
+    out = np.zeros((2, n_lines), np.uint64)
     if some.any():
         at = begin[some]
         spread = tokens.mix(word + np.uint64(0x5851F42D4C957F2D))
         out[0, some] = tokens.mix(np.add.reduceat(spread, at) + size[some].astype(np.uint64))
-        bit, high = np.uint64(1) << (spread & np.uint64(63)), (spread >> np.uint64(6)) & np.uint64(1)
-        out[1, some] = np.bitwise_xor.reduceat(np.where(high == 0, bit, 0), at)
-        out[2, some] = np.bitwise_xor.reduceat(np.where(high == 1, bit, 0), at)
+        out[1, some] = np.bitwise_xor.reduceat(np.uint64(1) << (spread & np.uint64(63)), at)
     return begin, size, *out
 
 
@@ -124,39 +127,48 @@ def _order(id_col: str) -> Column:
     return F.coalesce(F.col(f"`{id_col}`").cast("long"), F.lit(LAST_ID)).alias("doc")
 
 
-NODE = "kind int, token long, set long, pos int, n int, s0 long, s1 long, doc long, line int"
+ROW = "key long, set long, doc long, at long, n int, s0 long"
 
 
-def _nodes(shared):
+def _nodes(shared, meets_only=False):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """kind 0: a line that takes part; kind 1: one of the words that it meets others at."""
+        """Rows with a negative key are the lines that take part (``at`` is a line's number); the others are words that a line meets
+        others at (``at`` is the number and the word's position in the line's order)."""
         rarity = shared.value
+        first_at: dict[int, tuple[int, int]] = {}
         for batch in batches:
             ids = batch.column(0).to_numpy()
             for lo, lines in tokens.pieces(batch.column(1)):
                 word, line, cls = ordered_sets(lines, rarity)
-                begin, size, h, s0, s1 = describe(word, line, len(lines.row))
+                begin, size, h, s0 = describe(word, line, len(lines.row))
                 of = np.flatnonzero(size >= LEAST_WORDS)
                 doc = ids[lo + lines.row]
-                none = np.zeros(len(of), np.int64)
-                yield _batch(0, none, h[of], none, size[of], s0[of], s1[of], doc[of], lines.number[of])
-                # Of a document's equal lines only the first meets others.
-                _, once = np.unique(np.stack([doc[of], h[of].view(np.int64)]), axis=1, return_index=True) if len(of) else (None, none)
+                if not meets_only:
+                    salt = (tokens.mix(doc[of].view(np.uint64)) % np.uint64(SPREAD)).astype(np.uint64)
+                    key = tokens.mix(h[of] + salt) | np.uint64(1 << 63)
+                    yield _batch(key, h[of], doc[of], lines.number[of].astype(np.int64) << 32, np.zeros(len(of)), np.zeros(len(of), np.uint64))
+                # Of equal lines only those before the earliest met so far go on: the rest are the same node.
                 meets = np.zeros(len(size), bool)
-                meets[of[once]] = True
+                for i, x, d, k in zip(of.tolist(), h[of].tolist(), doc[of].tolist(), lines.number[of].tolist(), strict=True):
+                    got = first_at.get(x)
+                    if got is None or (d, k) < got:
+                        if len(first_at) >= REMEMBERED:
+                            first_at.clear()
+                        first_at[x] = (d, k)
+                        meets[i] = True
                 pos = np.arange(len(word)) - begin[line]
                 prefix = size - (-(-NUM * size // DEN)) + 1
                 use = meets[line] & (pos < prefix[line]) & (cls > 1)
                 li = line[use]
-                yield _batch(1, word[use], h[li], pos[use], size[li], s0[li], s1[li], doc[li], lines.number[li])
+                # 32 bits of the word: words that share them only cost filters.
+                yield _batch(word[use] >> np.uint64(32), h[li], doc[li], (lines.number[li].astype(np.int64) << 32) | pos[use], size[li], s0[li])
 
     return run
 
 
-def _batch(kind, token, set_, pos, n, s0, s1, doc, line) -> pa.RecordBatch:
-    long = lambda x: pa.array(x.astype(np.uint64).view(np.int64) if x.dtype == np.uint64 else x.astype(np.int64))
-    small = lambda x: pa.array(x.astype(np.int32))
-    return pa.RecordBatch.from_arrays([pa.array(np.full(len(token), kind, np.int32)), long(token), long(set_), small(pos), small(n), long(s0), long(s1), long(doc), small(line)], names=["kind", "token", "set", "pos", "n", "s0", "s1", "doc", "line"])
+def _batch(key, set_, doc, at, n, s0) -> pa.RecordBatch:
+    long = lambda x: pa.array(x.view(np.int64) if x.dtype == np.uint64 else x.astype(np.int64))
+    return pa.RecordBatch.from_arrays([long(key), long(set_), long(doc), long(at), pa.array(n.astype(np.int32)), long(s0)], names=["key", "set", "doc", "at", "n", "s0"])
 
 
 def similar(a: dict, b: dict) -> np.ndarray:
@@ -164,142 +176,199 @@ def similar(a: dict, b: dict) -> np.ndarray:
     total = a["n"] + b["n"]
     need = needed(total)
     ok = (np.minimum(a["n"], b["n"]) * DEN >= np.maximum(a["n"], b["n"]) * NUM) & (np.minimum(a["n"] - a["pos"], b["n"] - b["pos"]) >= need)
-    return ok & (np.bitwise_count(a["s0"] ^ b["s0"]).astype(np.int64) + np.bitwise_count(a["s1"] ^ b["s1"]) <= total - 2 * need)
-
-
-def list_pairs(rows: dict, first: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(earlier, later, more) as places in one list that is sorted by line order: each later line's ``first`` earliest candidates,
-    and whether it has more. Lines that aren't asked for (``ask`` 0) are candidates only; first 0 means all."""
+    return ok & (np.bitwise_count(a["s0"] ^ b["s0"]) <= total - 2 * need)
+
+
+def _limited(i: np.ndarray, j: np.ndarray, first: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Of pairs (earlier, later) the ``first`` earliest of each later one, and whether it has more; first 0: all."""
+    order = np.lexsort((i, j))
+    i, j = i[order], j[order]
+    begin = np.flatnonzero(np.concatenate(([True], j[1:] != j[:-1]))) if len(j) else np.zeros(0, np.int64)
+    count = np.diff(np.append(begin, len(j)))
+    rank = np.arange(len(j)) - np.repeat(begin, count)
+    more = np.repeat(count > first, count) if first else np.zeros(len(j), bool)
+    keep = rank < first if first else np.ones(len(j), bool)
+    return i[keep], j[keep], more[keep]
+
+
+def short_pairs(rows: dict, size: np.ndarray, place: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs (earlier, later) of rows in many short lists at once: ``place`` of each row within its list of ``size``."""
+    out_i, out_j = [], []
+    i = np.arange(len(size))
+    for d in range(1, int(size.max(initial=0))):
+        i = i[place[i] + d < size[i]]
+        if not len(i):
+            break
+        j = i + d
+        asked = i[rows["ask"][j] > 0]
+        j = asked + d
+        ok = similar({k: rows[k][asked] for k in ("n", "pos", "s0")}, {k: rows[k][j] for k in ("n", "pos", "s0")})
+        out_i.append(asked[ok]), out_j.append(j[ok])
+    none = np.zeros(0, np.int64)
+    return (np.concatenate(out_i), np.concatenate(out_j)) if out_i else (none, none)
+
+
+def long_pairs(rows: dict, first: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """(earlier, later, more) within one list, a stretch of later rows at a time."""
     n = len(rows["n"])
-    out = []
-    step = max(1, (1 << 20) // max(n, 1))
+    step = max(1, (1 << 19) // max(n, 1))
     for lo in range(0, n, step):
         later = np.arange(lo, min(lo + step, n))
-        if "ask" in rows:
-            later = later[rows["ask"][later] > 0]
-        if not len(later):
-            continue
-        hi = int(later[-1])
-        ok = similar({k: v[None, :hi] for k, v in rows.items()}, {k: v[later, None] for k, v in rows.items()})
-        ok &= (np.arange(hi)[None] < later[:, None]) & (rows["set"][None, :hi] != rows["set"][later, None])
-        rank = np.cumsum(ok, axis=1)
-        take = ok & (rank <= first) if first else ok
-        i, j = np.nonzero(take)
-        more = rank[:, -1] > first if hi and first else np.zeros(len(later), bool)
-        out.append((j, later[i], more[i]))
-    if not out:
-        empty = np.zeros(0, np.int64)
-        return empty, empty, np.zeros(0, bool)
-    return tuple(np.concatenate(x) for x in zip(*out, strict=True))
-
-
-COLS = ("set", "pos", "n", "s0", "s1", "doc", "line", "ask")
-PAIR = "a long, b long, more boolean, token long, pos int, n int, s0 long, s1 long, doc long, line int, ask int"
+        later = later[rows["ask"][later] > 0]
+        if len(later):
+            hi = int(later[-1])
+            cols = ("n", "pos", "s0")
+            ok = similar({k: rows[k][None, :hi] for k in cols}, {k: rows[k][later, None] for k in cols}) & (np.arange(hi)[None] < later[:, None])
+            j, i = np.nonzero(ok)
+            yield _limited(i, later[j], first)
+
+
+#: kind 0: a pair of sets (a, b), more; 1: the first place of a set under its salt; 2: a later place; 3: a row of too long a list.
+FOUND = "kind int, a long, b long, doc long, at long, n int, ask int, s0 long, key long"
 
 
 def _meet(first: int, block: int):
-    """Pairs of the lists of a stream sorted by (token, doc, line); members of lists over a block are passed on."""
+    """Pairs of the lists of a stream sorted by (key, doc, at), and the places of sets."""
+
+    def found(kind, a, b=None, doc=None, at=None, n=None, ask=None, s0=None, key=None) -> pa.RecordBatch:
+        size = len(a)
+        long = lambda x: pa.array(np.zeros(size, np.int64) if x is None else x.view(np.int64) if x.dtype == np.uint64 else x.astype(np.int64))
+        small = lambda x: pa.array(np.zeros(size, np.int32) if x is None else x.astype(np.int32))
+        cols = [pa.array(np.full(size, kind, np.int32)), long(a), long(b), long(doc), long(at), small(n), small(ask), long(s0), long(key)]
+        return pa.RecordBatch.from_arrays(cols, names=FOUND_NAMES)
+
+    def passed(r: dict) -> pa.RecordBatch:
+        return found(3, r["set"], None, r["doc"], r["at"], r["n"], r["ask"], r["s0"], r["key"])
+
+    def places(r: dict, before: set) -> Iterator[pa.RecordBatch]:
+        """Rows of sets: the first of each (key, set), unless an earlier batch had it, and the others."""
+        order = np.lexsort((np.arange(len(r["key"])), r["set"], r["key"]))
+        k, x = r["key"][order], r["set"][order]
+        head = np.zeros(len(order), bool)
+        head[order[np.concatenate(([True], (k[1:] != k[:-1]) | (x[1:] != x[:-1])))]] = True
+        if before:
+            head &= ~np.isin(r["set"], np.fromiter(before, np.uint64, len(before))) | (r["key"] != r["key"][0])
+        for kind, use in ((1, head), (2, ~head)):
+            if use.any():
+                yield found(kind, r["set"][use], None, r["doc"][use], r["at"][use])
+
+    def closed(r: dict) -> Iterator[pa.RecordBatch]:
+        """Whole lists of words, in adjacent rows; a set stays once in each, at its first place."""
+        order = np.lexsort((np.arange(len(r["key"])), r["set"], r["key"]))
+        k, x = r["key"][order], r["set"][order]
+        keep = np.sort(order[np.concatenate(([True], (k[1:] != k[:-1]) | (x[1:] != x[:-1])))])
+        r = {c: v[keep] for c, v in r.items()}
+        begin = np.flatnonzero(np.concatenate(([True], r["key"][1:] != r["key"][:-1])))
+        count = np.diff(np.append(begin, len(r["key"])))
+        size = np.repeat(count, count)
+        place = np.arange(len(size)) - np.repeat(begin, count)
+        few = np.flatnonzero((size > 1) & (size <= SHORT))
+        if len(few):
+            part = {c: r[c][few] for c in ("n", "pos", "s0", "ask", "set")}
+            i, j, more = _limited(*short_pairs(part, size[few], place[few]), first)
+            if len(i):
+                yield found(0, part["set"][i], part["set"][j], n=more)
+        for g in np.flatnonzero(count > SHORT).tolist():
+            part = {c: v[begin[g] : begin[g] + count[g]] for c, v in r.items()}
+            if count[g] > block:
+                yield passed(part)
+                continue
+            for i, j, more in long_pairs(part, first):
+                if len(i):
+                    yield found(0, part["set"][i], part["set"][j], n=more)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[dict] = []
-        over = None
+        held, over, seen, seen_key = None, None, set(), None
         for batch in batches:
             rows = _arrays(batch)
-            if not len(rows["token"]):
+            sets = rows["key"] < 0
+            if sets.any():
+                part = {k: v[sets] for k, v in rows.items()}
+                yield from places(part, seen if part["key"][0] == seen_key else set())
+                last = part["key"] == part["key"][-1]
+                seen = (seen if part["key"][-1] == seen_key else set()) | set(part["set"][last].tolist())
+                seen_key = part["key"][-1]
+            rows = {k: v[~sets] for k, v in rows.items()} if sets.any() else rows
+            if not len(rows["key"]):
                 continue
-            if held:
-                rows = {k: np.concatenate([held[0][k], rows[k]]) for k in rows}
-            t = rows["token"]
-            cut = np.flatnonzero(t[1:] != t[:-1]) + 1
-            edges = np.concatenate(([0], cut))
-            tail = int(edges[-1])
-            yield from closed(rows, edges.tolist(), over)
-            over = over if over is not None and t[tail] == over else None
+            if over is not None:
+                same = rows["key"] == over
+                if same.any():
+                    yield passed({k: v[same] for k, v in rows.items()})
+                    rows = {k: v[~same] for k, v in rows.items()}
+                if len(rows["key"]):
+                    over = None
+                else:
+                    continue
+            if held is not None:
+                rows = {k: np.concatenate([held[k], rows[k]]) for k in rows}
+                held = None
+            tail = int(np.searchsorted(rows["key"], rows["key"][-1]))
+            if tail:
+                yield from closed({k: v[:tail] for k, v in rows.items()})
             rest = {k: v[tail:] for k, v in rows.items()}
-            if over is not None or len(rest["token"]) > block:
-                over = rest["token"][0]
+            if len(rest["key"]) > 4 * block:
+                over = rest["key"][0]
                 yield passed(rest)
-                held = []
             else:
-                held = [rest]
-        if held:
-            yield from closed(held[0], [0, len(held[0]["token"])], over)
-
-    def closed(rows, edges, over):
-        got: list[list] = [[], [], []]
-        t = rows["token"]
-        sizes = np.diff(edges)
-        for i in np.flatnonzero(sizes > 1).tolist():
-            a, b = edges[i], edges[i + 1]
-            part = {k: v[a:b] for k, v in rows.items()}
-            if b - a > block or (over is not None and t[a] == over):
-                yield passed(part)
-                continue
-            x, y, more = list_pairs({k: part[k] for k in (*COLS[:5], "ask")}, first)
-            if len(x):
-                for g, v in zip(got, (part["set"][x], part["set"][y], more), strict=True):
-                    g.append(v)
-        if len(sizes) and sizes[0] == 1 and over is not None and t[0] == over:
-            yield passed({k: v[:1] for k, v in rows.items()})
-        if got[0]:
-            a, b, more = (np.concatenate(g) for g in got)
-            z, zi = pa.array(np.zeros(len(a), np.int64)), pa.array(np.zeros(len(a), np.int32))
-            yield pa.RecordBatch.from_arrays([pa.array(a.view(np.int64)), pa.array(b.view(np.int64)), pa.array(more), z, zi, zi, z, z, z, zi, zi], names=PAIR_NAMES)
-
-    def passed(rows):
-        n = len(rows["token"])
-        zero = pa.array(np.full(n, -1, np.int64))
-        return pa.RecordBatch.from_arrays(
-            [pa.array(rows["set"].view(np.int64)), zero, pa.nulls(n, pa.bool_()), pa.array(rows["token"]), pa.array(rows["pos"].astype(np.int32)), pa.array(rows["n"].astype(np.int32)), pa.array(rows["s0"].view(np.int64)), pa.array(rows["s1"].view(np.int64)), pa.array(rows["doc"]), pa.array(rows["line"].astype(np.int32)), pa.array(rows["ask"].astype(np.int32))],
-            names=PAIR_NAMES,
-        )
+                held = rest
+        if held is not None:
+            yield from closed(held)
 
     return run
 
 
-PAIR_NAMES = [x.split()[0] for x in PAIR.split(", ")]
+FOUND_NAMES = [x.split()[0] for x in FOUND.split(", ")]
 
 
 def _arrays(batch: pa.RecordBatch) -> dict:
-    rows = {name: batch.column(name).to_numpy() for name in ("token", *COLS)}
-    for k in ("set", "s0", "s1"):
+    rows = {name: batch.column(name).to_numpy() for name in ("key", "set", "doc", "at", "s0")}
+    for k in ("set", "s0"):
         rows[k] = rows[k].view(np.uint64)
-    for k in ("pos", "n"):
-        rows[k] = rows[k].astype(np.int64)
+    rows["n"] = batch.column("n").to_numpy().astype(np.int64)
+    rows["pos"] = rows["at"] & 0xFFFFFFFF
+    rows["ask"] = batch.column("ask").to_numpy() if "ask" in batch.schema.names else np.ones(batch.num_rows, np.int32)
     return rows
 
 
-def _candidates(members: DataFrame, work: Workspace, first: int, block: int) -> DataFrame:
-    """(a, b, more) of members (token, set, pos, n, s0, s1, doc, line, ask)."""
-    n = int(members.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    dealt = members.select("token", *COLS).repartition(n, "token").sortWithinPartitions("token", "doc", "line")
-    found = work.save(dealt.mapInArrow(_meet(first, block), PAIR), "pairs")
-    return found.where("more is not null").select("a", "b", "more").unionAll(_overfull(found.where("more is null"), first, block))
+def _dealt(rows: DataFrame) -> DataFrame:
+    n = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return rows.repartition(n, "key").sortWithinPartitions("key", "doc", "at")
+
+
+def _pairs(found: DataFrame, first: int, block: int) -> DataFrame:
+    """(a, b, more) of distinct pairs, those of overlong lists included."""
+    few = found.where("kind = 0").select("a", "b", "n")
+    return few.unionAll(_overfull(found.where("kind = 3"), first, block)).groupBy("a", "b").agg((F.max("n") > 0).alias("more"))
 
 
 def _overfull(rows: DataFrame, first: int, block: int) -> DataFrame:
-    """Pairs of the lists over a block: members are dealt into blocks by hash, each pair of blocks is a list of its own."""
-    sizes = rows.groupBy("token").agg(F.count("*").alias("size"))
-    own = rows.join(sizes, "token").withColumn("of", F.ceil(F.col("size") / block).cast("int")).withColumn("own", F.pmod(F.xxhash64("a"), F.col("of")).cast("int"))
+    """Pairs of the lists over a block: sets are dealt into blocks by hash, each pair of blocks is a list of its own."""
+    once = rows.groupBy("key", "a").agg(F.min("doc").alias("doc"), F.min_by("at", "doc").alias("at"), F.max("n").alias("n"), F.max("ask").alias("ask"), F.max("s0").alias("s0"))
+    sizes = once.groupBy("key").agg(F.count("*").alias("size"))
+    own = once.join(sizes, "key").withColumn("of", F.ceil(F.col("size") / block).cast("int")).withColumn("own", F.pmod(F.xxhash64("a"), F.col("of")).cast("int"))
     other = F.explode(F.sequence(F.lit(0), F.col("of") - 1))
-    paired = own.withColumn("other", other).select(F.xxhash64("token", F.least("own", "other"), F.greatest("own", "other")).alias("token"), F.col("a").alias("set"), "pos", "n", "s0", "s1", "doc", "line", "ask")
-    n = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    dealt = paired.repartition(n, "token").sortWithinPartitions("token", "doc", "line")
-    return dealt.mapInArrow(_meet(first, 1 << 62), PAIR).select("a", "b", "more")
+    # Keys of words are not negative: the sign bit is cleared.
+    key = F.xxhash64("key", F.least("own", "other"), F.greatest("own", "other")).bitwiseAND(F.lit((1 << 63) - 1))
+    paired = own.withColumn("other", other).select(key.alias("key"), F.col("a").alias("set"), "doc", "at", "n", "s0", "ask")
+    return _dealt(paired).mapInArrow(_meet(first, 1 << 60), FOUND).where("kind = 0").select("a", "b", "n")
 
 
 def _verified(pairs: DataFrame, docs: DataFrame, work: Workspace, rarity) -> DataFrame:
-    """(a, b, same) of distinct pairs of sets, compared word by word. Only lines in pairs are read again and shuffled."""
-    sets = pairs.select(F.explode(F.array("a", "b")).alias("set"))
-    wanted = docs.sparkSession.sparkContext.broadcast(count_table(sets, lambda b: iter([tokens.mix(b.column(0).to_numpy().view(np.uint64))])))
+    """``pairs`` (a, b, doc_a, doc_b, ...) with ``same``, compared word by word. Only documents in pairs are cut into words again,
+    and only lines in pairs are shuffled; both are found in one table of fixed size, whose chance hits cost time only."""
+    wanted_of = pairs.select(F.explode(F.array("a", "b", F.col("doc_a").bitwiseXOR(F.lit(-1)), F.col("doc_b").bitwiseXOR(F.lit(-1)))).alias("h")).distinct()
+    wanted = docs.sparkSession.sparkContext.broadcast(count_table(wanted_of, lambda b: iter([tokens.mix(b.column(0).to_numpy().view(np.uint64))])))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         asked, own = wanted.value, rarity.value
+        hit = lambda h: asked[(tokens.mix(h) & np.uint64(len(asked) - 1)).astype(np.int64)] > 0
         for batch in batches:
-            for _, lines in tokens.pieces(batch.column(1)):
+            texts = batch.column(1).filter(pa.array(hit((batch.column(0).to_numpy() ^ -1).view(np.uint64))))
+            for _, lines in tokens.pieces(texts):
                 word, line, _ = ordered_sets(lines, own)
-                begin, size, h, _, _ = describe(word, line, len(lines.row))
-                of = np.flatnonzero((size >= LEAST_WORDS) & (asked[(tokens.mix(h) & np.uint64(len(asked) - 1)).astype(np.int64)] > 0))
+                begin, size, h, _ = describe(word, line, len(lines.row))
+                of = np.flatnonzero((size >= LEAST_WORDS) & hit(h))
                 _, once = np.unique(h[of], return_index=True)
                 of = of[once]
                 if len(of):
@@ -307,8 +376,9 @@ def _verified(pairs: DataFrame, docs: DataFrame, work: Workspace, rarity) -> Dat
                     lists = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(size[of]))).astype(np.int32)), pa.array(word[at].view(np.int64)))
                     yield pa.RecordBatch.from_arrays([pa.array(h[of].view(np.int64)), lists], names=["set", "words"])
 
-    words = docs.mapInArrow(run, "set long, words array<long>").dropDuplicates(["set"])
-    words = work.save(words.join(sets.distinct(), "set", "left_semi"), "words")
+    sets = pairs.select(F.explode(F.array("a", "b")).alias("set")).distinct()
+    words = docs.mapInArrow(run, "set long, words array<long>").join(sets, "set", "left_semi").dropDuplicates(["set"])
+    words = work.save(words, "words")
     left, right = (words.select(F.col("set").alias(c), F.col("words").alias(f"words_{c}")) for c in ("a", "b"))
     both = F.size(F.array_intersect("words_a", "words_b"))
     total = F.size("words_a") + F.size("words_b")
@@ -317,27 +387,35 @@ def _verified(pairs: DataFrame, docs: DataFrame, work: Workspace, rarity) -> Dat
 
 def removals(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", first: int = FIRST, block: int = BLOCK) -> DataFrame:
     """(doc, gone): of each document that loses lines, by id, their numbers from 0."""
-    work = Workspace(docs.sparkSession, "lines")
+    spark, work = docs.sparkSession, Workspace(docs.sparkSession, "lines")
     texts = docs.where(F.col(text_col).isNotNull()).select(_order(id_col), F.col(text_col).alias("text"))
-    rarity = docs.sparkSession.sparkContext.broadcast(count_table(texts.select("text"), lambda b: (p.word for _, p in tokens.pieces(b.column(0)))))
-    nodes = work.save(texts.mapInArrow(_nodes(rarity), NODE), "nodes")
-    lines = nodes.where("kind = 0").select("set", "doc", "line")
-    # Equal sets are one node, at the place of their first line.
-    same = ["n", "pos", "s0", "s1"]
-    members = nodes.where("kind = 1").groupBy("token", "set").agg(*[F.min(c).alias(c) for c in same], F.min("doc").alias("first_doc"), F.min_by("line", "doc").alias("line")).withColumnRenamed("first_doc", "doc").withColumn("ask", F.lit(1))
-    pairs = work.save(_candidates(members, work, first, block).groupBy("a", "b").agg(F.max("more").alias("more")), "candidates")
-    checked = work.save(_verified(pairs.select("a", "b"), texts, work, rarity), "checked")
+    rarity = spark.sparkContext.broadcast(count_table(texts.select("text"), lambda b: (p.word for _, p in tokens.pieces(b.column(0)))))
+    found = work.save(_dealt(texts.mapInArrow(_nodes(rarity), ROW)).mapInArrow(_meet(first, block), FOUND), "found")
+    place = F.shiftright("at", 32).cast("int").alias("line")
+    begins = found.where("kind = 1").select(F.col("a").alias("set"), "doc", place)
+    again = found.where("kind = 2").select("doc", place)
+    firsts = begins.groupBy("set").agg(F.count("*").alias("times"), F.min("doc").alias("first_doc"), F.min_by("line", "doc").alias("first_line"))
+
+    def in_order(pairs: DataFrame) -> DataFrame:
+        """Pairs with the documents of their sets."""
+        of = lambda c: firsts.select(F.col("set").alias(c), F.col("first_doc").alias(f"doc_{c}"))
+        return pairs.join(of("a"), "a").join(of("b"), "b")
+
+    pairs = work.save(in_order(_pairs(found, first, block)), "candidates")
+    checked = work.save(_verified(pairs, texts, work, rarity), "checked")
     matched = checked.where("same").select("b").distinct()
     left = pairs.where("more").select("b").distinct().join(matched, "b", "left_anti")
     if not left.isEmpty():
-        asked = members.drop("ask").join(left.select(F.col("b").alias("set"), F.lit(1).alias("ask")), "set", "left").withColumn("ask", F.coalesce("ask", F.lit(0)))
-        asked = asked.join(asked.where("ask = 1").select("token").distinct(), "token", "left_semi")
-        rest = work.save(_candidates(asked, work, 0, block).select("a", "b").distinct().join(checked.select("a", "b"), ["a", "b"], "left_anti"), "rest")
-        matched = matched.unionAll(_verified(rest, texts, work, rarity).where("same").select("b")).distinct()
-    # What may go: lines of sets that occur twice or match an earlier one.
-    sets = lines.groupBy("set").agg(F.count("*").alias("times"), F.min("doc").alias("first_doc"), F.min(F.struct("doc", "line")).alias("at"))
-    sets = sets.join(matched.select(F.col("b").alias("set"), F.lit(True).alias("matched")), "set", "left").where("times > 1 or matched").select(F.col("set").bitwiseXOR(F.lit(1)).alias("key"), F.col("at.doc").alias("first_doc"), F.col("at.line").alias("first_line"), "matched")
-    gone = lines.withColumn("key", F.col("set").bitwiseXOR(F.lit(1))).join(sets, "key").where("matched or doc != first_doc or line != first_line")
+        rows = texts.mapInArrow(_nodes(rarity, meets_only=True), ROW)
+        asked = rows.join(left.select(F.col("b").alias("set"), F.lit(1).alias("is_asked")), "set", "left").select("key", "set", "doc", "at", "n", "s0", F.coalesce("is_asked", F.lit(0)).alias("ask"))
+        asked = work.save(asked, "asked")
+        asked = asked.join(asked.where("ask = 1").select("key").distinct(), "key", "left_semi").select(*asked.columns)
+        rest = work.save(_dealt(asked).mapInArrow(_meet(0, block), FOUND), "rest")
+        rest = in_order(_pairs(rest, 0, block).join(checked.select("a", "b"), ["a", "b"], "left_anti"))
+        matched = matched.unionAll(_verified(work.save(rest, "rest-pairs"), texts, work, rarity).where("same").select("b")).distinct()
+    # What may go besides later places: first places under other salts, and sets that match an earlier one.
+    sets = firsts.join(matched.select(F.col("b").alias("set"), F.lit(True).alias("matched")), "set", "left").where("times > 1 or matched").select("set", "first_doc", "matched")
+    gone = again.unionAll(begins.join(sets, "set").where("matched or doc != first_doc").select("doc", "line"))
     return gone.groupBy("doc").agg(F.collect_set("line").alias("gone"))
 
 
