@@ -8,7 +8,7 @@ Words are ordered by rarity: by the logarithm of their count over the whole corp
 share a cell share a count; any order that is the same everywhere gives exact results), then by hash. Two similar lines share a
 word among the first ``n - ceil(t n) + 1`` of each (prefix filter), so lines meet at these words. Words of count one meet
 nothing and are left out. At a shared word the lengths (length filter), the words left after it (positional filter) and parity
-sketches of 64 bits, whose distance never exceeds that of the sets, discard almost all pairs that are not similar.
+sketches, whose distance never exceeds that of the sets, discard almost all pairs that are not similar.
 
 Lines with equal sets are one node. At each word a later line keeps only its ``FIRST`` earliest candidates, which are verified
 with all their words; a line that none of them settles and that has more is looked up again with all its candidates, so nothing
@@ -36,7 +36,7 @@ from adaptivejoin.llm.common import Workspace, table
 #: The similarity as a fraction, so that thresholds are integers.
 NUM, DEN = 4, 5
 LEAST_WORDS = 5
-FIRST = 3
+FIRST = 6
 BLOCK = 2048
 TABLE_BITS = 24
 CHUNK = 1 << 16
@@ -45,6 +45,8 @@ SPREAD = 16
 REMEMBERED = 1_000_000
 #: Lists up to this size are compared at all offsets at once, across lists.
 SHORT = 48
+#: Sets of more words have wider sketches: a narrow one would be full of differences.
+NARROW = 80
 LAST_ID = (1 << 63) - 1
 
 
@@ -110,27 +112,48 @@ def ordered_sets(lines: tokens.Lines, rarity: np.ndarray) -> tuple[np.ndarray, n
 
 
 def describe(word: np.ndarray, line: np.ndarray, n_lines: int) -> tuple[np.ndarray, ...]:
-    """Of each line: first word, size, set hash, and a parity sketch of 64 bits."""
+    """Of each line: first word, size, set hash, and a parity sketch: 64 bits, and 256 of a set of over ``NARROW`` words."""
     size = np.bincount(line, minlength=n_lines)
     begin = np.cumsum(size) - size
     some = size > 0
-    out = np.zeros((2, n_lines), np.uint64)
+    out = np.zeros((1, n_lines), np.uint64)
+    sketch = np.zeros((n_lines, 4), np.uint64)
     if some.any():
         at = begin[some]
         spread = tokens.mix(word + np.uint64(0x5851F42D4C957F2D))
         out[0, some] = tokens.mix(np.add.reduceat(spread, at) + size[some].astype(np.uint64))
-        out[1, some] = np.bitwise_xor.reduceat(np.uint64(1) << (spread & np.uint64(63)), at)
-    return begin, size, *out
+        bit = np.uint64(1) << (spread & np.uint64(63))
+        part = np.where(size[line] > NARROW, (spread >> np.uint64(6)) & np.uint64(3), 0)
+        sketch[some, 0] = np.bitwise_xor.reduceat(np.where(part == 0, bit, 0), at)
+        wide = size > NARROW
+        if wide.any():
+            long = wide[line]
+            ends = np.flatnonzero(np.diff(line[long], prepend=-1))
+            for k in (1, 2, 3):
+                sketch[wide, k] = np.bitwise_xor.reduceat(np.where(part[long] == k, bit[long], 0), ends)
+    return begin, size, out[0], sketch
 
 
 def _order(id_col: str) -> Column:
     return F.coalesce(F.col(f"`{id_col}`").cast("long"), F.lit(LAST_ID)).alias("doc")
 
 
-ROW = "key long, set long, doc long, at long, n int, s0 long"
+SKETCH = ("s0", "s1", "s2", "s3")
+ROW = "key long, set long, doc long, at long, n int, s0 long, s1 long, s2 long, s3 long"
 
 
-def _nodes(shared, meets_only=False):
+def _first_column(batch: pa.RecordBatch) -> Iterator[np.ndarray]:
+    yield tokens.mix(batch.column(0).to_numpy().view(np.uint64))
+
+
+def _in_table(cells: np.ndarray, x: np.ndarray) -> np.ndarray:
+    return cells[(tokens.mix(x) & np.uint64(len(cells) - 1)).astype(np.int64)] > 0
+
+
+def _nodes(shared, sets=None, keys=None):
+    """With ``sets`` or ``keys`` only the meeting words, of lines in the one table or of words in the other."""
+    meets_only = sets is not None or keys is not None
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Rows with a negative key are the lines that take part (``at`` is a line's number); the others are words that a line meets
         others at (``at`` is the number and the word's position in the line's order)."""
@@ -140,13 +163,13 @@ def _nodes(shared, meets_only=False):
             ids = batch.column(0).to_numpy()
             for lo, lines in tokens.pieces(batch.column(1)):
                 word, line, cls = ordered_sets(lines, rarity)
-                begin, size, h, s0 = describe(word, line, len(lines.row))
+                begin, size, h, sketch = describe(word, line, len(lines.row))
                 of = np.flatnonzero(size >= LEAST_WORDS)
                 doc = ids[lo + lines.row]
                 if not meets_only:
                     salt = (tokens.mix(doc[of].view(np.uint64)) % np.uint64(SPREAD)).astype(np.uint64)
                     key = tokens.mix(h[of] + salt) | np.uint64(1 << 63)
-                    yield _batch(key, h[of], doc[of], lines.number[of].astype(np.int64) << 32, np.zeros(len(of)), np.zeros(len(of), np.uint64))
+                    yield _batch(key, h[of], doc[of], lines.number[of].astype(np.int64) << 32, np.zeros(len(of)), np.zeros((len(of), 4), np.uint64))
                 # Of equal lines only those before the earliest met so far go on: the rest are the same node.
                 meets = np.zeros(len(size), bool)
                 for i, x, d, k in zip(of.tolist(), h[of].tolist(), doc[of].tolist(), lines.number[of].tolist(), strict=True):
@@ -158,17 +181,21 @@ def _nodes(shared, meets_only=False):
                         meets[i] = True
                 pos = np.arange(len(word)) - begin[line]
                 prefix = size - (-(-NUM * size // DEN)) + 1
+                if sets is not None:
+                    meets &= _in_table(sets.value, h)
                 use = meets[line] & (pos < prefix[line]) & (cls > 1)
+                if keys is not None:
+                    use[use] = _in_table(keys.value, word[use] >> np.uint64(32))
                 li = line[use]
                 # 32 bits of the word: words that share them only cost filters.
-                yield _batch(word[use] >> np.uint64(32), h[li], doc[li], (lines.number[li].astype(np.int64) << 32) | pos[use], size[li], s0[li])
+                yield _batch(word[use] >> np.uint64(32), h[li], doc[li], (lines.number[li].astype(np.int64) << 32) | pos[use], size[li], sketch[li])
 
     return run
 
 
-def _batch(key, set_, doc, at, n, s0) -> pa.RecordBatch:
+def _batch(key, set_, doc, at, n, sketch) -> pa.RecordBatch:
     long = lambda x: pa.array(x.view(np.int64) if x.dtype == np.uint64 else x.astype(np.int64))
-    return pa.RecordBatch.from_arrays([long(key), long(set_), long(doc), long(at), pa.array(n.astype(np.int32)), long(s0)], names=["key", "set", "doc", "at", "n", "s0"])
+    return pa.RecordBatch.from_arrays([long(key), long(set_), long(doc), long(at), pa.array(n.astype(np.int32)), *(long(np.ascontiguousarray(sketch[:, k])) for k in range(4))], names=["key", "set", "doc", "at", "n", *SKETCH])
 
 
 def similar(a: dict, b: dict) -> np.ndarray:
@@ -176,7 +203,15 @@ def similar(a: dict, b: dict) -> np.ndarray:
     total = a["n"] + b["n"]
     need = needed(total)
     ok = (np.minimum(a["n"], b["n"]) * DEN >= np.maximum(a["n"], b["n"]) * NUM) & (np.minimum(a["n"] - a["pos"], b["n"] - b["pos"]) >= need)
-    return ok & (np.bitwise_count(a["s0"] ^ b["s0"]) <= total - 2 * need)
+    apart = np.bitwise_count(a["s0"] ^ b["s0"]).astype(np.int64)
+    if a["wide"].any() and b["wide"].any():
+        for s in SKETCH[1:]:
+            apart += np.where(a["wide"] & b["wide"], np.bitwise_count(a[s] ^ b[s]), 0)
+    # A narrow and a wide sketch have only tokens of the first part in common places: their distance says nothing.
+    return ok & ((apart <= total - 2 * need) | (a["wide"] != b["wide"]))
+
+
+USED = ("n", "pos", "wide", *SKETCH)
 
 
 def _limited(i: np.ndarray, j: np.ndarray, first: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -202,7 +237,7 @@ def short_pairs(rows: dict, size: np.ndarray, place: np.ndarray) -> tuple[np.nda
         j = i + d
         asked = i[rows["ask"][j] > 0]
         j = asked + d
-        ok = similar({k: rows[k][asked] for k in ("n", "pos", "s0")}, {k: rows[k][j] for k in ("n", "pos", "s0")})
+        ok = similar({k: rows[k][asked] for k in USED}, {k: rows[k][j] for k in USED})
         out_i.append(asked[ok]), out_j.append(j[ok])
     none = np.zeros(0, np.int64)
     return (np.concatenate(out_i), np.concatenate(out_j)) if out_i else (none, none)
@@ -217,28 +252,28 @@ def long_pairs(rows: dict, first: int) -> Iterator[tuple[np.ndarray, np.ndarray,
         later = later[rows["ask"][later] > 0]
         if len(later):
             hi = int(later[-1])
-            cols = ("n", "pos", "s0")
+            cols = USED
             ok = similar({k: rows[k][None, :hi] for k in cols}, {k: rows[k][later, None] for k in cols}) & (np.arange(hi)[None] < later[:, None])
             j, i = np.nonzero(ok)
             yield _limited(i, later[j], first)
 
 
 #: kind 0: a pair of sets (a, b), more; 1: the first place of a set under its salt; 2: a later place; 3: a row of too long a list.
-FOUND = "kind int, a long, b long, doc long, at long, n int, ask int, s0 long, key long"
+FOUND = "kind int, a long, b long, doc long, at long, n int, ask int, key long, s0 long, s1 long, s2 long, s3 long"
 
 
 def _meet(first: int, block: int):
     """Pairs of the lists of a stream sorted by (key, doc, at), and the places of sets."""
 
-    def found(kind, a, b=None, doc=None, at=None, n=None, ask=None, s0=None, key=None) -> pa.RecordBatch:
+    def found(kind, a, b=None, doc=None, at=None, n=None, ask=None, key=None, sketch=(None,) * 4) -> pa.RecordBatch:
         size = len(a)
         long = lambda x: pa.array(np.zeros(size, np.int64) if x is None else x.view(np.int64) if x.dtype == np.uint64 else x.astype(np.int64))
         small = lambda x: pa.array(np.zeros(size, np.int32) if x is None else x.astype(np.int32))
-        cols = [pa.array(np.full(size, kind, np.int32)), long(a), long(b), long(doc), long(at), small(n), small(ask), long(s0), long(key)]
+        cols = [pa.array(np.full(size, kind, np.int32)), long(a), long(b), long(doc), long(at), small(n), small(ask), long(key), *(long(x) for x in sketch)]
         return pa.RecordBatch.from_arrays(cols, names=FOUND_NAMES)
 
     def passed(r: dict) -> pa.RecordBatch:
-        return found(3, r["set"], None, r["doc"], r["at"], r["n"], r["ask"], r["s0"], r["key"])
+        return found(3, r["set"], None, r["doc"], r["at"], r["n"], r["ask"], r["key"], [r[s] for s in SKETCH])
 
     def places(r: dict, before: set) -> Iterator[pa.RecordBatch]:
         """Rows of sets: the first of each (key, set), unless an earlier batch had it, and the others."""
@@ -264,7 +299,7 @@ def _meet(first: int, block: int):
         place = np.arange(len(size)) - np.repeat(begin, count)
         few = np.flatnonzero((size > 1) & (size <= SHORT))
         if len(few):
-            part = {c: r[c][few] for c in ("n", "pos", "s0", "ask", "set")}
+            part = {c: r[c][few] for c in (*USED, "ask", "set")}
             i, j, more = _limited(*short_pairs(part, size[few], place[few]), first)
             if len(i):
                 yield found(0, part["set"][i], part["set"][j], n=more)
@@ -322,11 +357,12 @@ FOUND_NAMES = [x.split()[0] for x in FOUND.split(", ")]
 
 
 def _arrays(batch: pa.RecordBatch) -> dict:
-    rows = {name: batch.column(name).to_numpy() for name in ("key", "set", "doc", "at", "s0")}
-    for k in ("set", "s0"):
+    rows = {name: batch.column(name).to_numpy() for name in ("key", "set", "doc", "at", *SKETCH)}
+    for k in ("set", *SKETCH):
         rows[k] = rows[k].view(np.uint64)
     rows["n"] = batch.column("n").to_numpy().astype(np.int64)
     rows["pos"] = rows["at"] & 0xFFFFFFFF
+    rows["wide"] = rows["n"] > NARROW
     rows["ask"] = batch.column("ask").to_numpy() if "ask" in batch.schema.names else np.ones(batch.num_rows, np.int32)
     return rows
 
@@ -344,13 +380,13 @@ def _pairs(found: DataFrame, first: int, block: int) -> DataFrame:
 
 def _overfull(rows: DataFrame, first: int, block: int) -> DataFrame:
     """Pairs of the lists over a block: sets are dealt into blocks by hash, each pair of blocks is a list of its own."""
-    once = rows.groupBy("key", "a").agg(F.min("doc").alias("doc"), F.min_by("at", "doc").alias("at"), F.max("n").alias("n"), F.max("ask").alias("ask"), F.max("s0").alias("s0"))
+    once = rows.groupBy("key", "a").agg(F.min("doc").alias("doc"), F.min_by("at", "doc").alias("at"), F.max("n").alias("n"), F.max("ask").alias("ask"), *[F.max(c).alias(c) for c in SKETCH])
     sizes = once.groupBy("key").agg(F.count("*").alias("size"))
     own = once.join(sizes, "key").withColumn("of", F.ceil(F.col("size") / block).cast("int")).withColumn("own", F.pmod(F.xxhash64("a"), F.col("of")).cast("int"))
     other = F.explode(F.sequence(F.lit(0), F.col("of") - 1))
     # Keys of words are not negative: the sign bit is cleared.
     key = F.xxhash64("key", F.least("own", "other"), F.greatest("own", "other")).bitwiseAND(F.lit((1 << 63) - 1))
-    paired = own.withColumn("other", other).select(key.alias("key"), F.col("a").alias("set"), "doc", "at", "n", "s0", "ask")
+    paired = own.withColumn("other", other).select(key.alias("key"), F.col("a").alias("set"), "doc", "at", "n", "ask", *SKETCH)
     return _dealt(paired).mapInArrow(_meet(first, 1 << 60), FOUND).where("kind = 0").select("a", "b", "n")
 
 
@@ -358,11 +394,11 @@ def _verified(pairs: DataFrame, docs: DataFrame, work: Workspace, rarity) -> Dat
     """``pairs`` (a, b, doc_a, doc_b, ...) with ``same``, compared word by word. Only documents in pairs are cut into words again,
     and only lines in pairs are shuffled; both are found in one table of fixed size, whose chance hits cost time only."""
     wanted_of = pairs.select(F.explode(F.array("a", "b", F.col("doc_a").bitwiseXOR(F.lit(-1)), F.col("doc_b").bitwiseXOR(F.lit(-1)))).alias("h")).distinct()
-    wanted = docs.sparkSession.sparkContext.broadcast(count_table(wanted_of, lambda b: iter([tokens.mix(b.column(0).to_numpy().view(np.uint64))])))
+    wanted = docs.sparkSession.sparkContext.broadcast(count_table(wanted_of, _first_column))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         asked, own = wanted.value, rarity.value
-        hit = lambda h: asked[(tokens.mix(h) & np.uint64(len(asked) - 1)).astype(np.int64)] > 0
+        hit = lambda h: _in_table(asked, h)
         for batch in batches:
             texts = batch.column(1).filter(pa.array(hit((batch.column(0).to_numpy() ^ -1).view(np.uint64))))
             for _, lines in tokens.pieces(texts):
@@ -406,11 +442,13 @@ def removals(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", fi
     matched = checked.where("same").select("b").distinct()
     left = pairs.where("more").select("b").distinct().join(matched, "b", "left_anti")
     if not left.isEmpty():
-        rows = texts.mapInArrow(_nodes(rarity, meets_only=True), ROW)
-        asked = rows.join(left.select(F.col("b").alias("set"), F.lit(1).alias("is_asked")), "set", "left").select("key", "set", "doc", "at", "n", "s0", F.coalesce("is_asked", F.lit(0)).alias("ask"))
-        asked = work.save(asked, "asked")
-        asked = asked.join(asked.where("ask = 1").select("key").distinct(), "key", "left_semi").select(*asked.columns)
-        rest = work.save(_dealt(asked).mapInArrow(_meet(0, block), FOUND), "rest")
+        # The lines are cut again, twice: for the words of the asked lines, then for all that meets them. Tables of fixed size
+        # hold both, so only these rows are shuffled.
+        asked_sets = spark.sparkContext.broadcast(count_table(left, _first_column))
+        keys = texts.mapInArrow(_nodes(rarity, sets=asked_sets), ROW).select("key")
+        asked_keys = spark.sparkContext.broadcast(count_table(keys, _first_column))
+        rows = texts.mapInArrow(_nodes(rarity, keys=asked_keys), ROW).join(left.select(F.col("b").alias("set"), F.lit(1).alias("ask")), "set", "left").withColumn("ask", F.coalesce("ask", F.lit(0)))
+        rest = work.save(_dealt(rows).mapInArrow(_meet(0, block), FOUND), "rest")
         rest = in_order(_pairs(rest, 0, block).join(checked.select("a", "b"), ["a", "b"], "left_anti"))
         matched = matched.unionAll(_verified(work.save(rest, "rest-pairs"), texts, work, rarity).where("same").select("b")).distinct()
     # What may go besides later places: first places under other salts, and sets that match an earlier one.
