@@ -38,11 +38,11 @@ NUM, DEN = 4, 5
 LEAST_WORDS = 5
 FIRST = 6
 BLOCK = 2048
-TABLE_BITS = 24
+TABLE_BITS = 23
 CHUNK = 1 << 16
 SALTS = 64
 SPREAD = 16
-REMEMBERED = 1_000_000
+REMEMBERED = 200_000
 #: Lists up to this size are compared at all offsets at once, across lists.
 SHORT = 48
 #: Sets of more words have wider sketches: a narrow one would be full of differences.
