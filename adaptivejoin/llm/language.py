@@ -38,6 +38,7 @@ SAMPLE_ROWS = 1000
 LEAST_SEEN = 4
 UNDETERMINED = "und"
 PIECE_BYTES = 1 << 19
+CONTEXTS_AT_ONCE = 1024
 PAD = 0
 
 
@@ -111,53 +112,60 @@ def build(langs: list[str], lang: np.ndarray, gram: np.ndarray, n: np.ndarray, l
     a, b, c, s = (symbol[p] for p in parts)
     contexts = [np.zeros(len(gram), np.int64), c, b * size + c, (a * size + b) * size + c]
     row = np.zeros((size, size, size), np.int32)  # row 0: the empty context
-    uniform = np.tile(members / 256, (1, len(langs), 1))
-    table, parent_of = [], None
-    base = 0
+    kept: list[tuple[np.ndarray, np.ndarray]] = []  # contexts and distributions of the shorter orders
+    bits, base = [], 0
     for order, ctx in enumerate(contexts):
         known, which = np.unique(ctx, return_inverse=True)
-        total = np.bincount(which, n)
-        often = (total >= least_seen) | (order == 0)
+        often = (np.bincount(which, n) >= least_seen) | (order == 0)
         known, place = known[often], np.cumsum(often) - 1
-        use = often[which]
-        counts = np.zeros((len(known), len(langs), size))
-        np.add.at(counts, (place[which[use]], lang[use], s[use]), n[use])
-        # The distribution of the next shorter context, for each context and language.
-        if order == 0:
-            lower = uniform
-        else:
-            shorter = (known % size**(order - 1)) if order > 1 else np.zeros(len(known), np.int64)
-            lower = parent_of(shorter, order - 1)
-        got = counts > 0
-        kinds, all_ = got.sum(2, keepdims=True), counts.sum(2, keepdims=True)
-        rest = np.where(got, 0, lower)
-        left = rest.sum(2, keepdims=True)
-        own = np.where(left > 0, counts / np.maximum(all_ + kinds, 1), counts / np.maximum(all_, 1))
-        escape = np.where(all_ > 0, kinds / np.maximum(all_ + kinds, 1), 1.0)
-        p = np.where(all_ > 0, own + escape * rest / np.maximum(left, 1e-300), lower)
+        use = np.flatnonzero(often[which])
+        use = use[np.argsort(which[use], kind="stable")]
+        at = place[which[use]]
         if order == 1:
             row[:, :, known] = base + np.arange(len(known), dtype=np.int32)
         elif order == 2:
             row[:, known // size, known % size] = base + np.arange(len(known), dtype=np.int32)
         elif order == 3:
             row.reshape(-1)[known] = base + np.arange(len(known), dtype=np.int32)
-        table.append((known, p))
         base += len(known)
-
-        def parent_of(ctx, order, table=table):
-            """Distributions of the longest kept suffixes of contexts of this order."""
-            for k in range(order, -1, -1):
-                known, p = table[k]
-                key = ctx % size**k
-                i = np.minimum(np.searchsorted(known, key), len(known) - 1)
-                hit = known[i] == key
-                out = p[i] if k == order else np.where(done[:, None, None], out, p[i])
-                done = hit if k == order else done | hit
-            return out
-
-    p = np.concatenate([p for _, p in table])
-    bits = -np.log2(p / members[None, None, :])
-    return Model(langs, symbol, row.reshape(-1), np.ascontiguousarray(bits.transpose(0, 2, 1).reshape(-1, len(langs)).astype(np.float32)))
+        parts = []
+        for lo in range(0, len(known), CONTEXTS_AT_ONCE):  # a few contexts at a time: the counts of all would be large
+            hi = min(lo + CONTEXTS_AT_ONCE, len(known))
+            mine = use[np.searchsorted(at, lo) : np.searchsorted(at, hi)]
+            counts = np.zeros((hi - lo, len(langs), size))
+            np.add.at(counts, (place[which[mine]] - lo, lang[mine], s[mine]), n[mine])
+            p = _predicted(counts, _shorter(known[lo:hi], order, size, kept) if order else np.tile(members / 256, (1, len(langs), 1)))
+            bits.append((-np.log2(p / members)).transpose(0, 2, 1).reshape(-1, len(langs)).astype(np.float32))
+            if order < ORDER:
+                parts.append(p)
+        kept.append((known, np.concatenate(parts) if parts else np.zeros((0, len(langs), size))))
+    return Model(langs, symbol, row.reshape(-1), np.concatenate(bits))
+
+
+def _predicted(counts: np.ndarray, lower: np.ndarray) -> np.ndarray:
+    """Distributions of contexts from counts (context, language, symbol) and those of their shorter contexts."""
+    got = counts > 0
+    kinds, total = got.sum(2, keepdims=True), counts.sum(2, keepdims=True)
+    rest = np.where(got, 0, lower)
+    left = rest.sum(2, keepdims=True)
+    own = np.where(left > 0, counts / np.maximum(total + kinds, 1), counts / np.maximum(total, 1))
+    escape = kinds / np.maximum(total + kinds, 1)
+    return np.where(total > 0, own + escape * rest / np.maximum(left, 1e-300), lower)
+
+
+def _shorter(known: np.ndarray, order: int, size: int, kept: list) -> np.ndarray:
+    """Distributions of the longest kept proper suffixes of contexts."""
+    out, done = None, np.zeros(len(known), bool)
+    for k in range(order - 1, -1, -1):
+        ctx, p = kept[k]
+        if not len(ctx):
+            continue
+        key = known % size**k
+        i = np.minimum(np.searchsorted(ctx, key), len(ctx) - 1)
+        hit = (ctx[i] == key) & ~done
+        out = np.where(hit[:, None, None], p[i], 0 if out is None else out)
+        done |= hit
+    return out
 
 
 def train(docs: DataFrame, sample_rows: int = SAMPLE_ROWS):

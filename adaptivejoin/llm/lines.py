@@ -24,6 +24,7 @@ pieces of about ``tokens.PIECE_BYTES`` or one text; an empty table gives an empt
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
@@ -36,13 +37,14 @@ from adaptivejoin.llm.common import Workspace, table
 #: The similarity as a fraction, so that thresholds are integers.
 NUM, DEN = 4, 5
 LEAST_WORDS = 5
-FIRST = 6
+FIRST = 2
 BLOCK = 2048
 TABLE_BITS = 23
 CHUNK = 1 << 16
 SALTS = 64
 SPREAD = 16
 REMEMBERED = 200_000
+ROWS_A_BATCH = 2500
 #: Lists up to this size are compared at all offsets at once, across lists.
 SHORT = 48
 #: Sets of more words have wider sketches: a narrow one would be full of differences.
@@ -421,9 +423,9 @@ def _verified(pairs: DataFrame, docs: DataFrame, work: Workspace, rarity) -> Dat
     return pairs.join(left, "a").join(right, "b").select("a", "b", (both * (NUM + DEN) >= NUM * total).alias("same"))
 
 
-def removals(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", first: int = FIRST, block: int = BLOCK) -> DataFrame:
-    """(doc, gone): of each document that loses lines, by id, their numbers from 0."""
-    spark, work = docs.sparkSession, Workspace(docs.sparkSession, "lines")
+def _decided(docs: DataFrame, work: Workspace, id_col: str, text_col: str, first: int, block: int) -> tuple[DataFrame, ...]:
+    """First places of sets by salt, later places, first places of sets, and the sets that match an earlier one; all of them saved."""
+    spark = docs.sparkSession
     texts = docs.where(F.col(text_col).isNotNull()).select(_order(id_col), F.col(text_col).alias("text"))
     rarity = spark.sparkContext.broadcast(count_table(texts.select("text"), lambda b: (p.word for _, p in tokens.pieces(b.column(0)))))
     found = work.save(_dealt(texts.mapInArrow(_nodes(rarity), ROW)).mapInArrow(_meet(first, block), FOUND), "found")
@@ -451,6 +453,26 @@ def removals(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", fi
         rest = work.save(_dealt(rows).mapInArrow(_meet(0, block), FOUND), "rest")
         rest = in_order(_pairs(rest, 0, block).join(checked.select("a", "b"), ["a", "b"], "left_anti"))
         matched = matched.unionAll(_verified(work.save(rest, "rest-pairs"), texts, work, rarity).where("same").select("b")).distinct()
+    return begins, again, firsts, work.save(matched, "matched")
+
+
+@contextmanager
+def _small_batches(spark, rows: int = ROWS_A_BATCH):
+    """Fewer texts at a time on their way to the workers while the steps in here run; afterwards the session is as before."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(name)
+    spark.conf.set(name, str(min(rows, int(before)) if int(before) > 0 else rows))
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before)
+
+
+def removals(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", first: int = FIRST, block: int = BLOCK) -> DataFrame:
+    """(doc, gone): of each document that loses lines, by id, their numbers from 0."""
+    spark, work = docs.sparkSession, Workspace(docs.sparkSession, "lines")
+    with _small_batches(spark):
+        begins, again, firsts, matched = _decided(docs, work, id_col, text_col, first, block)
     # What may go besides later places: first places under other salts, and sets that match an earlier one.
     sets = firsts.join(matched.select(F.col("b").alias("set"), F.lit(True).alias("matched")), "set", "left").where("times > 1 or matched").select("set", "first_doc", "matched")
     gone = again.unionAll(begins.join(sets, "set").where("matched or doc != first_doc").select("doc", "line"))
