@@ -69,12 +69,12 @@ class LaneRouter:
     def _miss(self, key, size, count, rent, buy, use_mem, use_disk, priority) -> str:
         if self.options.first_ships and count == 1:
             return SHIP
-        eager = self.options.first_ships and buy <= rent
+        eager = self.options.first_ships and buy <= rent and rent > use_mem
         if not eager and (rent <= use_mem or count * (rent - use_mem) <= buy):
             return SHIP
         if self.cache.admit(key, size, priority):
             return FETCH_MEM
-        if not eager and (rent <= use_disk or count * (rent - use_disk) <= buy):
+        if (not eager or rent <= use_disk) and (rent <= use_disk or count * (rent - use_disk) <= buy):
             return SHIP
         if size <= self.cache.disk.budget and self.cache.to_disk(key, size, priority):
             return FETCH_DISK

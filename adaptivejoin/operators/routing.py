@@ -51,7 +51,7 @@ def threshold(rent: Column, buy: Column, use: Column, first_ships: bool = True)
     by_cost = F.when(rent <= use, F.lit(NEVER)).otherwise(F.floor(buy / gap).cast("long"))
     if not first_ships:
         return by_cost
-    return F.when(buy <= rent, F.lit(1)).otherwise(F.greatest(by_cost, F.lit(1))).cast("long")
+    return F.when(rent <= use, F.lit(NEVER)).when(buy <= rent, F.lit(1)).otherwise(F.greatest(by_cost, F.lit(1))).cast("long")
 
 
 def ski_route(probe: DataFrame, access: Access, rent: Column, buy: Column, use: Column, first_ships: bool = True, epoch: tuple[str, ...] = ()) -> DataFrame:

@@ -54,7 +54,7 @@ def costs(p: CostProfile, value_bytes: str = "value_bytes") -> dict[str, str]:
 
 def threshold(r: str, b: str, m: str, first_ships: bool = True) -> str:
     by = f"CASE WHEN {r} <= {m} THEN {(1 << 62) - 1} ELSE {b} // ({r} - {m}) END"
-    return f"CASE WHEN {b} <= {r} THEN 1 ELSE greatest({by}, 1) END" if first_ships else by
+    return f"CASE WHEN {r} > {m} AND {b} <= {r} THEN 1 ELSE greatest({by}, 1) END" if first_ships else by
 
 
 STORE_BYTES = "CAST(2 * octet_length(encode(p_name)) * (1 + p_size) AS BIGINT)"
