@@ -49,6 +49,8 @@ ROWS_A_BATCH = 2500
 SHORT = 48
 #: Sets of more words have wider sketches: a narrow one would be full of differences.
 NARROW = 80
+#: Sets of at most so many words have four sketches instead: in a large group of near copies a chance collision in one is common.
+SMALL = 40
 LAST_ID = (1 << 63) - 1
 
 
@@ -114,7 +116,8 @@ def ordered_sets(lines: tokens.Lines, rarity: np.ndarray) -> tuple[np.ndarray, n
 
 
 def describe(word: np.ndarray, line: np.ndarray, n_lines: int) -> tuple[np.ndarray, ...]:
-    """Of each line: first word, size, set hash, and a parity sketch: 64 bits, and 256 of a set of over ``NARROW`` words."""
+    """Of each line: first word, size, set hash, and parity sketches: of 64 bits, one of 256 for a set of
+    over ``NARROW`` words, four independent ones for a set of up to ``SMALL``."""
     size = np.bincount(line, minlength=n_lines)
     begin = np.cumsum(size) - size
     some = size > 0
@@ -127,6 +130,12 @@ def describe(word: np.ndarray, line: np.ndarray, n_lines: int) -> tuple[np.ndarr
         bit = np.uint64(1) << (spread & np.uint64(63))
         part = np.where(size[line] > NARROW, (spread >> np.uint64(6)) & np.uint64(3), 0)
         sketch[some, 0] = np.bitwise_xor.reduceat(np.where(part == 0, bit, 0), at)
+        few = some & (size <= SMALL)
+        if few.any():
+            small = few[line]
+            starts = np.flatnonzero(np.diff(line[small], prepend=-1))
+            for k in (1, 2, 3):
+                sketch[few, k] = np.bitwise_xor.reduceat(np.uint64(1) << ((spread[small] >> np.uint64(8 * k)) & np.uint64(63)), starts)
         wide = size > NARROW
         if wide.any():
             long = wide[line]
@@ -205,12 +214,15 @@ def similar(a: dict, b: dict) -> np.ndarray:
     total = a["n"] + b["n"]
     need = needed(total)
     ok = (np.minimum(a["n"], b["n"]) * DEN >= np.maximum(a["n"], b["n"]) * NUM) & (np.minimum(a["n"] - a["pos"], b["n"] - b["pos"]) >= need)
+    most = total - 2 * need
     apart = np.bitwise_count(a["s0"] ^ b["s0"]).astype(np.int64)
-    if a["wide"].any() and b["wide"].any():
-        for s in SKETCH[1:]:
-            apart += np.where(a["wide"] & b["wide"], np.bitwise_count(a[s] ^ b[s]), 0)
+    small, wide = (a["n"] <= SMALL) & (b["n"] <= SMALL), a["wide"] & b["wide"]
+    for s in SKETCH[1:]:
+        further = np.bitwise_count(a[s] ^ b[s])
+        ok &= ~small | (further <= most)
+        apart += np.where(wide, further, 0)
     # A narrow and a wide sketch have only tokens of the first part in common places: their distance says nothing.
-    return ok & ((apart <= total - 2 * need) | (a["wide"] != b["wide"]))
+    return ok & ((apart <= most) | (a["wide"] != b["wide"]))
 
 
 USED = ("n", "pos", "wide", *SKETCH)
