@@ -48,7 +48,7 @@ ROWS_A_BATCH = 2500
 #: Lists up to this size are compared at all offsets at once, across lists.
 SHORT = 48
 #: Sets of more words have wider sketches: a narrow one would be full of differences.
-NARROW = 80
+NARROW = 60
 #: Sets of at most so many words have four sketches instead: in a large group of near copies a chance collision in one is common.
 SMALL = 40
 LAST_ID = (1 << 63) - 1
@@ -116,8 +116,8 @@ def ordered_sets(lines: tokens.Lines, rarity: np.ndarray) -> tuple[np.ndarray, n
 
 
 def describe(word: np.ndarray, line: np.ndarray, n_lines: int) -> tuple[np.ndarray, ...]:
-    """Of each line: first word, size, set hash, and parity sketches: of 64 bits, one of 256 for a set of
-    over ``NARROW`` words, four independent ones for a set of up to ``SMALL``."""
+    """Of each line: first word, size, set hash, and parity sketches: one of 64 bits, and in the other
+    places one of 192 for a set of over ``NARROW`` words, three more of 64 for a set of up to ``SMALL``."""
     size = np.bincount(line, minlength=n_lines)
     begin = np.cumsum(size) - size
     some = size > 0
@@ -128,8 +128,7 @@ def describe(word: np.ndarray, line: np.ndarray, n_lines: int) -> tuple[np.ndarr
         spread = tokens.mix(word + np.uint64(0x5851F42D4C957F2D))
         out[0, some] = tokens.mix(np.add.reduceat(spread, at) + size[some].astype(np.uint64))
         bit = np.uint64(1) << (spread & np.uint64(63))
-        part = np.where(size[line] > NARROW, (spread >> np.uint64(6)) & np.uint64(3), 0)
-        sketch[some, 0] = np.bitwise_xor.reduceat(np.where(part == 0, bit, 0), at)
+        sketch[some, 0] = np.bitwise_xor.reduceat(bit, at)
         few = some & (size <= SMALL)
         if few.any():
             small = few[line]
@@ -139,9 +138,9 @@ def describe(word: np.ndarray, line: np.ndarray, n_lines: int) -> tuple[np.ndarr
         wide = size > NARROW
         if wide.any():
             long = wide[line]
-            ends = np.flatnonzero(np.diff(line[long], prepend=-1))
+            starts, part = np.flatnonzero(np.diff(line[long], prepend=-1)), (spread[long] >> np.uint64(6)) % np.uint64(3) + np.uint64(1)
             for k in (1, 2, 3):
-                sketch[wide, k] = np.bitwise_xor.reduceat(np.where(part[long] == k, bit[long], 0), ends)
+                sketch[wide, k] = np.bitwise_xor.reduceat(np.where(part == k, bit[long], 0), starts)
     return begin, size, out[0], sketch
 
 
@@ -215,14 +214,14 @@ def similar(a: dict, b: dict) -> np.ndarray:
     need = needed(total)
     ok = (np.minimum(a["n"], b["n"]) * DEN >= np.maximum(a["n"], b["n"]) * NUM) & (np.minimum(a["n"] - a["pos"], b["n"] - b["pos"]) >= need)
     most = total - 2 * need
-    apart = np.bitwise_count(a["s0"] ^ b["s0"]).astype(np.int64)
+    ok &= np.bitwise_count(a["s0"] ^ b["s0"]) <= most
     small, wide = (a["n"] <= SMALL) & (b["n"] <= SMALL), a["wide"] & b["wide"]
+    apart = 0
     for s in SKETCH[1:]:
-        further = np.bitwise_count(a[s] ^ b[s])
+        further = np.bitwise_count(a[s] ^ b[s]).astype(np.int64)
         ok &= ~small | (further <= most)
-        apart += np.where(wide, further, 0)
-    # A narrow and a wide sketch have only tokens of the first part in common places: their distance says nothing.
-    return ok & ((apart <= most) | (a["wide"] != b["wide"]))
+        apart = apart + further
+    return ok & (~wide | (apart <= most))
 
 
 USED = ("n", "pos", "wide", *SKETCH)

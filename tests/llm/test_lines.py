@@ -60,6 +60,12 @@ def test_sketch_never_exceeds_the_difference():
         _, size, _, s0 = lines.describe(word, line, 2)
         assert size.tolist() == [len(set(a)), len(set(b))]
         assert np.bitwise_count(s0[0] ^ s0[1]).max() <= len(set(a) ^ set(b))
+    for extra in (0, 90):  # the three parts of a wide sketch together
+        a, b = ({str(rng.randint(0, 400)) for _ in range(70 + extra)} for _ in range(2))
+        p = next(iter(tokens.pieces(pa.array([" ".join(a), " ".join(b)]))))[1]
+        word, line, _ = lines.ordered_sets(p, np.zeros(1 << 16, np.uint8))
+        s0 = lines.describe(word, line, 2)[3]
+        assert np.bitwise_count(s0[0, 1:] ^ s0[1, 1:]).sum() <= len(a ^ b) and np.bitwise_count(s0[0, 0] ^ s0[1, 0]) <= len(a ^ b)
 
 
 def test_query_matches_brute_force(spark, sf_dir):
