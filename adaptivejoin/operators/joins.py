@@ -120,12 +120,25 @@ class Stage:
     use: int = 20
 
 
-def chain_join(probe: DataFrame, stages: list[Stage], lanes: int, by: Column, seq: tuple[str, ...]) -> DataFrame:
-    """Left-deep: each stage routes and joins the rows of the one before, with counts of its own. Rows keep their lanes throughout."""
+def estimated_bytes(df: DataFrame) -> int:
+    """The planner's estimate of a relation's size, from file sizes and column types; no job runs."""
+    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+
+
+#: A stored side under this estimate goes to every lane at once: each would buy all of it after a few accesses.
+SMALL_BYTES = 1 << 20
+
+
+def chain_join(probe: DataFrame, stages: list[Stage], lanes: int, by: Column, seq: tuple[str, ...], small: int = SMALL_BYTES) -> DataFrame:
+    """Left-deep: each stage routes and joins the rows of the one before, with counts of its own. Rows keep their lanes throughout;
+    a stage whose stored side is small needs no routing and no exchange."""
     from adaptivejoin.operators.routing import assign_lanes, ski_route
 
     rows = assign_lanes(probe, lanes, by)
     for s in stages:
+        if estimated_bytes(_stored(s.stored, s.stored_key, s.call)) <= small:
+            rows = keyed_join(rows, s.stored, s.key, s.stored_key, s.call, hint="broadcast")
+            continue
         access = Access(s.key, "lane", seq)
         routed = ski_route(rows, access, F.lit(s.rent), F.lit(s.buy), F.lit(s.use))
         rows = adaptive_join(routed, s.stored, access, s.stored_key, s.call).drop("c", "route")

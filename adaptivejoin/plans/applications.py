@@ -203,11 +203,8 @@ def chain_filtered(spark, folder):
 @query("chain_four", FOUR)
 def chain_four(spark, folder):
     """Four joins, then the SQL operators after them."""
-    rows = _chain(spark, folder, [_orders(spark, folder), _customer(spark, folder), _nation(spark, folder)]).withColumn("regionkey", F.col("nation.n_regionkey"))
-    region = Stage(table(spark, folder, "region"), "r_regionkey", "regionkey", CallSpec(("r_name",), lambda: F.col("r_name"), "r_name"))
-    access = Access("regionkey", "lane", X.SEQ)
-    routed = routing.ski_route(rows, access, F.lit(region.rent), F.lit(region.buy), F.lit(region.use))
-    out = joins.adaptive_join(routed, region.stored, access, "r_regionkey", region.call)
+    region = Stage(table(spark, folder, "region"), "r_regionkey", "nation.n_regionkey", CallSpec(("r_name",), lambda: F.col("r_name"), "r_name"))
+    out = _chain(spark, folder, [_orders(spark, folder), _customer(spark, folder), _nation(spark, folder), region])
     return out.groupBy("r_name").agg(revenue()).where("revenue > 1000").orderBy(F.desc("revenue")).limit(3)
 
 

@@ -184,6 +184,19 @@ def test_plans(spark, sf_dir):
     assert "Cartesian" not in p and "NestedLoop" not in p
 
 
+def test_chain_routes_every_stage_alike(spark, sf_dir):
+    """Small stored sides skip routing; the result is that of routing every stage."""
+    from adaptivejoin.functions.hashing import row_id
+    from adaptivejoin.plans import applications as A
+    from adaptivejoin.tables import table
+
+    rows = table(spark, sf_dir, "lineitem").select(*X.SEQ, "l_extendedprice")
+    stages = [A._part(spark, sf_dir), A._supplier(spark, sf_dir)]
+    a, b = (joins.chain_join(rows, stages, 4, row_id(*X.SEQ), X.SEQ, small) for small in (0, 1 << 30))
+    assert a.count() == b.count() == rows.count()
+    assert a.exceptAll(b.select(*a.columns)).isEmpty() and b.select(*a.columns).exceptAll(a).isEmpty()
+
+
 def test_calls_must_be_deterministic():
     with pytest.raises(ValueError):
         joins.CallSpec(("a",), lambda: F.lit(1), deterministic=False)
