@@ -30,7 +30,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from adaptivejoin.llm.common import table
+from adaptivejoin.llm.common import release_memory, table
 
 ORDER = 3
 SAMPLE_ROWS = 1000
@@ -195,7 +195,7 @@ def code_lengths(texts: pa.Array, model: Model, piece: int = PIECE_BYTES) -> np.
             cost = model.bits[model.row[ctx].astype(np.int64) * size + seq[p]]
             own = owner[i : i + piece]
             first = np.flatnonzero(np.diff(own, prepend=-1))
-            out[own[first]] += np.add.reduceat(cost.astype(np.float64), first, axis=0)
+            out[own[first]] += np.add.reduceat(cost, first, axis=0, dtype=np.float64)
         lo = hi
     return out
 
@@ -215,6 +215,7 @@ def _scored(docs: DataFrame, counts, text_col: str) -> DataFrame:
         if name not in _models:
             _models.clear()
             _models[name] = build(*shared.value)
+            release_memory()
         model = _models[name]
         names = np.array([*model.langs, UNDETERMINED], dtype=object)
         for batch in batches:
@@ -227,6 +228,7 @@ def _scored(docs: DataFrame, counts, text_col: str) -> DataFrame:
             size = pc.binary_length(texts).to_numpy(zero_copy_only=False)
             made = [pa.array(names[np.where(ok, best, len(model.langs))], pa.string()), pa.array(np.where(ok, score, 0.0)), pa.array(low / np.maximum(size, 1))]
             yield pa.RecordBatch.from_arrays([batch.column(0), *made], names=["row", "lang_pred", "score", "bits_per_byte"])
+            release_memory()
 
     more = [T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType()), T.StructField("bits_per_byte", T.DoubleType())]
     return base.mapInArrow(run, T.StructType([base.schema["row"], *more]))

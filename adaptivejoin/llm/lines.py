@@ -32,7 +32,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from adaptivejoin.llm import tokens
-from adaptivejoin.llm.common import Workspace, table
+from adaptivejoin.llm.common import Workspace, release_memory, table
 
 #: The similarity as a fraction, so that thresholds are integers.
 NUM, DEN = 4, 5
@@ -67,6 +67,7 @@ def count_table(df: DataFrame, hashes: Callable[[pa.RecordBatch], Iterator[np.nd
     size = 1 << bits
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        release_memory()
         cells, salt = np.zeros(size, np.uint32), 0
         for batch in batches:
             for h in hashes(batch):
@@ -167,6 +168,7 @@ def _nodes(shared, sets=None, keys=None):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Rows with a negative key are the lines that take part (``at`` is a line's number); the others are words that a line meets
         others at (``at`` is the number and the word's position in the line's order)."""
+        release_memory()
         rarity = shared.value
         first_at: dict[int, tuple[int, int]] = {}
         for batch in batches:
@@ -326,6 +328,7 @@ def _meet(first: int, block: int):
                     yield found(0, part["set"][i], part["set"][j], n=more)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        release_memory()
         held, over, seen, seen_key = None, None, set(), None
         for batch in batches:
             rows = _arrays(batch)
@@ -410,6 +413,7 @@ def _verified(pairs: DataFrame, docs: DataFrame, work: Workspace, rarity) -> Dat
     wanted = docs.sparkSession.sparkContext.broadcast(count_table(wanted_of, _first_column))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        release_memory()
         asked, own = wanted.value, rarity.value
         hit = lambda h: _in_table(asked, h)
         for batch in batches:
