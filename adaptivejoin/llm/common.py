@@ -69,3 +69,12 @@ class Workspace:
             jvm = self.spark._jvm
             where = jvm.org.apache.hadoop.fs.Path(path)
             where.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(where, True)
+
+
+def row_keyed(docs: DataFrame, work: Workspace) -> DataFrame:
+    """``docs`` with ``row_key``, a hash of the file and the place in it that a row was read from: the same whenever it is read.
+    What is not read from files as it stands is saved first."""
+    plan = docs._jdf.queryExecution().analyzed().toString()
+    plain = all(line.lstrip("+- :").startswith(("Project", "Filter", "Relation")) for line in plan.splitlines())
+    rows = docs if plain and " parquet" in plan else work.save(docs, "docs")
+    return rows.withColumn("row_key", F.xxhash64("_metadata.file_path", "_metadata.row_index"))
