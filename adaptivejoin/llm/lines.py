@@ -13,11 +13,11 @@ sketches, whose distance never exceeds that of the sets, discard almost all pair
 Lines with equal sets are one node. At each word a later line keeps only its ``FIRST`` earliest candidates, which are verified
 with all their words; a line that none of them settles and that has more is looked up again with all its candidates, so nothing
 is lost and a group of near copies yields a few pairs a line. Lists of more than a block of lines are dealt out by pairs of
-blocks. The lines themselves travel in the same shuffle, under keys of their sets, salted by document, so that a line with a
-third of all places is spread; what remains of them is which places are first. Removed lines go back to their documents by id.
+blocks. The lines themselves travel in the same shuffle, under keys of their sets, salted by row, so that a line with a
+third of all places is spread; what remains of them is which places are first. Removed lines go back by a key of the row.
 
-Defined results: a null text stays null; blank and short lines stay; rows without an id come last and count as one document, as
-do rows that repeat an id, which lose the same lines; a document whose lines all go keeps an empty text; whole texts are read in
+Defined results: a null text stays null; blank and short lines stay; rows without an id come last; rows that share an id, or have
+none, are documents of their own, in order by line number first; a document whose lines all go keeps an empty text; whole texts are read in
 pieces of about ``tokens.PIECE_BYTES`` or one text; an empty table gives an empty result; further columns pass through.
 """
 
@@ -32,7 +32,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from adaptivejoin.llm import tokens
-from adaptivejoin.llm.common import Workspace, release_memory, table
+from adaptivejoin.llm.common import Workspace, release_memory, row_keyed, table
 
 #: The similarity as a fraction, so that thresholds are integers.
 NUM, DEN = 4, 5
@@ -150,6 +150,7 @@ def _order(id_col: str) -> Column:
 
 
 SKETCH = ("s0", "s1", "s2", "s3")
+#: In rows of sets ``s0`` is the key of the row of ``docs``.
 ROW = "key long, set long, doc long, at long, n int, s0 long, s1 long, s2 long, s3 long"
 
 
@@ -172,16 +173,17 @@ def _nodes(shared, sets=None, keys=None):
         rarity = shared.value
         first_at: dict[int, tuple[int, int]] = {}
         for batch in batches:
-            ids = batch.column(0).to_numpy()
+            ids, row_keys = batch.column(0).to_numpy(), batch.column(2).to_numpy()
             for lo, lines in tokens.pieces(batch.column(1)):
                 word, line, cls = ordered_sets(lines, rarity)
                 begin, size, h, sketch = describe(word, line, len(lines.row))
                 of = np.flatnonzero(size >= LEAST_WORDS)
                 doc = ids[lo + lines.row]
                 if not meets_only:
-                    salt = (tokens.mix(doc[of].view(np.uint64)) % np.uint64(SPREAD)).astype(np.uint64)
-                    key = tokens.mix(h[of] + salt) | np.uint64(1 << 63)
-                    yield _batch(key, h[of], doc[of], lines.number[of].astype(np.int64) << 32, np.zeros(len(of)), np.zeros((len(of), 4), np.uint64))
+                    own = np.zeros((len(of), 4), np.uint64)
+                    own[:, 0] = row_keys[lo + lines.row[of]].view(np.uint64)
+                    key = tokens.mix(h[of] + tokens.mix(own[:, 0]) % np.uint64(SPREAD)) | np.uint64(1 << 63)
+                    yield _batch(key, h[of], doc[of], lines.number[of].astype(np.int64) << 32, np.zeros(len(of)), own)
                 # Of equal lines only those before the earliest met so far go on: the rest are the same node.
                 meets = np.zeros(len(size), bool)
                 for i, x, d, k in zip(of.tolist(), h[of].tolist(), doc[of].tolist(), lines.number[of].tolist(), strict=True):
@@ -278,7 +280,7 @@ FOUND = "kind int, a long, b long, doc long, at long, n int, ask int, key long,
 
 
 def _meet(first: int, block: int):
-    """Pairs of the lists of a stream sorted by (key, doc, at), and the places of sets."""
+    """Pairs of the lists of a stream sorted by (key, doc, line, set), and the places of sets."""
 
     def found(kind, a, b=None, doc=None, at=None, n=None, ask=None, key=None, sketch=(None,) * 4) -> pa.RecordBatch:
         size = len(a)
@@ -300,7 +302,7 @@ def _meet(first: int, block: int):
             head &= ~np.isin(r["set"], np.fromiter(before, np.uint64, len(before))) | (r["key"] != r["key"][0])
         for kind, use in ((1, head), (2, ~head)):
             if use.any():
-                yield found(kind, r["set"][use], None, r["doc"][use], r["at"][use])
+                yield found(kind, r["set"][use], None, r["doc"][use], r["at"][use], sketch=(r["s0"][use], None, None, None))
 
     def closed(r: dict) -> Iterator[pa.RecordBatch]:
         """Whole lists of words, in adjacent rows; a set stays once in each, at its first place."""
@@ -385,7 +387,8 @@ def _arrays(batch: pa.RecordBatch) -> dict:
 
 def _dealt(rows: DataFrame) -> DataFrame:
     n = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return rows.repartition(n, "key").sortWithinPartitions("key", "doc", "at")
+    # Rows that share an id tie in their places; by set the order is the same in every list.
+    return rows.repartition(n, "key").sortWithinPartitions("key", "doc", F.shiftright("at", 32), "set")
 
 
 def _pairs(found: DataFrame, first: int, block: int) -> DataFrame:
@@ -396,7 +399,7 @@ def _pairs(found: DataFrame, first: int, block: int) -> DataFrame:
 
 def _overfull(rows: DataFrame, first: int, block: int) -> DataFrame:
     """Pairs of the lists over a block: sets are dealt into blocks by hash, each pair of blocks is a list of its own."""
-    once = rows.groupBy("key", "a").agg(F.min("doc").alias("doc"), F.min_by("at", "doc").alias("at"), F.max("n").alias("n"), F.max("ask").alias("ask"), *[F.max(c).alias(c) for c in SKETCH])
+    once = rows.groupBy("key", "a").agg(F.min(F.struct("doc", "at")).alias("first"), F.max("n").alias("n"), F.max("ask").alias("ask"), *[F.max(c).alias(c) for c in SKETCH]).select("*", "first.doc", "first.at")
     sizes = once.groupBy("key").agg(F.count("*").alias("size"))
     own = once.join(sizes, "key").withColumn("of", F.ceil(F.col("size") / block).cast("int")).withColumn("own", F.pmod(F.xxhash64("a"), F.col("of")).cast("int"))
     other = F.explode(F.sequence(F.lit(0), F.col("of") - 1))
@@ -441,13 +444,14 @@ def _verified(pairs: DataFrame, docs: DataFrame, work: Workspace, rarity) -> Dat
 def _decided(docs: DataFrame, work: Workspace, id_col: str, text_col: str, first: int, block: int) -> tuple[DataFrame, ...]:
     """First places of sets by salt, later places, first places of sets, and the sets that match an earlier one; all of them saved."""
     spark = docs.sparkSession
-    texts = docs.where(F.col(text_col).isNotNull()).select(_order(id_col), F.col(text_col).alias("text"))
+    texts = docs.where(F.col(text_col).isNotNull()).select(_order(id_col), F.col(text_col).alias("text"), "row_key")
     rarity = spark.sparkContext.broadcast(count_table(texts.select("text"), lambda b: (p.word for _, p in tokens.pieces(b.column(0)))))
     found = work.save(_dealt(texts.mapInArrow(_nodes(rarity), ROW)).mapInArrow(_meet(first, block), FOUND), "found")
     place = F.shiftright("at", 32).cast("int").alias("line")
-    begins = found.where("kind = 1").select(F.col("a").alias("set"), "doc", place)
-    again = found.where("kind = 2").select("doc", place)
-    firsts = begins.groupBy("set").agg(F.count("*").alias("times"), F.min("doc").alias("first_doc"), F.min_by("line", "doc").alias("first_line"))
+    begins = found.where("kind = 1").select(F.col("a").alias("set"), "doc", place, F.col("s0").alias("row_key"))
+    again = found.where("kind = 2").select(F.col("s0").alias("row_key"), place)
+    first_place = F.min(F.struct("doc", "line", "row_key"))
+    firsts = begins.groupBy("set").agg(F.count("*").alias("times"), first_place.alias("p")).select("set", "times", F.col("p.doc").alias("first_doc"), F.col("p.row_key").alias("first_row"))
 
     def in_order(pairs: DataFrame) -> DataFrame:
         """Pairs with the documents of their sets."""
@@ -483,22 +487,23 @@ def _small_batches(spark, rows: int = ROWS_A_BATCH):
         spark.conf.set(name, before)
 
 
-def removals(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", first: int = FIRST, block: int = BLOCK) -> DataFrame:
-    """(doc, gone): of each document that loses lines, by id, their numbers from 0."""
-    spark, work = docs.sparkSession, Workspace(docs.sparkSession, "lines")
-    with _small_batches(spark):
-        begins, again, firsts, matched = _decided(docs, work, id_col, text_col, first, block)
+def _removals(rows: DataFrame, work: Workspace, id_col: str, text_col: str, first: int, block: int) -> DataFrame:
+    """(gone_from, gone): of each row that loses lines, by its key, their numbers from 0."""
+    with _small_batches(rows.sparkSession):
+        begins, again, firsts, matched = _decided(rows, work, id_col, text_col, first, block)
     # What may go besides later places: first places under other salts, and sets that match an earlier one.
-    sets = firsts.join(matched.select(F.col("b").alias("set"), F.lit(True).alias("matched")), "set", "left").where("times > 1 or matched").select("set", "first_doc", "matched")
-    gone = again.unionAll(begins.join(sets, "set").where("matched or doc != first_doc").select("doc", "line"))
-    return gone.groupBy("doc").agg(F.collect_set("line").alias("gone"))
+    sets = firsts.join(matched.select(F.col("b").alias("set"), F.lit(True).alias("matched")), "set", "left").where("times > 1 or matched").select("set", "first_row", "matched")
+    gone = again.unionAll(begins.join(sets, "set").where("matched or row_key != first_row").select("row_key", "line"))
+    return gone.groupBy(F.col("row_key").alias("gone_from")).agg(F.collect_set("line").alias("gone"))
 
 
-def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", first: int = FIRST, block: int = BLOCK) -> DataFrame:
     """(row, text, n_lines, n_removed): ``row`` holds the columns of ``docs``, ``text`` what is left of its text."""
-    gone = removals(docs, id_col, text_col, **options)
-    own = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col(f"`{text_col}`").alias("t"), _order(id_col).alias("doc"))
-    joined = own.join(gone.hint("shuffle_hash"), "doc", "left")
+    work = Workspace(docs.sparkSession, "lines")
+    rows = row_keyed(docs, work)
+    gone = _removals(rows, work, id_col, text_col, first, block)
+    own = rows.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col(f"`{text_col}`").alias("t"), "row_key")
+    joined = own.join(gone.hint("shuffle_hash"), F.col("row_key") == F.col("gone_from"), "left")
     kept = F.filter(F.split("t", "\n", -1), lambda x, i: ~F.array_contains("gone", i))
     return joined.select("row", F.when(F.col("gone").isNull(), F.col("t")).otherwise(F.array_join(kept, "\n")).alias("text"), (F.length("t") - F.length(F.translate("t", "\n", "")) + 1).cast("long").alias("n_lines"), F.coalesce(F.size("gone"), F.lit(0)).cast("long").alias("n_removed"))
 

@@ -100,3 +100,23 @@ def test_nulls_blank_repeated_and_other_columns(spark):
     assert got == [(4, "SIX five four three two one", 0), (5, "\nshort line", 2), (5, "\nshort line", 2), (7, "", 0), (8, long[:30], 0), (9, "x", 1), (99, "short line", 1)]
     assert lines.deduplicate(df.where("doc_id = 6")).first().text is None
     assert lines.deduplicate(df.limit(0)).collect() == []
+
+
+def test_rows_that_share_an_id_keep_their_first_lines(spark):
+    p, q, r = ("one two three four five six", "a b c d e f g", "h i j k l m n")
+    near = "one two three four five six seven"
+    rows = [(5, f"{p}\n{q}", "k"), (5, f"{p}\n{q}", "k"), (None, f"{q}\n{r}", "m"), (None, f"{p} \n{r} o", "m"), (None, f"u v w x y z\n{near}", "m")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, k string")
+    for part in (df, df.repartition(3)):
+        out = lines.deduplicate(part).collect()
+        left = sorted(line for x in out for line in x.text.split("\n") if line)
+        assert left in (sorted([p, q, kept, "u v w x y z"]) for kept in (r, f"{r} o"))
+        assert sorted(x.n_removed for x in out if x.row.k == "k") in ([0, 2], [1, 1])
+
+
+def test_one_of_similar_lines_at_the_same_place_stays(spark):
+    """Different lines of rows without id, each similar to the others: the order between them is the same in all lists."""
+    base = [f"w{i}" for i in range(30)]
+    rows = [(None, " ".join([*base[:i], f"x{i}", *base[i + 1 :]])) for i in range(20)]
+    out = lines.deduplicate(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert sum(x.text != "" for x in out) == 1
