@@ -1,8 +1,8 @@
 """Line deduplication by an exact set-similarity join of all lines of a corpus.
 
 A line is the set of its words, ASCII letters folded. It is removed if an earlier line (by document id, then place) has a Jaccard
-similarity of ``SIMILARITY`` or more with it, whether or not that one is removed itself. Lines of fewer than ``LEAST_WORDS`` words
-are no passages: they neither match nor go.
+similarity of ``SIMILARITY`` or more with it, whether or not that one is removed itself. Every
+line with a word takes part; lines of fewer than ``LEAST_NEAR`` distinct words match only if their sets are equal.
 
 Words are ordered by rarity: by the logarithm of their count over the whole corpus, kept in a table of fixed size (words that
 share a cell share a count; any order that is the same everywhere gives exact results), then by hash. Two similar lines share a
@@ -16,7 +16,7 @@ is lost and a group of near copies yields a few pairs a line. Lists of more than
 blocks. The lines themselves travel in the same shuffle, under keys of their sets, salted by row, so that a line with a
 third of all places is spread; what remains of them is which places are first. Removed lines go back by a key of the row.
 
-Defined results: a null text stays null; blank and short lines stay; rows without an id come last; rows that share an id, or have
+Defined results: a null text stays null; blank lines stay; rows without an id come last; rows that share an id, or have
 none, are documents of their own, in order by line number first; a document whose lines all go keeps an empty text; whole texts are read in
 pieces of about ``tokens.PIECE_BYTES`` or one text; an empty table gives an empty result; further columns pass through.
 """
@@ -36,7 +36,9 @@ from adaptivejoin.llm.common import Workspace, release_memory, row_keyed, table
 
 #: The similarity as a fraction, so that thresholds are integers.
 NUM, DEN = 4, 5
-LEAST_WORDS = 5
+LEAST_WORDS = 1
+#: The least size of a set that can match another one: four words match the same four and a fifth.
+LEAST_NEAR = 4
 FIRST = 2
 BLOCK = 2048
 TABLE_BITS = 23
@@ -186,6 +188,7 @@ def _nodes(shared, sets=None, keys=None):
                     yield _batch(key, h[of], doc[of], lines.number[of].astype(np.int64) << 32, np.zeros(len(of)), own)
                 # Of equal lines only those before the earliest met so far go on: the rest are the same node.
                 meets = np.zeros(len(size), bool)
+                of = of[size[of] >= LEAST_NEAR]
                 for i, x, d, k in zip(of.tolist(), h[of].tolist(), doc[of].tolist(), lines.number[of].tolist(), strict=True):
                     got = first_at.get(x)
                     if got is None or (d, k) < got:
@@ -424,7 +427,7 @@ def _verified(pairs: DataFrame, docs: DataFrame, work: Workspace, rarity) -> Dat
             for _, lines in tokens.pieces(texts):
                 word, line, _ = ordered_sets(lines, own)
                 begin, size, h, _ = describe(word, line, len(lines.row))
-                of = np.flatnonzero((size >= LEAST_WORDS) & hit(h))
+                of = np.flatnonzero((size >= LEAST_NEAR) & hit(h))
                 _, once = np.unique(h[of], return_index=True)
                 of = of[once]
                 if len(of):

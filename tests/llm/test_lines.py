@@ -120,3 +120,12 @@ def test_one_of_similar_lines_at_the_same_place_stays(spark):
     rows = [(None, " ".join([*base[:i], f"x{i}", *base[i + 1 :]])) for i in range(20)]
     out = lines.deduplicate(spark.createDataFrame(rows, "doc_id long, text string")).collect()
     assert sum(x.text != "" for x in out) == 1
+
+
+def test_short_lines_take_part(spark):
+    """One to four distinct words; four match five that hold them, three do not match four."""
+    few = " ".join(["a", "b", "c", "d"] * 15)
+    rows = [(1, f"x\n{few}\np q r\n \ne f g h"), (2, f"x\n{few}\nq p r s\n\ne f g h i"), (3, "r q p\nX\nx y\n\ne f g")]
+    want = {1: f"x\n{few}\np q r\n \ne f g h", 2: "q p r s\n", 3: "x y\n\ne f g"}
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert {r.row.doc_id: r.text for r in lines.deduplicate(df).collect()} == want == brute(rows, 1)
