@@ -5,6 +5,8 @@ from __future__ import annotations
 import contextlib
 import tempfile
 import uuid
+from collections.abc import Callable
+from typing import Any
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -24,9 +26,13 @@ def words(text: Column) -> Column:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir``; a temporary one only where that is unset."""
+    """The folder that driver and executors share: ``spark.checkpoint.dir``; a temporary one only where that is unset and all
+    run in one process. A cluster without it is refused: its machines would not see each other's files."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if not folder:
+        master = spark.sparkContext.master
+        if not (master == "local" or master.startswith("local[")):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         folder = f"file://{tempfile.mkdtemp(prefix='shared-')}"
         spark.conf.set("spark.checkpoint.dir", folder)
     return folder.rstrip("/")
@@ -45,6 +51,19 @@ def release_memory() -> None:
         ctypes.CDLL("libc.so.6").malloc_trim(0)
 
 
+_held: dict[str, Any] = {}
+
+
+def held(name: str, make: Callable[[], Any]) -> Any:
+    """A large object that a worker keeps between tasks, such as a model. It keeps one: what another step left goes first, since a
+    worker serves many steps and their tables would add up."""
+    if name not in _held:
+        _held.clear()
+        release_memory()
+        _held[name] = make()
+    return _held[name]
+
+
 class Workspace:
     """Intermediate tables of one run, written to the shared folder so that lost executors cost no recomputation."""
 
@@ -72,9 +91,15 @@ class Workspace:
 
 
 def row_keyed(docs: DataFrame, work: Workspace) -> DataFrame:
-    """``docs`` with ``row_key``, a hash of the file and the place in it that a row was read from: the same whenever it is read.
-    What is not read from files as it stands is saved first."""
+    """(row, row_key): the columns of ``docs`` in a struct, and a hash of the file and the place in it that a row was read from, the
+    same whenever it is read. What is not read from files as it stands is saved first."""
     plan = docs._jdf.queryExecution().analyzed().toString()
     plain = all(line.lstrip("+- :").startswith(("Project", "Filter", "Relation")) for line in plan.splitlines())
     rows = docs if plain and " parquet" in plan else work.save(docs, "docs")
-    return rows.withColumn("row_key", F.xxhash64("_metadata.file_path", "_metadata.row_index"))
+    place = F.xxhash64(rows.metadataColumn("_metadata").getField("file_path"), rows.metadataColumn("_metadata").getField("row_index"))
+    return rows.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), place.alias("row_key"))
+
+
+def columns_of_row(names: list[str]) -> list[Column]:
+    """The columns that ``row_keyed`` has put into ``row``."""
+    return [F.col("row").getField(c).alias(c) for c in names]

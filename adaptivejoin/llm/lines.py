@@ -10,11 +10,15 @@ word among the first ``n - ceil(t n) + 1`` of each (prefix filter), so lines mee
 nothing and are left out. At a shared word the lengths (length filter), the words left after it (positional filter) and parity
 sketches, whose distance never exceeds that of the sets, discard almost all pairs that are not similar.
 
-Lines with equal sets are one node. At each word a later line keeps only its ``FIRST`` earliest candidates, which are verified
-with all their words; a line that none of them settles and that has more is looked up again with all its candidates, so nothing
+Lines with equal sets are one node. At each word a later line keeps its ``FIRST`` candidates of the least estimated distance, and
+up to ``RESERVE`` where that estimate is no clear sign; they are verified with all their words. A line that none of them settles
+and that has more is looked up again with all its candidates, so nothing
 is lost and a group of near copies yields a few pairs a line. Lists of more than a block of lines are dealt out by pairs of
 blocks. The lines themselves travel in the same shuffle, under keys of their sets, salted by row, so that a line with a
-third of all places is spread; what remains of them is which places are first. Removed lines go back by a key of the row.
+third of all places is spread; what remains of them is which places are first. Rows of the shuffle are a key and one packed
+value, and are sorted by the key alone. Removed lines go back by a key of the row.
+
+Words are compared by 64-bit hashes of all their bytes (``tokens.word_hashes``).
 
 Defined results: a null text stays null; blank lines stay; rows without an id come last; rows that share an id, or have
 none, are documents of their own, in order by line number first; a document whose lines all go keeps an empty text; whole texts are read in
@@ -40,13 +44,16 @@ LEAST_WORDS = 1
 #: The least size of a set that can match another one: four words match the same four and a fifth.
 LEAST_NEAR = 4
 FIRST = 2
+RESERVE = 64
 BLOCK = 2048
 TABLE_BITS = 23
 CHUNK = 1 << 16
 SALTS = 64
 SPREAD = 16
-REMEMBERED = 200_000
+REMEMBERED = 50_000
 ROWS_A_BATCH = 2500
+#: Rows of the shuffle that are compared at a time.
+GATHERED = 1 << 15
 #: Lists up to this size are compared at all offsets at once, across lists.
 SHORT = 48
 #: Sets of more words have wider sketches: a narrow one would be full of differences.
@@ -61,44 +68,55 @@ def needed(n: np.ndarray) -> np.ndarray:
     return -(-NUM * n // (NUM + DEN))
 
 
-def count_table(df: DataFrame, hashes: Callable[[pa.RecordBatch], Iterator[np.ndarray]], bits: int = TABLE_BITS) -> np.ndarray:
-    """A table of 2^bits cells with 1 + log2 of how many of the hashes fall into each (0: none).
+def count_table(df: DataFrame, hashes: Callable[[pa.RecordBatch], Iterator[np.ndarray]], least: int = 1, bits: int = TABLE_BITS) -> np.ndarray:
+    """A table of 2^bits cells with 1 + log2 of how many of the hashes fall into each (0: under ``least``).
 
-    Each task sends its filled cells in chunks; chunks are summed in two steps. The table has one size for any corpus.
+    Each task sends its filled cells, in chunks, which are fewer than its hashes; chunks stream past and are summed in two steps,
+    and the driver gets three bytes a cell. The table has one size for any corpus.
     """
     size = 1 << bits
+    chunk = min(CHUNK, size)
+    packed = lambda c, i, n: pa.RecordBatch.from_arrays([pa.array([c], pa.int32()), pa.array([_task() % SALTS], pa.int32()), pa.array([i.astype("<u2").tobytes()], pa.binary()), pa.array([n.tobytes()], pa.binary())], names=["chunk", "salt", "i", "n"])
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def fill(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         release_memory()
-        cells, salt = np.zeros(size, np.uint32), 0
+        cells = np.zeros(size, np.uint32)
         for batch in batches:
             for h in hashes(batch):
                 np.add.at(cells, (h & np.uint64(size - 1)).astype(np.int64), np.uint32(1))
-                salt = int(h[0] % np.uint64(SALTS)) if len(h) else salt
-        filled = [(c, i, cells[c * CHUNK + i]) for c in range(max(1, size // CHUNK)) if len(i := np.flatnonzero(cells[c * CHUNK : (c + 1) * CHUNK]))]
-        if filled:
-            yield pa.RecordBatch.from_arrays(
-                [pa.array([c for c, _, _ in filled], pa.int32()), pa.array([salt] * len(filled), pa.int32()), pa.array([i.astype("<u2").tobytes() for _, i, _ in filled], pa.binary()), pa.array([n.astype("<u4").tobytes() for _, _, n in filled], pa.binary())],
-                names=["chunk", "salt", "i", "n"],
-            )
-
-    def add(group: pa.Table) -> pa.Table:
-        total = np.zeros(CHUNK, np.uint64)
-        for i, n in zip(group["i"], group["n"], strict=True):
-            total[np.frombuffer(i.as_py(), "<u2")] += np.frombuffer(n.as_py(), "<u4")
-        i = np.flatnonzero(total)
-        n = np.minimum(total[i], (1 << 32) - 1).astype("<u4")
-        return pa.table({"chunk": pa.array([group["chunk"][0].as_py()], pa.int32()), "salt": pa.array([0], pa.int32()), "i": pa.array([i.astype("<u2").tobytes()], pa.binary()), "n": pa.array([n.tobytes()], pa.binary())})
+        for c in range(size // chunk):
+            i = np.flatnonzero(cells[c * chunk : (c + 1) * chunk])
+            if len(i):
+                yield packed(c, i, cells[c * chunk + i])
+
+    def total(last: bool):
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            sums: dict[int, np.ndarray] = {}
+            for batch in batches:
+                for c, i, n in zip(batch.column(0).to_pylist(), batch.column(2), batch.column(3), strict=True):
+                    cells = sums.setdefault(c, np.zeros(chunk, np.uint32))
+                    at, more = np.frombuffer(i.as_py(), "<u2"), np.frombuffer(n.as_py(), "<u4")
+                    cells[at] += np.minimum(more, np.iinfo(np.uint32).max - cells[at])
+            for c, cells in sums.items():
+                i = np.flatnonzero(cells >= (least if last else 1))
+                yield packed(c, i, (1 + np.floor(np.log2(cells[i]))).astype(np.uint8) if last else cells[i])
+
+        return run
 
     kind = "chunk int, salt int, i binary, n binary"
-    summed = df.mapInArrow(run, kind).groupBy("chunk", "salt").applyInArrow(add, kind).groupBy("chunk").applyInArrow(add, kind)
-    out = np.zeros(max(size, CHUNK), np.uint8)
-    for r in summed.collect():
-        i = np.frombuffer(r.i, "<u2").astype(np.int64) + r.chunk * CHUNK
-        out[i] = 1 + np.floor(np.log2(np.frombuffer(r.n, "<u4").astype(np.float64))).astype(np.uint8)
+    halfway = df.mapInArrow(fill, kind).repartition("chunk", "salt").mapInArrow(total(False), kind)
+    out = np.zeros(size, np.uint8)
+    for r in halfway.repartition("chunk").mapInArrow(total(True), kind).collect():
+        out[np.frombuffer(r.i, "<u2").astype(np.int64) + r.chunk * chunk] = np.frombuffer(r.n, np.uint8)
     return out
 
 
+def _task() -> int:
+    from pyspark import TaskContext
+
+    return TaskContext.get().partitionId()
+
+
 def ordered_sets(lines: tokens.Lines, rarity: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Distinct words of each line, rarest first: (word, line, class) in order."""
     cls = rarity[(lines.word & np.uint64(len(rarity) - 1)).astype(np.int64)]
@@ -147,13 +165,13 @@ def describe(word: np.ndarray, line: np.ndarray, n_lines: int) -> tuple[np.ndarr
     return begin, size, out[0], sketch
 
 
-def _order(id_col: str) -> Column:
-    return F.coalesce(F.col(f"`{id_col}`").cast("long"), F.lit(LAST_ID)).alias("doc")
-
-
-SKETCH = ("s0", "s1", "s2", "s3")
-#: In rows of sets ``s0`` is the key of the row of ``docs``.
-ROW = "key long, set long, doc long, at long, n int, s0 long, s1 long, s2 long, s3 long"
+#: Packed values of eight bytes each. A set: its hash, document, place and row. A word's line: these but the row, its size with the
+#: word above it, and sketches.
+OF_SET, OF_LINE = 4, 8
+SET, DOC, AT, SIZE, SKETCH = 0, 1, 2, 3, 4
+ROW = "key long, packed binary"
+#: Keys from here on are salted ones of frequent words.
+HOT = 1 << 62
 
 
 def _first_column(batch: pa.RecordBatch) -> Iterator[np.ndarray]:
@@ -164,32 +182,55 @@ def _in_table(cells: np.ndarray, x: np.ndarray) -> np.ndarray:
     return cells[(tokens.mix(x) & np.uint64(len(cells) - 1)).astype(np.int64)] > 0
 
 
-def _nodes(shared, sets=None, keys=None):
-    """With ``sets`` or ``keys`` only the meeting words, of lines in the one table or of words in the other."""
+def _binary(rows: np.ndarray) -> pa.Array:
+    """Rows of a matrix as binary values."""
+    rows = np.ascontiguousarray(rows)
+    at = np.arange(len(rows) + 1, dtype=np.int32) * np.int32(rows.shape[1] * 8)
+    return pa.Array.from_buffers(pa.binary(), len(rows), [None, pa.py_buffer(at), pa.py_buffer(rows)])
+
+
+def _matrix(values: pa.Array, width: int) -> np.ndarray:
+    """The inverse of ``_binary``."""
+    _, offsets, data = values.buffers()
+    if not len(values):
+        return np.zeros((0, width), np.uint64)
+    at = np.frombuffer(offsets, np.int32)[values.offset : values.offset + len(values) + 1]
+    return np.frombuffer(data, np.uint64, (int(at[-1]) - int(at[0])) // 8, int(at[0])).reshape(-1, width)
+
+
+def _bits(x: np.ndarray) -> np.ndarray:
+    return x if x.dtype == np.uint64 else x.astype(np.int64).view(np.uint64)
+
+
+def _nodes(shared, docs=None, sets=None, keys=None, hot: int = 255, parts: int = 1):
+    """With ``sets`` or ``keys`` only the meeting words, of lines in the one table (in documents of ``docs``) or of words in the other.
+    Words of class ``hot`` or more are salted over ``parts`` keys; their lists are put together later."""
     meets_only = sets is not None or keys is not None
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """Rows with a negative key are the lines that take part (``at`` is a line's number); the others are words that a line meets
-        others at (``at`` is the number and the word's position in the line's order)."""
+        """Rows with a negative key are the lines that take part (the place is a line's number); the others are words that a line
+        meets others at (the place is the number and the word's position in the line's order)."""
         release_memory()
         rarity = shared.value
         first_at: dict[int, tuple[int, int]] = {}
         for batch in batches:
+            if docs is not None:
+                batch = batch.filter(pa.array(_in_table(docs.value, batch.column(0).to_numpy().view(np.uint64))))
             ids, row_keys = batch.column(0).to_numpy(), batch.column(2).to_numpy()
             for lo, lines in tokens.pieces(batch.column(1)):
                 word, line, cls = ordered_sets(lines, rarity)
                 begin, size, h, sketch = describe(word, line, len(lines.row))
                 of = np.flatnonzero(size >= LEAST_WORDS)
-                doc = ids[lo + lines.row]
+                doc = _bits(ids[lo + lines.row])
+                number = _bits(lines.number) << np.uint64(32)
                 if not meets_only:
-                    own = np.zeros((len(of), 4), np.uint64)
-                    own[:, 0] = row_keys[lo + lines.row[of]].view(np.uint64)
-                    key = tokens.mix(h[of] + tokens.mix(own[:, 0]) % np.uint64(SPREAD)) | np.uint64(1 << 63)
-                    yield _batch(key, h[of], doc[of], lines.number[of].astype(np.int64) << 32, np.zeros(len(of)), own)
+                    own = _bits(row_keys[lo + lines.row[of]])
+                    key = tokens.mix(h[of] + tokens.mix(own) % np.uint64(SPREAD)) | np.uint64(1 << 63)
+                    yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), _binary(np.stack([h[of], doc[of], number[of], own], 1))], names=["key", "packed"])
                 # Of equal lines only those before the earliest met so far go on: the rest are the same node.
                 meets = np.zeros(len(size), bool)
                 of = of[size[of] >= LEAST_NEAR]
-                for i, x, d, k in zip(of.tolist(), h[of].tolist(), doc[of].tolist(), lines.number[of].tolist(), strict=True):
+                for i, x, d, k in zip(of.tolist(), h[of].tolist(), doc[of].view(np.int64).tolist(), lines.number[of].tolist(), strict=True):
                     got = first_at.get(x)
                     if got is None or (d, k) < got:
                         if len(first_at) >= REMEMBERED:
@@ -200,222 +241,266 @@ def _nodes(shared, sets=None, keys=None):
                 prefix = size - (-(-NUM * size // DEN)) + 1
                 if sets is not None:
                     meets &= _in_table(sets.value, h)
-                use = meets[line] & (pos < prefix[line]) & (cls > 1)
+                use = np.flatnonzero(meets[line] & (pos < prefix[line]) & (cls > 1))
+                # 32 bits of the word: words that share them only cost filters.
+                key = word[use] >> np.uint64(32)
                 if keys is not None:
-                    use[use] = _in_table(keys.value, word[use] >> np.uint64(32))
+                    hit = _in_table(keys.value, key)
+                    use, key = use[hit], key[hit]
                 li = line[use]
-                # 32 bits of the word: words that share them only cost filters.
-                yield _batch(word[use] >> np.uint64(32), h[li], doc[li], (lines.number[li].astype(np.int64) << 32) | pos[use], size[li], sketch[li])
+                common = np.flatnonzero(cls[use] >= hot)
+                packed = np.empty((len(use), OF_LINE), np.uint64)
+                packed[:, SET], packed[:, DOC], packed[:, AT], packed[:, SIZE], packed[:, SKETCH:] = h[li], doc[li], number[li] | _bits(pos[use]), _bits(size[li]) | (key << np.uint64(32)), sketch[li]
+                key[common] = np.uint64(HOT) | (tokens.mix(key[common] + (h[li[common]] % np.uint64(parts) << np.uint64(32))) >> np.uint64(2))
+                yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), _binary(packed)], names=["key", "packed"])
 
     return run
 
 
-def _batch(key, set_, doc, at, n, sketch) -> pa.RecordBatch:
-    long = lambda x: pa.array(x.view(np.int64) if x.dtype == np.uint64 else x.astype(np.int64))
-    return pa.RecordBatch.from_arrays([long(key), long(set_), long(doc), long(at), pa.array(n.astype(np.int32)), *(long(np.ascontiguousarray(sketch[:, k])) for k in range(4))], names=["key", "set", "doc", "at", "n", *SKETCH])
-
-
-def similar(a: dict, b: dict) -> np.ndarray:
-    """Filters of pairs that meet at a word: lengths, words left after it, and sketches."""
-    total = a["n"] + b["n"]
+def near(rows: np.ndarray, i: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Of pairs (i, j) of rows that meet at a word those that pass the filters, with their estimated distance and its limit: lengths,
+    words left after it, sketches. The cheap filters go first; each leaves fewer pairs to the next."""
+    size, pos = rows[:, SIZE].astype(np.int32), (rows[:, AT] & np.uint64(0xFFFFFFFF)).astype(np.int32)
+    a, b = size[i], size[j]
+    ok = np.minimum(a, b) * DEN >= np.maximum(a, b) * NUM
+    i, j, total = i[ok], j[ok], (a + b)[ok]
     need = needed(total)
-    ok = (np.minimum(a["n"], b["n"]) * DEN >= np.maximum(a["n"], b["n"]) * NUM) & (np.minimum(a["n"] - a["pos"], b["n"] - b["pos"]) >= need)
-    most = total - 2 * need
-    ok &= np.bitwise_count(a["s0"] ^ b["s0"]) <= most
-    small, wide = (a["n"] <= SMALL) & (b["n"] <= SMALL), a["wide"] & b["wide"]
-    apart = 0
-    for s in SKETCH[1:]:
-        further = np.bitwise_count(a[s] ^ b[s]).astype(np.int64)
-        ok &= ~small | (further <= most)
-        apart = apart + further
-    return ok & (~wide | (apart <= most))
-
-
-USED = ("n", "pos", "wide", *SKETCH)
-
-
-def _limited(i: np.ndarray, j: np.ndarray, first: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Of pairs (earlier, later) the ``first`` earliest of each later one, and whether it has more; first 0: all."""
-    order = np.lexsort((i, j))
-    i, j = i[order], j[order]
-    begin = np.flatnonzero(np.concatenate(([True], j[1:] != j[:-1]))) if len(j) else np.zeros(0, np.int64)
-    count = np.diff(np.append(begin, len(j)))
-    rank = np.arange(len(j)) - np.repeat(begin, count)
-    more = np.repeat(count > first, count) if first else np.zeros(len(j), bool)
-    keep = rank < first if first else np.ones(len(j), bool)
-    return i[keep], j[keep], more[keep]
-
-
-def short_pairs(rows: dict, size: np.ndarray, place: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Pairs (earlier, later) of rows in many short lists at once: ``place`` of each row within its list of ``size``."""
-    out_i, out_j = [], []
+    ok = np.minimum(size[i] - pos[i], size[j] - pos[j]) >= need
+    i, j, most = i[ok], j[ok], (total - 2 * need)[ok]
+    apart = np.bitwise_count(rows[i, SKETCH] ^ rows[j, SKETCH]).astype(np.int32)
+    ok = apart <= most
+    i, j, most, apart = i[ok], j[ok], most[ok], apart[ok]
+    further = np.bitwise_count(rows[i, SKETCH + 1 :] ^ rows[j, SKETCH + 1 :]).astype(np.int32)
+    small, wide = (size[i] <= SMALL) & (size[j] <= SMALL), (size[i] > NARROW) & (size[j] > NARROW)
+    apart = np.maximum(apart, np.where(small, further.max(axis=1, initial=0), np.where(wide, further.sum(axis=1), 0)))
+    ok = apart <= most
+    return i[ok], j[ok], apart[ok], most[ok]
+
+
+def _earlier(rows: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+    """Whether row i comes before row j: by document, line, then set, the same in every list."""
+    doc, line, own = rows[:, DOC].view(np.int64), rows[:, AT] >> np.uint64(32), rows[:, SET]
+    same = doc[i] == doc[j]
+    return (doc[i] < doc[j]) | (same & ((line[i] < line[j]) | ((line[i] == line[j]) & (own[i] < own[j]))))
+
+
+def short_pairs(size: np.ndarray, place: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """All pairs of rows in many short lists at once, by how far apart they are: ``place`` of each row within its list of ``size``."""
     i = np.arange(len(size))
     for d in range(1, int(size.max(initial=0))):
         i = i[place[i] + d < size[i]]
         if not len(i):
-            break
-        j = i + d
-        asked = i[rows["ask"][j] > 0]
-        j = asked + d
-        ok = similar({k: rows[k][asked] for k in USED}, {k: rows[k][j] for k in USED})
-        out_i.append(asked[ok]), out_j.append(j[ok])
-    none = np.zeros(0, np.int64)
-    return (np.concatenate(out_i), np.concatenate(out_j)) if out_i else (none, none)
-
-
-def long_pairs(rows: dict, first: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-    """(earlier, later, more) within one list, a stretch of later rows at a time."""
-    n = len(rows["n"])
+            return
+        yield i, i + d
+
+
+def long_pairs(n: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """All pairs within one list, a stretch of rows with those before them at a time."""
     step = max(1, (1 << 19) // max(n, 1))
     for lo in range(0, n, step):
-        later = np.arange(lo, min(lo + step, n))
-        later = later[rows["ask"][later] > 0]
-        if len(later):
-            hi = int(later[-1])
-            cols = USED
-            ok = similar({k: rows[k][None, :hi] for k in cols}, {k: rows[k][later, None] for k in cols}) & (np.arange(hi)[None] < later[:, None])
-            j, i = np.nonzero(ok)
-            yield _limited(i, later[j], first)
-
-
-#: kind 0: a pair of sets (a, b), more; 1: the first place of a set under its salt; 2: a later place; 3: a row of too long a list.
-FOUND = "kind int, a long, b long, doc long, at long, n int, ask int, key long, s0 long, s1 long, s2 long, s3 long"
-
-
-def _meet(first: int, block: int):
-    """Pairs of the lists of a stream sorted by (key, doc, line, set), and the places of sets."""
-
-    def found(kind, a, b=None, doc=None, at=None, n=None, ask=None, key=None, sketch=(None,) * 4) -> pa.RecordBatch:
-        size = len(a)
-        long = lambda x: pa.array(np.zeros(size, np.int64) if x is None else x.view(np.int64) if x.dtype == np.uint64 else x.astype(np.int64))
-        small = lambda x: pa.array(np.zeros(size, np.int32) if x is None else x.astype(np.int32))
-        cols = [pa.array(np.full(size, kind, np.int32)), long(a), long(b), long(doc), long(at), small(n), small(ask), long(key), *(long(x) for x in sketch)]
-        return pa.RecordBatch.from_arrays(cols, names=FOUND_NAMES)
-
-    def passed(r: dict) -> pa.RecordBatch:
-        return found(3, r["set"], None, r["doc"], r["at"], r["n"], r["ask"], r["key"], [r[s] for s in SKETCH])
-
-    def places(r: dict, before: set) -> Iterator[pa.RecordBatch]:
-        """Rows of sets: the first of each (key, set), unless an earlier batch had it, and the others."""
-        order = np.lexsort((np.arange(len(r["key"])), r["set"], r["key"]))
-        k, x = r["key"][order], r["set"][order]
-        head = np.zeros(len(order), bool)
-        head[order[np.concatenate(([True], (k[1:] != k[:-1]) | (x[1:] != x[:-1])))]] = True
-        if before:
-            head &= ~np.isin(r["set"], np.fromiter(before, np.uint64, len(before))) | (r["key"] != r["key"][0])
-        for kind, use in ((1, head), (2, ~head)):
-            if use.any():
-                yield found(kind, r["set"][use], None, r["doc"][use], r["at"][use], sketch=(r["s0"][use], None, None, None))
-
-    def closed(r: dict) -> Iterator[pa.RecordBatch]:
-        """Whole lists of words, in adjacent rows; a set stays once in each, at its first place."""
-        order = np.lexsort((np.arange(len(r["key"])), r["set"], r["key"]))
-        k, x = r["key"][order], r["set"][order]
-        keep = np.sort(order[np.concatenate(([True], (k[1:] != k[:-1]) | (x[1:] != x[:-1])))])
-        r = {c: v[keep] for c, v in r.items()}
-        begin = np.flatnonzero(np.concatenate(([True], r["key"][1:] != r["key"][:-1])))
-        count = np.diff(np.append(begin, len(r["key"])))
-        size = np.repeat(count, count)
-        place = np.arange(len(size)) - np.repeat(begin, count)
-        few = np.flatnonzero((size > 1) & (size <= SHORT))
-        if len(few):
-            part = {c: r[c][few] for c in (*USED, "ask", "set")}
-            i, j, more = _limited(*short_pairs(part, size[few], place[few]), first)
-            if len(i):
-                yield found(0, part["set"][i], part["set"][j], n=more)
-        for g in np.flatnonzero(count > SHORT).tolist():
-            part = {c: v[begin[g] : begin[g] + count[g]] for c, v in r.items()}
-            if count[g] > block:
-                yield passed(part)
-                continue
-            for i, j, more in long_pairs(part, first):
-                if len(i):
-                    yield found(0, part["set"][i], part["set"][j], n=more)
+        hi = min(lo + step, n)
+        i, j = np.indices((hi, hi - lo), np.int32).reshape(2, -1)
+        ok = i < j + lo
+        yield i[ok], j[ok] + lo
+
+
+#: kind 0: a pair of sets (a, b) with their documents, n twice its rank for b and odd if b has more; 1: the first place (doc, at) of a set
+#: a under its salt, in row b; 2: a later place; 3: a packed row of too long a list.
+FOUND = "kind int, a long, b long, doc long, at long, n int, key long, packed binary"
+FOUND_NAMES = [x.split()[0] for x in FOUND.split(", ")]
+
+
+def _found(kind: int, a, b=None, doc=None, at=None, n=None, key=None, packed=None) -> pa.RecordBatch:
+    size = len(a)
+    long = lambda x: pa.nulls(size, pa.int64()) if x is None else pa.array(np.ascontiguousarray(x).view(np.int64))
+    return pa.RecordBatch.from_arrays([pa.array(np.full(size, kind, np.int32)), long(a), long(b), long(doc), long(at), pa.nulls(size, pa.int32()) if n is None else pa.array(n.astype(np.int32)), long(key), pa.nulls(size, pa.binary()) if packed is None else _binary(packed)], names=FOUND_NAMES)
+
+
+def _firsts(keys: np.ndarray, rows: np.ndarray, *more: int) -> tuple[np.ndarray, np.ndarray]:
+    """(order, head): an order by key, set and place, and which of it are the first of their key and set."""
+    order = np.lexsort((*(rows[:, c] for c in more), rows[:, AT], rows[:, DOC].view(np.int64), rows[:, SET], keys))
+    k, x = keys[order], rows[order, SET]
+    return order, np.concatenate(([True], (k[1:] != k[:-1]) | (x[1:] != x[:-1])))[: len(order)]
+
+
+def _places(keys: np.ndarray, rows: np.ndarray) -> Iterator[pa.RecordBatch]:
+    """Whole groups of rows of sets: the first of each (key, set), and the others."""
+    order, head = _firsts(keys, rows, 3)
+    for kind, use in ((1, order[head]), (2, order[~head])):
+        if len(use):
+            part = rows[use]
+            yield _found(kind, part[:, SET], part[:, 3], part[:, DOC], part[:, AT])
+
+
+def _limited(rows: np.ndarray, pairs: Iterator[tuple[np.ndarray, np.ndarray]], first: int, asked) -> pa.RecordBatch | None:
+    """The pairs that pass, with the earlier set first: of each later row the ``first`` nearest (0: all)."""
+    got = []
+    for i, j in pairs:
+        i, j, apart, most = near(rows, i, j)
+        if len(i):
+            ok = _earlier(rows, i, j)
+            i, j = np.where(ok, i, j), np.where(ok, j, i)
+            if asked is not None:
+                ok = asked[j]
+                i, j, apart, most = i[ok], j[ok], apart[ok], most[ok]
+            got.append((i, j, apart, most))
+    if not got:
+        return None
+    i, j, apart, most = (np.concatenate(x) for x in zip(*got, strict=True))
+    order = np.lexsort((rows[i, SET], rows[i, AT], rows[i, DOC].view(np.int64), apart, j))
+    i, j, apart, most = i[order], j[order], apart[order], most[order]
+    begin = np.flatnonzero(np.diff(j, prepend=-1))
+    count = np.diff(np.append(begin, len(j)))
+    rank = np.arange(len(j)) - np.repeat(begin, count)
+    # Half of the limit or less: the nearest is almost certainly similar, so a few will do.
+    kept = np.where(2 * apart[begin] <= most[begin], first, max(first, RESERVE)) if first else count
+    more = np.repeat(count > kept, count)
+    keep = rank < np.repeat(kept, count)
+    i, j = i[keep], j[keep]
+    return _found(0, rows[i, SET], rows[j, SET], rows[i, DOC], rows[j, DOC], n=2 * rank[keep] + more[keep])
+
+
+def _lists(keys: np.ndarray, rows: np.ndarray, first: int, block: int, sets) -> Iterator[pa.RecordBatch]:
+    """Whole lists of words, in adjacent rows; a set stays once in each, at its first place."""
+    again = np.zeros(len(keys), bool)
+    again[1:] = keys[1:] == keys[:-1]
+    again[:-1] |= again[1:]
+    keys, rows = keys[again], rows[again]
+    order, head = _firsts(keys, rows)
+    keys, rows = keys[order[head]], rows[order[head]]
+    begin = np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1])))[: len(keys)]
+    count = np.diff(np.append(begin, len(keys)))
+    size = np.repeat(count, count)
+    place = np.arange(len(size)) - np.repeat(begin, count)
+    few = (size > 1) & (size <= SHORT)
+    asked = lambda part: None if sets is None else _in_table(sets, part[:, SET])
+    part = rows[few]
+    if (got := _limited(part, short_pairs(size[few], place[few]), first, asked(part))) is not None:
+        yield got
+    for g in np.flatnonzero(count > SHORT).tolist():
+        part = rows[begin[g] : begin[g] + count[g]]
+        if count[g] > block:
+            yield _passed(part)
+        elif (got := _limited(part, long_pairs(len(part)), first, asked(part))) is not None:
+            yield got
+
+
+def _passed(rows: np.ndarray) -> pa.RecordBatch:
+    return _found(3, rows[:, SET], None, rows[:, DOC], rows[:, AT], key=rows[:, SIZE] >> np.uint64(32), packed=rows)
+
+
+def _gathered(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[bool, np.ndarray, np.ndarray]]:
+    """(of sets, keys, rows) of a stream sorted by key, about ``GATHERED`` rows at a time."""
+    held: list[tuple[np.ndarray, np.ndarray]] = []
+    of_sets = True
+
+    def out():
+        keys, rows = (np.concatenate(x) for x in zip(*held, strict=True))
+        held.clear()
+        return of_sets, keys, rows
+
+    for batch in batches:
+        keys = batch.column(0).to_numpy()
+        cut = int(np.searchsorted(keys, 0))
+        for sets, part in ((True, slice(0, cut)), (False, slice(cut, len(keys)))):
+            if part.start < part.stop:
+                if sets != of_sets and held:
+                    yield out()
+                of_sets = sets
+                held.append((keys[part], _matrix(batch.column(1)[part], OF_SET if sets else OF_LINE)))
+        if sum(len(k) for k, _ in held) >= GATHERED:
+            yield out()
+    if held:
+        yield out()
+
+
+def _meet(first: int, block: int, sets=None):
+    """Pairs of the lists of a stream sorted by key, and the places of sets. With ``sets`` only pairs whose later set is in that table."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         release_memory()
-        held, over, seen, seen_key = None, None, set(), None
-        for batch in batches:
-            rows = _arrays(batch)
-            sets = rows["key"] < 0
-            if sets.any():
-                part = {k: v[sets] for k, v in rows.items()}
-                yield from places(part, seen if part["key"][0] == seen_key else set())
-                last = part["key"] == part["key"][-1]
-                seen = (seen if part["key"][-1] == seen_key else set()) | set(part["set"][last].tolist())
-                seen_key = part["key"][-1]
-            rows = {k: v[~sets] for k, v in rows.items()} if sets.any() else rows
-            if not len(rows["key"]):
-                continue
+        table = None if sets is None else sets.value
+        held: tuple[bool, np.ndarray, np.ndarray] | None = None
+        over = None  # the key of a list that has exceeded its limit
+
+        def close(of_sets, keys, rows):
+            return _places(keys, rows) if of_sets else _lists(keys, rows, first, block, table)
+
+        for of_sets, keys, rows in _gathered(batches):
+            if held is not None and held[0] == of_sets:
+                keys, rows = np.concatenate([held[1], keys]), np.concatenate([held[2], rows])
+            elif held is not None:
+                yield from close(*held)
+            held = None
+            salted = int(np.searchsorted(keys, HOT))
+            if salted < len(keys):
+                yield _passed(rows[salted:])
+                keys, rows = keys[:salted], rows[:salted]
+                if not len(keys):
+                    continue
             if over is not None:
-                same = rows["key"] == over
-                if same.any():
-                    yield passed({k: v[same] for k, v in rows.items()})
-                    rows = {k: v[~same] for k, v in rows.items()}
-                if len(rows["key"]):
+                same = int(np.searchsorted(keys, over, "right")) if not of_sets else 0
+                if same:
+                    yield _passed(rows[:same])
+                    keys, rows = keys[same:], rows[same:]
+                if len(keys):
                     over = None
                 else:
                     continue
-            if held is not None:
-                rows = {k: np.concatenate([held[k], rows[k]]) for k in rows}
-                held = None
-            tail = int(np.searchsorted(rows["key"], rows["key"][-1]))
+            tail = int(np.searchsorted(keys, keys[-1]))
             if tail:
-                yield from closed({k: v[:tail] for k, v in rows.items()})
-            rest = {k: v[tail:] for k, v in rows.items()}
-            if len(rest["key"]) > 4 * block:
-                over = rest["key"][0]
-                yield passed(rest)
-            else:
-                held = rest
+                yield from close(of_sets, keys[:tail], rows[:tail])
+            keys, rows = keys[tail:], rows[tail:]
+            if of_sets:  # of a set that goes on only the first place so far is held
+                order, head = _firsts(keys, rows, 3)
+                late = rows[order[~head]]
+                if len(late):
+                    yield _found(2, late[:, SET], late[:, 3], late[:, DOC], late[:, AT])
+                keys, rows = keys[order[head]], rows[order[head]]
+            elif len(keys) > 4 * block:
+                over = keys[0]
+                yield _passed(rows)
+                continue
+            held = of_sets, keys, rows
         if held is not None:
-            yield from closed(held)
+            yield from close(*held)
 
     return run
 
 
-FOUND_NAMES = [x.split()[0] for x in FOUND.split(", ")]
-
-
-def _arrays(batch: pa.RecordBatch) -> dict:
-    rows = {name: batch.column(name).to_numpy() for name in ("key", "set", "doc", "at", *SKETCH)}
-    for k in ("set", *SKETCH):
-        rows[k] = rows[k].view(np.uint64)
-    rows["n"] = batch.column("n").to_numpy().astype(np.int64)
-    rows["pos"] = rows["at"] & 0xFFFFFFFF
-    rows["wide"] = rows["n"] > NARROW
-    rows["ask"] = batch.column("ask").to_numpy() if "ask" in batch.schema.names else np.ones(batch.num_rows, np.int32)
-    return rows
-
-
 def _dealt(rows: DataFrame) -> DataFrame:
-    n = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    # Rows that share an id tie in their places; by set the order is the same in every list.
-    return rows.repartition(n, "key").sortWithinPartitions("key", "doc", F.shiftright("at", 32), "set")
+    return rows.repartition("key").sortWithinPartitions("key")
 
 
 def _pairs(found: DataFrame, first: int, block: int) -> DataFrame:
-    """(a, b, more) of distinct pairs, those of overlong lists included."""
-    few = found.where("kind = 0").select("a", "b", "n")
-    return few.unionAll(_overfull(found.where("kind = 3"), first, block)).groupBy("a", "b").agg((F.max("n") > 0).alias("more"))
+    """(a, b, doc_a, doc_b, more) of distinct pairs, those of overlong lists included."""
+    few = found.where("kind = 0").select("a", "b", "doc", "at", "n")
+    every = few.unionAll(_overfull(found.where("kind = 3"), first, block))
+    # A set's rows all name its first place, so any of them does.
+    return every.groupBy("a", "b").agg(F.min("doc").alias("doc_a"), F.min("at").alias("doc_b"), (F.max(F.col("n") % 2) > 0).alias("more"))
 
 
 def _overfull(rows: DataFrame, first: int, block: int) -> DataFrame:
     """Pairs of the lists over a block: sets are dealt into blocks by hash, each pair of blocks is a list of its own."""
-    once = rows.groupBy("key", "a").agg(F.min(F.struct("doc", "at")).alias("first"), F.max("n").alias("n"), F.max("ask").alias("ask"), *[F.max(c).alias(c) for c in SKETCH]).select("*", "first.doc", "first.at")
-    sizes = once.groupBy("key").agg(F.count("*").alias("size"))
-    own = once.join(sizes, "key").withColumn("of", F.ceil(F.col("size") / block).cast("int")).withColumn("own", F.pmod(F.xxhash64("a"), F.col("of")).cast("int"))
+    once = rows.groupBy("key", "a").agg(F.min(F.struct("doc", "at", "packed")).alias("first"))
+    sizes = once.groupBy("key").agg(F.count("*").alias("size")).select(F.col("key").bitwiseXOR(F.lit(1)).alias("k"), F.ceil(F.col("size") / block).cast("int").alias("of"))
+    # The key is computed anew, so that the join can split a list that is too long for a task.
+    own = once.join(sizes, F.col("key").bitwiseXOR(F.lit(1)) == F.col("k")).withColumn("own", F.pmod(F.xxhash64("a"), F.col("of")).cast("int"))
     other = F.explode(F.sequence(F.lit(0), F.col("of") - 1))
-    # Keys of words are not negative: the sign bit is cleared.
-    key = F.xxhash64("key", F.least("own", "other"), F.greatest("own", "other")).bitwiseAND(F.lit((1 << 63) - 1))
-    paired = own.withColumn("other", other).select(key.alias("key"), F.col("a").alias("set"), "doc", "at", "n", "ask", *SKETCH)
-    return _dealt(paired).mapInArrow(_meet(first, 1 << 60), FOUND).where("kind = 0").select("a", "b", "n")
+    # Like keys of words: neither negative nor salted.
+    key = F.xxhash64("key", F.least("own", "other"), F.greatest("own", "other")).bitwiseAND(F.lit(HOT - 1))
+    paired = own.withColumn("other", other).select(key.alias("key"), F.col("first.packed").alias("packed"))
+    return _dealt(paired).mapInArrow(_meet(first, 1 << 60), FOUND).where("kind = 0").select("a", "b", "doc", "at", "n")
+
+
+def _doc_key(c: str) -> Column:
+    return F.col(c).bitwiseXOR(F.lit(-1))
 
 
 def _verified(pairs: DataFrame, docs: DataFrame, work: Workspace, rarity) -> DataFrame:
     """``pairs`` (a, b, doc_a, doc_b, ...) with ``same``, compared word by word. Only documents in pairs are cut into words again,
     and only lines in pairs are shuffled; both are found in one table of fixed size, whose chance hits cost time only."""
-    wanted_of = pairs.select(F.explode(F.array("a", "b", F.col("doc_a").bitwiseXOR(F.lit(-1)), F.col("doc_b").bitwiseXOR(F.lit(-1)))).alias("h")).distinct()
+    wanted_of = pairs.select(F.explode(F.array("a", "b", _doc_key("doc_a"), _doc_key("doc_b"))).alias("h")).distinct()
     wanted = docs.sparkSession.sparkContext.broadcast(count_table(wanted_of, _first_column))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -447,33 +532,37 @@ def _verified(pairs: DataFrame, docs: DataFrame, work: Workspace, rarity) -> Dat
 def _decided(docs: DataFrame, work: Workspace, id_col: str, text_col: str, first: int, block: int) -> tuple[DataFrame, ...]:
     """First places of sets by salt, later places, first places of sets, and the sets that match an earlier one; all of them saved."""
     spark = docs.sparkSession
-    texts = docs.where(F.col(text_col).isNotNull()).select(_order(id_col), F.col(text_col).alias("text"), "row_key")
-    rarity = spark.sparkContext.broadcast(count_table(texts.select("text"), lambda b: (p.word for _, p in tokens.pieces(b.column(0)))))
-    found = work.save(_dealt(texts.mapInArrow(_nodes(rarity), ROW)).mapInArrow(_meet(first, block), FOUND), "found")
+    text = F.col("row").getField(text_col)
+    texts = docs.where(text.isNotNull()).select(F.coalesce(F.col("row").getField(id_col).cast("long"), F.lit(LAST_ID)).alias("doc"), text.alias("text"), "row_key")
+    shared = spark.sparkContext.broadcast
+    # A word of count one meets nothing, so that its cell may as well be empty.
+    rarity = shared(count_table(texts.select("text"), lambda b: (p.word for _, p in tokens.pieces(b.column(0))), least=2))
+    # A word is frequent if it may make a task's rows several times as many as others'; there are few such words.
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    total = (np.bincount(rarity.value, minlength=64) * 2.0 ** (np.arange(64) - 0.5))[1:].sum()
+    hot = max(int(np.log2(2 * block)) + 1, int(np.log2(max(total / (8 * parts), 1))) + 2)
+    salted = {"hot": hot, "parts": parts}
+    found = work.save(_dealt(texts.mapInArrow(_nodes(rarity, **salted), ROW)).mapInArrow(_meet(first, block), FOUND), "found")
     place = F.shiftright("at", 32).cast("int").alias("line")
-    begins = found.where("kind = 1").select(F.col("a").alias("set"), "doc", place, F.col("s0").alias("row_key"))
-    again = found.where("kind = 2").select(F.col("s0").alias("row_key"), place)
+    begins = found.where("kind = 1").select(F.col("a").alias("set"), "doc", place, F.col("b").alias("row_key"))
+    again = found.where("kind = 2").select(F.col("b").alias("row_key"), place)
     first_place = F.min(F.struct("doc", "line", "row_key"))
-    firsts = begins.groupBy("set").agg(F.count("*").alias("times"), first_place.alias("p")).select("set", "times", F.col("p.doc").alias("first_doc"), F.col("p.row_key").alias("first_row"))
-
-    def in_order(pairs: DataFrame) -> DataFrame:
-        """Pairs with the documents of their sets."""
-        of = lambda c: firsts.select(F.col("set").alias(c), F.col("first_doc").alias(f"doc_{c}"))
-        return pairs.join(of("a"), "a").join(of("b"), "b")
-
-    pairs = work.save(in_order(_pairs(found, first, block)), "candidates")
+    firsts = begins.groupBy("set").agg(F.count("*").alias("times"), first_place.alias("p")).select("set", "times", F.col("p.row_key").alias("first_row"))
+    pairs = work.save(_pairs(found, first, block), "candidates")
     checked = work.save(_verified(pairs, texts, work, rarity), "checked")
     matched = checked.where("same").select("b").distinct()
-    left = pairs.where("more").select("b").distinct().join(matched, "b", "left_anti")
+    left = pairs.where("more").join(matched, "b", "left_anti").groupBy("b").agg(F.min("doc_b").alias("doc_b"))
+    left = work.save(left, "left")
     if not left.isEmpty():
-        # The lines are cut again, twice: for the words of the asked lines, then for all that meets them. Tables of fixed size
-        # hold both, so only these rows are shuffled.
-        asked_sets = spark.sparkContext.broadcast(count_table(left, _first_column))
-        keys = texts.mapInArrow(_nodes(rarity, sets=asked_sets), ROW).select("key")
-        asked_keys = spark.sparkContext.broadcast(count_table(keys, _first_column))
-        rows = texts.mapInArrow(_nodes(rarity, keys=asked_keys), ROW).join(left.select(F.col("b").alias("set"), F.lit(1).alias("ask")), "set", "left").withColumn("ask", F.coalesce("ask", F.lit(0)))
-        rest = work.save(_dealt(rows).mapInArrow(_meet(0, block), FOUND), "rest")
-        rest = in_order(_pairs(rest, 0, block).join(checked.select("a", "b"), ["a", "b"], "left_anti"))
+        # The lines are cut again: those asked for, for their words, then all that meet them. Tables of fixed size hold documents,
+        # sets and words, so only these rows are shuffled.
+        asked_sets = shared(count_table(left.select("b"), _first_column))
+        asked_docs = shared(count_table(left.select("doc_b").distinct(), _first_column))
+        keys = texts.mapInArrow(_nodes(rarity, docs=asked_docs, sets=asked_sets), ROW).select("key")
+        asked_keys = shared(count_table(keys, _first_column))
+        rows = texts.mapInArrow(_nodes(rarity, keys=asked_keys, **salted), ROW)
+        rest = work.save(_dealt(rows).mapInArrow(_meet(0, block, asked_sets), FOUND), "rest")
+        rest = _pairs(rest, 0, block).join(left.select("b"), "b", "left_semi").join(checked.select("a", "b"), ["a", "b"], "left_anti")
         matched = matched.unionAll(_verified(work.save(rest, "rest-pairs"), texts, work, rarity).where("same").select("b")).distinct()
     return begins, again, firsts, work.save(matched, "matched")
 
@@ -505,10 +594,14 @@ def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     work = Workspace(docs.sparkSession, "lines")
     rows = row_keyed(docs, work)
     gone = _removals(rows, work, id_col, text_col, first, block)
-    own = rows.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col(f"`{text_col}`").alias("t"), "row_key")
+    own = rows.select("row", F.col("row").getField(text_col).alias("t"), "row_key")
     joined = own.join(gone.hint("shuffle_hash"), F.col("row_key") == F.col("gone_from"), "left")
-    kept = F.filter(F.split("t", "\n", -1), lambda x, i: ~F.array_contains("gone", i))
-    return joined.select("row", F.when(F.col("gone").isNull(), F.col("t")).otherwise(F.array_join(kept, "\n")).alias("text"), (F.length("t") - F.length(F.translate("t", "\n", "")) + 1).cast("long").alias("n_lines"), F.coalesce(F.size("gone"), F.lit(0)).cast("long").alias("n_removed"))
+    n_lines = F.octet_length("t") - F.octet_length(F.replace("t", F.lit("\n"), F.lit(""))) + 1
+    # The numbers that stay, as a set difference: a test of each line against a list would take lines times removals.
+    stay = F.array_except(F.sequence(F.lit(0), (n_lines - 1).cast("int")), "gone")
+    # The lines are bound once, by a lambda over the one array of them.
+    kept = F.get(F.transform(F.array(F.split("t", "\n", -1)), lambda lines: F.array_join(F.transform(stay, lambda i: F.get(lines, i)), "\n")), 0)
+    return joined.select("row", F.when(F.col("gone").isNull(), F.col("t")).otherwise(kept).alias("text"), n_lines.cast("long").alias("n_lines"), F.coalesce(F.size("gone"), F.lit(0)).cast("long").alias("n_removed"))
 
 
 def query(spark, sf_dir: str) -> DataFrame:

@@ -11,9 +11,9 @@ members yields less than n links, however many pairs it holds. A bucket that exc
 of blocks. Documents with equal fingerprints are one node.
 
 Defined results: a null text counts as empty; texts without words have the fingerprint zero and are linked like any others;
-texts shorter than a shingle are one shingle; whole texts are hashed, in pieces of fixed size; rows that repeat an id are
-copies of a node; a null id takes part, and a component of null ids alone has a null id; an empty table gives an empty result;
-further columns do not matter to ``near_duplicates`` and pass through ``deduplicate``.
+texts shorter than a shingle are one shingle; whole texts are hashed, in pieces of fixed size; rows that repeat an id or have none
+are rows like any others, each with its own fingerprint; a component of null ids alone has a null id; an empty table gives an
+empty result; further columns do not matter to ``near_duplicates`` and pass through ``deduplicate``.
 """
 
 from __future__ import annotations
@@ -26,17 +26,20 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from adaptivejoin.llm.common import Workspace, table
+from adaptivejoin.llm.common import Workspace, columns_of_row, release_memory, row_keyed, table
 from adaptivejoin.llm.components import components
 
 SEED = 42
 SHINGLE = 5
 MOST_BITS = 4
 SEGMENTS = 8
-CHAIN = 5
+#: Lengths of chains: the key of a longer one has more bits, and there are more of them.
+CHAINS = (5, 7, 8)
 #: Words hashed at a time, and the members of a bucket that are compared with one another at a time.
 PIECE = 1 << 16
 BLOCK = 2048
+#: Pairs checked at a time.
+STRETCH = 1 << 14
 
 
 def fingerprint(text: bytes, width: int = SHINGLE, seed: int = SEED) -> int:
@@ -62,18 +65,30 @@ def fingerprint(text: bytes, width: int = SHINGLE, seed: int = SEED) -> int:
     return int(np.packbits((2 * set_in > n).astype(np.uint8), bitorder="little").view("<u8")[0].astype(np.int64))
 
 
-def fingerprints(docs: DataFrame, width: int = SHINGLE, seed: int = SEED, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, fp) of every row."""
+def fingerprints(docs: DataFrame, width: int = SHINGLE, seed: int = SEED, id_col: str = "doc_id", text_col: str = "text", row_col: str | None = None) -> DataFrame:
+    """(doc_id, fp[, row_key]) of every row."""
+    more = [F.col(row_col).alias("row_key")] if row_col else []
+    extra = len(more)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        release_memory()
         for batch in batches:
-            fps = [fingerprint((t.as_py() or "").encode("utf-8", "replace"), width, seed) for t in batch.column(1)]
-            yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), pa.array(fps, pa.int64())], names=["doc_id", "fp"])
+            fps = [fingerprint((t.as_py() or "").encode("utf-8", "replace"), width, seed) for t in batch.column(0)]
+            yield pa.RecordBatch.from_arrays([batch.column(1).cast(pa.int64()), pa.array(fps, pa.int64()), *(batch.column(2 + i) for i in range(extra))], names=["doc_id", "fp", *["row_key"] * extra])
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, "doc_id long, fp long")
+    return docs.select(F.col(text_col).alias("text"), F.col(id_col).cast("long").alias("doc_id"), *more).mapInArrow(run, "doc_id long, fp long" + ", row_key long" * extra)
 
 
-def chain_masks(most: int = MOST_BITS, segments: int = SEGMENTS, chain: int = CHAIN) -> list[int]:
+def chain_of(fingerprints: int, most: int = MOST_BITS, segments: int = SEGMENTS) -> int:
+    """The shortest chain whose equal segments have at least as many bits as the number of fingerprints: buckets of unrelated ones
+    then stay small however many there are."""
+    for chain in CHAINS:
+        if (chain - chain * most // segments) * 64 // segments >= np.log2(max(fingerprints, 1)):
+            return chain
+    return CHAINS[-1]
+
+
+def chain_masks(most: int = MOST_BITS, segments: int = SEGMENTS, chain: int = CHAINS[0]) -> list[int]:
     """Masks of the segments that are equal, over all starts and all ways to keep a chain of ``chain`` segments in budget.
 
     Within the first ``k`` segments of the chain at most ``k * most // segments`` may differ, so at least the rest is equal.
@@ -109,12 +124,13 @@ def _chain_holds(diff: np.ndarray, most: int, segments: int) -> np.ndarray:
 def _linked(a: np.ndarray, b: np.ndarray, most: int, segments: int) -> np.ndarray:
     """Which of the pairs are within ``most`` bits; the chain condition goes first and leaves few for the full check."""
     diff = a ^ b
-    found = np.zeros(diff.shape, bool)
-    left = np.flatnonzero(_chain_holds(diff.ravel(), most, segments)) if diff.size <= 4096 else None
-    if left is None:
-        return np.bitwise_count(diff) <= most
-    found.ravel()[left] = np.bitwise_count(diff.ravel()[left]) <= most
-    return found
+    flat = diff.ravel()
+    found = np.zeros(flat.shape, bool)
+    for at in range(0, len(flat), STRETCH):
+        part = flat[at : at + STRETCH]
+        left = np.flatnonzero(_chain_holds(part, most, segments))
+        found[at + left] = np.bitwise_count(part[left]) <= most
+    return found.reshape(diff.shape)
 
 
 def bucket_links(fps: np.ndarray, most: int, segments: int) -> tuple[np.ndarray, np.ndarray]:
@@ -199,7 +215,7 @@ def _small_buckets(masks: list[int], most: int, segments: int, block: int):
             pairs = end - begin == 2
             if pairs.any():
                 a, b = fp[begin[pairs]], fp[begin[pairs] + 1]
-                good = _linked(a, b, most, segments) if len(a) <= 4096 else np.concatenate([_linked(a[i : i + 4096], b[i : i + 4096], most, segments) for i in range(0, len(a), 4096)])
+                good = _linked(a, b, most, segments)
                 emit(a[good], b[good], -1)
             for s, e in zip(begin[~pairs].tolist(), end[~pairs].tolist(), strict=True):
                 if e - s > block:
@@ -244,14 +260,13 @@ def _small_buckets(masks: list[int], most: int, segments: int, block: int):
     return run
 
 
-def links(nodes: DataFrame, work: Workspace, most: int = MOST_BITS, segments: int = SEGMENTS, chain: int = CHAIN, block: int = BLOCK) -> DataFrame:
+def links(nodes: DataFrame, work: Workspace, most: int = MOST_BITS, segments: int = SEGMENTS, chain: int | None = None, block: int = BLOCK) -> DataFrame:
     """Links (a, b) that connect all distinct fingerprints ``fp`` within ``most`` bits, directly or through others."""
-    masks = chain_masks(most, segments, chain)
+    masks = chain_masks(most, segments, chain or chain_of(nodes.count(), most, segments))
     signed = [m - (1 << 64) if m >> 63 else m for m in masks]
     keys = F.explode(F.array(*[F.struct(F.lit(i).alias("mask"), F.col("fp").bitwiseAND(F.lit(m)).alias("key")) for i, m in enumerate(signed)]))
     buckets = nodes.select("fp", keys.alias("k")).select("k.mask", "k.key", "fp")
-    n = int(nodes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    dealt = buckets.repartition(n, "mask", "key").sortWithinPartitions("mask", "key", "fp")
+    dealt = buckets.repartition("mask", "key").sortWithinPartitions("mask", "key", "fp")
     found = work.save(dealt.mapInArrow(_small_buckets(signed, most, segments, block), "a long, b long, mask int"), "links")
     direct = found.where("mask < 0").select("a", "b")
     return direct.unionAll(_overfull(found.where("mask >= 0"), work, most, segments, block))
@@ -263,8 +278,7 @@ def _overfull(members: DataFrame, work: Workspace, most: int, segments: int, blo
     blocks = members.join(sizes, ["mask", "b"]).select("mask", F.col("b").alias("key"), F.col("a").alias("fp"), F.ceil(F.col("n") / block).cast("int").alias("of")).withColumn("own", F.pmod(F.xxhash64("fp"), F.col("of")).cast("int"))
     others = F.explode(F.sequence(F.lit(0), F.col("of") - 1))
     paired = blocks.withColumn("other", others).select(F.xxhash64("mask", "key").alias("bucket"), F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "fp")
-    n = int(members.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    dealt = paired.repartition(n, "bucket", "i", "j").sortWithinPartitions("bucket", "i", "j", "fp")
+    dealt = paired.repartition("bucket", "i", "j").sortWithinPartitions("bucket", "i", "j", "fp")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for _, fps, _ in _groups(batches, 3, 1 << 62):
@@ -275,23 +289,38 @@ def _overfull(members: DataFrame, work: Workspace, most: int, segments: int, blo
     return dealt.mapInArrow(run, "a long, b long")
 
 
+def _rooted(of_doc: DataFrame, work: Workspace, most: int) -> DataFrame:
+    """(fp, root) of every distinct fingerprint."""
+    nodes = work.save(of_doc.select("fp").distinct(), "nodes")
+    roots = components(links(nodes, work, most), work)
+    return nodes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
+
+
+def _mixed(c: str):
+    """A key that is computed anew, so that a join deals out both sides by itself and can split a hot value."""
+    return F.col(c).bitwiseXOR(F.lit(1))
+
+
 def near_duplicates(docs: DataFrame, width: int = SHINGLE, most: int = MOST_BITS, seed: int = SEED) -> DataFrame:
     """(doc_id, fp, component_id) of every row; component_id is the smallest doc_id that links reach, its own included."""
     work = Workspace(docs.sparkSession, "simhash")
     of_doc = work.save(fingerprints(docs, width, seed), "fingerprints")
-    nodes = of_doc.groupBy("fp").agg(F.min("doc_id").alias("first"))
-    roots = components(links(nodes.select("fp"), work, most), work)
-    of_node = nodes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
-    of_root = of_node.groupBy("root").agg(F.min("first").alias("component_id"))
-    ids = of_node.select("fp", "root").join(of_root, "root").select(F.col("fp").bitwiseXOR(F.lit(1)).alias("key"), "component_id")
-    return of_doc.withColumn("key", F.col("fp").bitwiseXOR(F.lit(1))).join(ids, "key").select("doc_id", "fp", "component_id")
+    of_node = work.save(_rooted(of_doc, work, most), "roots")
+    firsts = of_doc.groupBy("fp").agg(F.min("doc_id").alias("first"))
+    of_root = firsts.join(of_node, "fp").groupBy("root").agg(F.min("first").alias("component_id"))
+    ids = of_node.select("fp", _mixed("root").alias("k")).join(of_root.select(_mixed("root").alias("k"), "component_id"), "k").select(_mixed("fp").alias("key"), "component_id")
+    return of_doc.withColumn("key", _mixed("fp")).join(ids, "key").select("doc_id", "fp", "component_id")
 
 
 def deduplicate(docs: DataFrame, width: int = SHINGLE, most: int = MOST_BITS, seed: int = SEED) -> DataFrame:
-    """The rows of ``docs`` that are the first of their component; rows that repeat its id all stay."""
-    found = near_duplicates(docs, width, most, seed)
-    gone = found.where(~F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("gone_id"))
-    return docs.join(gone, docs["doc_id"].cast("long") == F.col("gone_id"), "left_anti")
+    """One row of ``docs`` of each component: of those with the smallest id (rows without one last), the one with the smallest row key."""
+    work = Workspace(docs.sparkSession, "simhash")
+    rows = row_keyed(docs, work)
+    of_doc = work.save(fingerprints(rows.select("row.doc_id", "row.text", "row_key"), width, seed, row_col="row_key"), "fingerprints")
+    rooted = of_doc.withColumn("k", _mixed("fp")).join(_rooted(of_doc, work, most).select(_mixed("fp").alias("k"), "root"), "k")
+    first = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "row_key")
+    kept = rooted.groupBy("root").agg(F.min(first).alias("first")).select(F.col("first.row_key").alias("row_key"))
+    return rows.join(kept, "row_key", "left_semi").select(*columns_of_row(docs.columns))
 
 
 def query(spark, sf_dir: str) -> DataFrame:

@@ -13,8 +13,10 @@ SPACE = np.zeros(256, bool)
 SPACE[[9, 10, 11, 12, 13, 32]] = True
 FOLD = np.arange(256, dtype=np.uint8)
 FOLD[65:91] += 32
-_BYTE = np.random.default_rng(11).integers(1, 1 << 63, 256, dtype=np.uint64) | np.uint64(1)
-_PLACE = np.cumprod(np.concatenate(([np.uint64(1)], np.full(4095, 0x9E3779B97F4A7C15, np.uint64))))
+_BLOCK_MASK = np.array([(1 << 8 * k) - 1 for k in range(9)], np.uint64)
+_LENGTH = np.uint64(0x9E3779B97F4A7C15)
+#: Words of more bytes are hashed one by one.
+LONG_WORD = 256
 
 
 def mix(h: np.ndarray) -> np.ndarray:
@@ -24,6 +26,24 @@ def mix(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> np.uint64(33))
 
 
+def word_hashes(data: np.ndarray, begin: np.ndarray, length: np.ndarray) -> np.ndarray:
+    """64-bit hashes of the words at ``begin``, eight bytes a step; ``data`` ends with eight spare bytes. Every step mixes all
+    64 bits, so neither the order of bytes nor their place in a word can be exchanged."""
+    from xxhash import xxh64_intdigest
+
+    rows = np.lib.stride_tricks.as_strided(data, (max(len(data) - 7, 0), 8), (1, 1))
+    block = lambda at, size: rows[at].view("<u8").ravel() & _BLOCK_MASK[np.minimum(size, 8)]
+    out = mix(block(begin, length) ^ (length.astype(np.uint64) * _LENGTH))
+    at, left = np.flatnonzero((length > 8) & (length <= LONG_WORD)), 8
+    while len(at):
+        out[at] = mix(out[at] ^ block(begin[at] + left, length[at] - left))
+        left += 8
+        at = at[length[at] > left]
+    for i in np.flatnonzero(length > LONG_WORD).tolist():
+        out[i] = xxh64_intdigest(data[begin[i] : begin[i] + length[i]].tobytes(), 11)
+    return out
+
+
 @dataclass
 class Lines:
     """``word``: hash of each word; ``line``: index of its line; ``row``, ``number``: of each line, its row and place in it."""
@@ -66,10 +86,9 @@ def split(data: np.ndarray, at: np.ndarray) -> Lines:
         last[inner - 1] = solid[inner - 1]
     begin = np.flatnonzero(first)
     length = np.flatnonzero(last) + 1 - begin
-    value = _BYTE[FOLD[data[solid]]]
-    offset = np.cumsum(length) - length
-    place = np.arange(len(value)) - np.repeat(offset, length)
-    word = mix(np.add.reduceat(value * _PLACE[place & 4095], offset) ^ length.astype(np.uint64)) if len(begin) else np.zeros(0, np.uint64)
+    folded = np.zeros(n + 8, np.uint8)
+    np.take(FOLD, data, out=folded[:n])
+    word = word_hashes(folded, begin, length) if len(begin) else np.zeros(0, np.uint64)
     breaks = np.flatnonzero(data == 10)
     of_break = np.searchsorted(at, breaks, "right") - 1
     count = np.bincount(of_break, minlength=rows) + 1

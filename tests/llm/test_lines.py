@@ -50,6 +50,29 @@ def test_lines_and_words_match_split():
             assert len(set(names.values())) == len(names)
 
 
+def test_word_hashes_tell_words_apart():
+    """Words of 1024 letters, bytes swapped 4096 apart, order, padding: hashes of all bytes in their order."""
+    rng = random.Random(4)
+    a, b = ("".join(rng.choice("abcdefgh") for _ in range(1024)) for _ in range(2))
+    body = "x" * 5000
+    c, d = (body[:100] + u + body[102:4196] + v + body[4198:] for u, v in (("ab", "cd"), ("cd", "ab")))
+    words = [a, b, c, d, a[:200], b[:200], a[8:16] + a[:8], a[:16], "ab", "ba", "a\x00", "a", "abcdefgh", "abcdefghabcdefgh", "é"]
+    got = next(tokens.pieces(pa.array([" ".join(words)])))[1].word
+    assert len(set(got.tolist())) == len(words)
+    again = next(tokens.pieces(pa.array(["zz " + " ".join(w.upper() if w.isascii() else w for w in words)])))[1].word
+    assert again[1:].tolist() == got.tolist()
+
+
+def test_lines_of_long_similar_words(spark):
+    """Eight of twelve words shared is 0.5: nothing goes, however alike the others look; eleven shared is 11/13."""
+    swap = lambda w: w[:100] + w[4196:4198] + w[102:4196] + w[100:102] + w[4198:]
+    own = [f"{i}" + "x" * 99 + "ab" + "x" * 4094 + "cd" + "x" * 50 for i in range(4)]
+    same = [f"w{i}" for i in range(8)]
+    rows = [(1, " ".join(same + own)), (2, " ".join(same + [swap(w) for w in own])), (3, " ".join(same + own[:3] + [swap(own[3])]))]
+    got = {r.row.doc_id: r.n_removed for r in lines.deduplicate(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {1: 0, 2: 0, 3: 1}
+
+
 def test_sketch_never_exceeds_the_difference():
     rng = random.Random(2)
     for _ in range(200):
@@ -97,7 +120,7 @@ def test_nulls_blank_repeated_and_other_columns(spark):
     rows = [(5, f"{p}\n\nshort line\n{p} ", "k"), (5, f"{p}\n\nshort line\n{p} ", "k"), (6, None, "k"), (7, "", "k"), (None, f"{p}\nshort line", "k"), (8, long, "k"), (9, "x\n" + long, "k"), (4, "SIX five four three two one", "k")]
     df = spark.createDataFrame(rows, "doc_id long, text string, gone string")
     got = sorted((r.row.doc_id or 99, r.text, r.n_removed) for r in lines.deduplicate(df).select("row", F.substring("text", 1, 30).alias("text"), "n_removed").collect() if r.row.doc_id != 6)
-    assert got == [(4, "SIX five four three two one", 0), (5, "\nshort line", 2), (5, "\nshort line", 2), (7, "", 0), (8, long[:30], 0), (9, "x", 1), (99, "short line", 1)]
+    assert got == [(4, "SIX five four three two one", 0), (5, "", 3), (5, "\nshort line", 2), (7, "", 0), (8, long[:30], 0), (9, "x", 1), (99, "", 2)]
     assert lines.deduplicate(df.where("doc_id = 6")).first().text is None
     assert lines.deduplicate(df.limit(0)).collect() == []
 
@@ -122,6 +145,24 @@ def test_one_of_similar_lines_at_the_same_place_stays(spark):
     assert sum(x.text != "" for x in out) == 1
 
 
+def test_one_id_on_two_texts_and_null_ids(spark):
+    """Only the row that repeats a line loses it, whatever ids the rows share."""
+    p = "one two three four five six"
+    rows = [(1, p), (7, p), (7, "totally unrelated words that nothing else holds"), (None, "a line of its own here"), (None, f"{p}\nanother line of its own")]
+    got = sorted(r.text for r in lines.deduplicate(spark.createDataFrame(rows, "doc_id long, text string")).collect())
+    assert got == sorted([p, "", "totally unrelated words that nothing else holds", "a line of its own here", "another line of its own"])
+
+
+def test_frequent_words_are_dealt_out(spark, monkeypatch):
+    """Salted words and small blocks: the same result."""
+    rng = random.Random(9)
+    rows = [(d, "\n".join(" ".join(["hot", *(rng.choice("abcdefghij") * 3 for _ in range(rng.randint(3, 7)))]) for _ in range(4))) for d in range(150)]
+    want = brute(rows)
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    got = {r.row.doc_id: r.text for r in lines.deduplicate(df, block=8).collect()}
+    assert got == want
+
+
 def test_short_lines_take_part(spark):
     """One to four distinct words; four match five that hold them, three do not match four."""
     few = " ".join(["a", "b", "c", "d"] * 15)

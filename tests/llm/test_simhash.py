@@ -5,6 +5,7 @@ import xxhash
 from adaptivejoin.llm import simhash
 from adaptivejoin.llm.common import Workspace
 from adaptivejoin.llm.components import components
+from pyspark.sql import functions as F
 
 
 def brute_fingerprint(text, width, seed=42):
@@ -113,17 +114,43 @@ def test_dense_buckets_in_blocks_match_brute_force(spark):
 
 
 def test_nulls_ties_repeats_and_other_columns(spark):
-    rows = [(1, None, "a"), (2, "", "b"), (3, " \n", "c"), (4, "one two", "d"), (4, "one two", "e"), (5, "ONE  two", "f"), (None, "three", "g"), (6, "word " * 30000, "h")]
-    df = spark.createDataFrame(rows, "doc_id long, text string, fp string")
+    rows = [(1, None, "a"), (2, "", "b"), (3, " \n", "c"), (4, "one two", "d"), (4, "one two", "d"), (5, "ONE  two", "f"), (None, "three", "g"), (6, "word " * 30000, "h")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, fp string").withColumn("row_key", F.lit("k"))
     got = {(r.doc_id, r.component_id) for r in simhash.near_duplicates(df, 4).collect()}
     assert got == {(1, 1), (2, 1), (3, 1), (4, 4), (5, 4), (None, None), (6, 6)}
     kept = simhash.deduplicate(df, 4)
     assert kept.columns == df.columns
-    assert sorted(r.fp for r in kept.collect()) == ["a", "d", "e", "g", "h"]
+    assert sorted(r.fp for r in kept.collect()) == ["a", "d", "g", "h"] and {r.row_key for r in kept.collect()} == {"k"}
     assert simhash.near_duplicates(df.limit(0), 4).collect() == []
     assert simhash.deduplicate(df.limit(0), 4).collect() == []
 
 
+def test_one_id_on_two_texts_and_null_ids(spark):
+    """Rows are judged one by one: other texts under a removed id stay, copies under one id or none go."""
+    t, u, v = ("the same few words in a row here", "quite another text with its own words", "a third one that nothing else resembles")
+    rows = [(3, t), (5, t), (5, u), (None, v), (None, v), (None, t), (7, v), (8, "x"), (8, "x")]
+    kept = simhash.deduplicate(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert sorted((r.doc_id, r.text) for r in kept) == sorted([(3, t), (5, u), (7, v), (8, "x")])
+
+
+def test_chain_follows_the_number_of_fingerprints():
+    """Longer chains miss nothing either."""
+    assert [simhash.chain_of(n) for n in (0, 1 << 20, 1 << 24, 1 << 25, 1 << 31, 1 << 40)] == [5, 5, 5, 7, 7, 8]
+    rng = random.Random(5)
+    for chain in simhash.CHAINS:
+        masks = simhash.chain_masks(chain=chain)
+        for _ in range(1000):
+            diff = sum(1 << b for b in rng.sample(range(64), 4))
+            assert any(diff & m == 0 for m in masks)
+
+
+def test_chain_condition_goes_before_the_full_check_at_any_size():
+    rng = np.random.default_rng(6)
+    a = rng.integers(0, 1 << 63, 40_000, np.uint64)
+    flips = np.array([sum(1 << b for b in random.Random(i).sample(range(64), i % 8)) for i in range(40_000)], np.uint64)
+    assert (simhash._linked(a, a ^ flips, 4, 8) == (np.bitwise_count(flips) <= 4)).all()
+
+
 def test_components_of_a_long_path(spark):
     work = Workspace(spark, "test")
     edges = spark.createDataFrame([(i, i + 1) for i in range(100)] + [(200, 201), (201, 200), (7, 7)], "a long, b long")
