@@ -98,10 +98,50 @@ def test_mixing_targets_and_copies(spark):
 
 
 def test_licences(spark):
-    text = "Copyright (c) 2020 Someone\nAll rights reserved.\n\n" + licences.LICENCES["MIT"].upper().replace("SUBLICENSE", "sub-licence")
-    rows = [(1, text, "x"), (1, text, "x"), (2, None, "x"), (3, "", "x"), (4, "© 2020", "x"), (5, "a\nReleased under the MIT licence!\nb\nreleased under the mit license", "x"), (None, licences.LICENCES["ISC"], "x"), (6, licences.LICENCES["MIT"] + " more", "x")]
+    own = dict(reversed(licences.LICENCES))
+    text = "Copyright (c) 2020 Someone\nAll rights reserved.\n\n" + own["MIT"].upper().replace("SUBLICENSE", "sub-licence")
+    rows = [(1, text, "x"), (1, text, "x"), (2, None, "x"), (3, "", "x"), (4, "© 2020", "x"), (5, "a\nReleased under the MIT licence!\nb\nreleased under the mit license", "x"), (None, own["ISC"], "x"), (6, own["MIT"] + " more", "x")]
     df = spark.createDataFrame(rows, "doc_id long, text string, digest string")
     got = {(r.doc_id, r.license_id, r.n_notices, r.notice_ids) for r in licences.scan(df).collect()}
     assert got == {(1, "MIT", 0, ""), (2, None, 0, ""), (3, None, 0, ""), (4, None, 0, ""), (5, None, 2, "MIT"), (None, "ISC", 0, ""), (6, None, 0, "")}
     assert licences.scan(df).count() == 8
     assert licences.scan(df.limit(0)).collect() == []
+    found = sorted((r.doc_id, r.line, r.license_id) for r in licences.notices(df).collect())
+    assert found == [(5, 1, "MIT"), (5, 3, "MIT")]
+
+
+def test_every_known_text_and_notice_is_found(spark):
+    """Rewrapped, titled, behind comment signs."""
+    texts = [(i, "Copyright 2021 X\n" + t.replace(", ", ",\n"), name) for i, (name, t) in enumerate(licences.LICENCES)]
+    got = {r.doc_id: r.license_id for r in licences.scan(spark.createDataFrame(texts, "doc_id long, text string, name string")).collect()}
+    assert got == {i: name for i, _, name in texts}
+    lines = [(i, f"x = 1\n// {t}\n", name) for i, (name, t) in enumerate(licences.NOTICES)]
+    got = {r.doc_id: (r.n_notices, r.notice_ids) for r in licences.scan(spark.createDataFrame(lines, "doc_id long, text string, name string")).collect()}
+    assert got == {i: (1, name) for i, _, name in lines}
+
+
+def test_licences_of_rows_that_share_an_id(spark):
+    """Each row keeps its own result, null ids too."""
+    rows = [(1, "Released under the MIT License."), (1, "nothing here"), (None, "SPDX-License-Identifier: ISC\nSPDX-License-Identifier: MIT\nSPDX-License-Identifier: ISC"), (None, "none")]
+    got = licences.scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert sorted((r.doc_id or 0, r.n_notices, r.notice_ids) for r in got) == [(0, 0, ""), (0, 3, "ISC,MIT"), (1, 0, ""), (1, 1, "MIT")]
+
+
+def test_scan_is_one_pass_without_exchange(spark, sf_dir):
+    plan = licences.query(spark, sf_dir)._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("FileScan") == 1 and "SortMergeJoin" not in plan and "Python" not in plan
+
+
+def test_mixing_of_null_ids_and_equal_rows_meets_its_target(spark):
+    """A source of rows without id, and one of a single repeated row: both near their targets, whatever the partitions."""
+    rows = [(None, f"{i} " * 4, "a") for i in range(1000)] + [(5, "x y z", "b")] * 1000 + [(i, "q " * 3, "c") for i in range(2000)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    results = []
+    for part in (df, df.repartition(7)):
+        plan = mixing.plan(part).collect()
+        for s in "abc":
+            own = [r for r in plan if r.source == s]
+            assert sum(r.taken for r in own) == pytest.approx(own[0].target, rel=0.06)
+        results.append(sorted((r.source, str(r.doc_id), r.size, r.copies) for r in plan if r.source == "b"))
+        assert mixing.mix(part).count() == sum(r.copies for r in plan)
+    assert results[0] == results[1]
