@@ -1,6 +1,9 @@
 """Transcript parsing by a hidden Markov model, and canonical rendering of turns.
 
-A transcript is a sequence of blocks of lines. Hidden states are the roles; a block is observed through features: the marker that
+``parse_transcripts`` takes whole transcripts as texts: each line is in the beginning or in the rest of a role's turn, which is
+the hidden state; it is observed through its marker, length and end. Viterbi over the lines cuts a text into turns.
+
+``parse`` takes transcripts that are cut already, as rows. A transcript is a sequence of blocks of lines. Hidden states are the roles; a block is observed through features: the marker that
 its first line may begin with, how many lines and words it has, how it ends, and whether it opens the transcript. Probabilities
 are smoothed counts of a labelled sample. Viterbi gives the roles; markers are stripped and turns rendered in one form.
 
@@ -11,7 +14,8 @@ with its fixed border states. The result is that of one sequential Viterbi.
 
 Defined results: a null text is an empty block; equal scores go to the role that sorts first, from the end backwards; blocks
 with equal position are ordered by text; a null transcript id is a transcript of its own, a null position sorts first; an empty
-table gives an empty result; without labelled rows every role is ``user``; further columns do not matter.
+table gives an empty result; without labelled rows every role is ``user``; further columns do not matter. A transcript that is null
+or has nothing but blank lines has no turns; lines before the first marker are a turn like any others; a text is read whole.
 """
 
 from __future__ import annotations
@@ -23,6 +27,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from adaptivejoin.llm.common import Workspace, table
 
@@ -36,6 +41,11 @@ MARKER = re.compile(r"\s*(?:#{1,4}\s*|\[|<\|?|\*\*)?(" + "|".join(sorted((m for
 OF_MARKER = {m: role for role, ms in MARKERS.items() for m in ms}
 SAMPLE_ROWS = 20_000
 SMOOTHING = 1.0
+#: Begins the names of features of lines; those of blocks have no such name.
+LINE = "line "
+#: Assumed before any is seen, as so many lines: how often a turn's first line has a marker, in transcripts with and without them, and
+#: how often a later line; how often it is that of the turn's own role.
+ASSUMED, FIRST_MARKED, LATER_MARKED, OWN_MARKER = 10_000.0, (0.999, 0.02), 0.01, 0.95
 
 
 def features(text: str, opens: bool) -> tuple[str, ...]:
@@ -60,6 +70,22 @@ def render(role: str, body: str) -> str:
     return f"<|{role}|>\n{body}\n<|end|>\n"
 
 
+def line_features(line: str) -> tuple[str, ...]:
+    m = MARKER.match(line)
+    body = line[m.end() :] if m else line
+    words, tail = len(body.split()), body.rstrip()[-1:]
+    return (f"{LINE}marker={OF_MARKER[m[1].lower()] if m else ''}", f"{LINE}words={min(int(np.log2(words + 1) * 2), 16)}", f"{LINE}end={tail if tail in '?.!:' else '-'}")
+
+
+def line_keys(text: str, role: str) -> list[tuple[str, str, str]]:
+    """What a training turn says about lines: the features of its first and of later ones, and how many there are of these."""
+    out = []
+    for i, line in enumerate(text.split("\n")):
+        part = "later" if i else "first"
+        out += [(f"{LINE}n", role, part), *((f, role, part) for f in line_features(line))]
+    return out
+
+
 class Model:
     """Log probabilities; states in sorted order."""
 
@@ -70,6 +96,8 @@ class Model:
         total, step = np.zeros(k), np.full((k, k), SMOOTHING)
         seen: dict[str, np.ndarray] = {}
         for (f, y, v), n in counts.items():
+            if f.startswith(LINE):
+                continue
             if f == "role":
                 total[at[y]] += n
             elif f == "step":
@@ -83,6 +111,7 @@ class Model:
         self.seen = {f: np.log((n + SMOOTHING) / (total + SMOOTHING * values[f.split("=")[0]])) for f, n in seen.items()}
         self.none = np.zeros(k)
         self.start = np.log((total + SMOOTHING) / (total + SMOOTHING).sum())
+        self.lines = tuple(LineModel(counts, self, marked) for marked in FIRST_MARKED)
 
     def emit(self, text: str, opens: bool) -> np.ndarray:
         out = self.start.copy() if opens else self.none.copy()
@@ -91,6 +120,89 @@ class Model:
         return out
 
 
+class LineModel:
+    """Log probabilities of lines; states are the first lines of each role, then the later ones."""
+
+    def __init__(self, counts: dict, blocks: Model, first_marked: float):
+        self.roles = blocks.roles
+        k = len(self.roles)
+        at = {y: i for i, y in enumerate(self.roles)}
+        place = lambda y, part: at[y] + (k if part == "later" else 0)
+        total = np.zeros(2 * k)
+        seen: dict[str, np.ndarray] = {}
+        for (f, y, v), n in counts.items():
+            if f == f"{LINE}n":
+                total[place(y, v)] += n
+            elif f.startswith(LINE):
+                seen.setdefault(f, np.zeros(2 * k))[place(y, v)] += n
+        for role in ["", *MARKERS]:
+            own = np.array([OWN_MARKER if r == role else (1 - OWN_MARKER) / max(len(MARKERS) - 1, 1) for r in self.roles])
+            marked = np.concatenate([first_marked * own, np.full(k, LATER_MARKED / len(MARKERS))])
+            plain = np.repeat([1 - first_marked, 1 - LATER_MARKED], k)
+            seen[f"{LINE}marker={role}"] = seen.get(f"{LINE}marker={role}", np.zeros(2 * k)) + ASSUMED * (marked if role else plain)
+        values = {kind: sum(f.split("=")[0] == kind for f in seen) + 1 for kind in {f.split("=")[0] for f in seen}}
+        extra = {kind: ASSUMED if kind == f"{LINE}marker" else 0.0 for kind in values}
+        self.seen = {f: np.log((n + SMOOTHING) / (total + extra[f.split("=")[0]] + SMOOTHING * values[f.split("=")[0]])) for f, n in seen.items()}
+        self.none = np.zeros(2 * k)
+        stay = (total[k:] + SMOOTHING) / (total[:k] + total[k:] + 2 * SMOOTHING)
+        with np.errstate(divide="ignore"):
+            goes_on = np.log(np.diag(stay))
+        begins = blocks.step + np.log(1 - stay)[:, None]
+        # From a role's first or later line to the first line of any role, or to a later one of its own.
+        self.step = np.tile(np.concatenate([begins, goes_on], axis=1), (2, 1))
+        self.start = np.concatenate([blocks.start, np.full(k, -np.inf)])
+
+    def emit(self, line: str) -> np.ndarray:
+        out = self.none.copy()
+        for f in line_features(line):
+            out += self.seen.get(f, self.none)
+        return out
+
+
+def turns_of(text: str, models: tuple[LineModel, ...]) -> list[tuple[str, str]]:
+    """(role, body) of the turns of a transcript, under the model that explains it best."""
+    if not text.strip():
+        return []
+    lines: list[str] = []
+    for line in text.split("\n"):
+        if lines and (m := MARKER.match(lines[-1] + "\n")) and m.end() > len(lines[-1]):
+            lines[-1] += "\n" + line  # a marker that stands alone belongs to what follows
+        else:
+            lines.append(line)
+    best: tuple[float, list[int]] | None = None
+    for model in models:
+        emits = np.array([model.emit(line) for line in lines])
+        emits[0] += model.start
+        states = decode(emits, model.step)
+        score = emits[np.arange(len(lines)), states].sum() + model.step[states[:-1], states[1:]].sum()
+        if best is None or score > best[0]:
+            best = score, states
+    k, out = len(models[0].roles), []
+    for line, state in zip(lines, best[1], strict=True):
+        if state < k:
+            out.append((models[0].roles[state], [line]))
+        else:
+            out[-1][1].append(line)
+    return [(role, strip_marker("\n".join(body))) for role, body in out]
+
+
+def parse_transcripts(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame:
+    """(row, turns, rendered) of every transcript: ``row`` holds the columns of ``docs``, ``turns`` are (role, text) in order."""
+    shared = docs.sparkSession.sparkContext.broadcast(model.lines)
+    base = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col(f"`{text_col}`").alias("text"))
+    typ = pa.list_(pa.struct([("role", pa.string()), ("text", pa.string())]))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = shared.value
+        for batch in batches:
+            found = [turns_of(t.as_py() or "", own) for t in batch.column(1)]
+            made = pa.array([[{"role": r, "text": b} for r, b in ts] for ts in found], typ)
+            yield pa.RecordBatch.from_arrays([batch.column(0), made, pa.array(["".join(render(r, b) for r, b in ts) for ts in found], pa.string())], names=["row", "turns", "rendered"])
+
+    kinds = T.StructType([base.schema["row"], T.StructField("turns", T.ArrayType(T.StructType([T.StructField("role", T.StringType()), T.StructField("text", T.StringType())]))), T.StructField("rendered", T.StringType())])
+    return base.mapInArrow(run, kinds)
+
+
 def decode(emits: np.ndarray, step: np.ndarray, before: np.ndarray | None = None, last: int | None = None) -> list[int]:
     """Viterbi over one piece: ``before`` are the best scores before it (None: it opens the transcript), ``last`` its final state."""
     n, k = emits.shape
@@ -122,20 +234,23 @@ def train(turns: DataFrame, sample_rows: int = SAMPLE_ROWS) -> Model:
     draw = F.pmod(F.xxhash64("conv_id", F.lit("chat"), F.floor(F.col("turn") / 16)), F.lit(1 << 30)).cast("double") / float(1 << 30)
     # Long transcripts are sampled in stretches of 16 turns, so that one of them cannot fill the sample.
     sample = labelled.where(draw * rows < sample_rows).select("conv_id", "turn", "role", "text")
+    # A transcript opens with its first block, whatever number that has.
+    opening = labelled.groupBy(F.col("conv_id").alias("of")).agg(F.min("turn").alias("opening"))
+    sample = sample.join(opening, F.col("conv_id") == F.col("of"), "left").withColumn("opens", F.col("turn").eqNullSafe(F.col("opening"))).drop("of", "opening")
     first = sample.alias("a").join(sample.select(F.col("conv_id").alias("c"), (F.col("turn") + 1).alias("t"), F.col("role").alias("previous")).distinct(), (F.col("conv_id") == F.col("c")) & (F.col("turn") == F.col("t")), "left")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts: dict = {}
         for batch in batches:
-            for turn, role, text, previous in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
-                keys = [("role", role, ""), *((f, role, "") for f in features(text or "", turn == 0))]
+            for opens, role, text, previous in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
+                keys = [("role", role, ""), *((f, role, "") for f in features(text or "", opens)), *line_keys(text or "", role)]
                 if previous is not None:
                     keys.append(("step", role, previous))
                 for key in keys:
                     counts[key] = counts.get(key, 0) + 1
         yield pa.RecordBatch.from_arrays([*(pa.array([k[i] for k in counts], pa.string()) for i in range(3)), pa.array(list(counts.values()), pa.int64())], names=["f", "y", "v", "n"])
 
-    got = first.select("turn", "role", "text", "previous").mapInArrow(run, "f string, y string, v string, n long").groupBy("f", "y", "v").agg(F.sum("n").alias("n")).collect()
+    got = first.select("opens", "role", "text", "previous").mapInArrow(run, "f string, y string, v string, n long").groupBy("f", "y", "v").agg(F.sum("n").alias("n")).collect()
     return Model({(r.f, r.y, r.v): r.n for r in sorted(got, key=lambda r: (r.f, r.y, r.v))})
 
 

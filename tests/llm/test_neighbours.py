@@ -33,6 +33,38 @@ def test_recall_and_scores(spark, sf_dir):
             assert i != q and math.isclose(s, vectors[i] @ vectors[q] / np.linalg.norm(vectors[i]) / np.linalg.norm(vectors[q]), rel_tol=1e-12)
         hits += len({g[1] for g in got} & {i for i, _ in want[q]})
     assert hits / (5 * len(want)) >= 0.95
+    # Vectors without structure: a part is verified.
+    share = sum({r.query_id: r.verified for r in neighbours.query(spark, sf_dir.replace("0.001", "0.1")).collect()}.values()) / len(want) / len(rows)
+    assert 0 < share < 0.25
+
+
+def test_few_are_verified_on_clustered_vectors(spark):
+    rng = np.random.default_rng(4)
+    centres = rng.standard_normal((40, 64))
+    rows = [(i, (centres[rng.integers(0, 40)] + 0.3 * rng.standard_normal(64)).tolist()) for i in range(3000)]
+    want = brute(rows, 50)
+    got = neighbours.search(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), every=50).collect()
+    hits = sum(r.vec_id in {i for i, _ in want[r.query_id]} for r in got)
+    assert hits / (5 * len(want)) >= 0.95
+    assert sum({r.query_id: r.verified for r in got}.values()) / len(want) / len(rows) < 0.2
+
+
+def test_windows_and_counts_are_those_of_a_plain_loop():
+    """Every vector is first verified at the radius at which enough single windows hold it."""
+    rng = np.random.default_rng(5)
+    v = rng.standard_normal((200, 8))
+    index = neighbours.Index(np.arange(200), v, 12)
+    unit = v / np.linalg.norm(v, axis=1)[:, None]
+    at = index.directions.astype(float) @ unit.T
+    got, scores = index.search(0, v[0], 5)
+    found = set()
+    for r in [*neighbours.radii_up_to(2.0), np.inf]:
+        found |= {i for i in range(1, 200) if (np.abs(at[:, i] - at[:, 0]) <= r).sum() >= index.threshold}
+        best = sorted(((unit[i] @ unit[0], -i) for i in found), reverse=True)[:5]
+        if len(best) == 5 and 2 - 2 * best[-1][0] <= r * r:
+            break
+    assert got.tolist() == [-i for _, i in best] and np.allclose(scores, [s for s, _ in best])
+    assert index.verified == len(found)
 
 
 def test_many_small_blocks(spark):
