@@ -2,8 +2,8 @@
 
 A text is cut into pre-tokens; the symbols of each pre-token form a doubly linked list, and a heap of merge ranks says which
 neighbours to join next. A heap entry whose symbols have changed since it was pushed is stale and skipped. Decoding
-concatenates the byte strings of the vocabulary. Frequent pre-tokens repeat, so a worker keeps the ids of those it has met, up
-to a fixed number; nothing depends on that memory.
+concatenates the byte strings of the vocabulary. Frequent pre-tokens repeat, so a worker keeps the ids of those it has met
+lately, up to a fixed number; nothing depends on that memory.
 
 Defined results: a null text is encoded as an empty one, which has no ids; whole texts are encoded, their memory is in
 proportion to the longest text of a batch; each row stands alone, so repeated rows get equal ids; an empty table gives an empty
@@ -25,11 +25,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from adaptivejoin.llm.common import table
+from adaptivejoin.llm.common import held, release_memory, table
 
 #: Fixed value: how the byte-level vocabulary cuts a text into pre-tokens.
 PRE_TOKENS = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
-REMEMBERED = 200_000
+#: Pre-tokens of a generation; the last two are remembered.
+REMEMBERED = 40_000
 ROWS_A_BATCH = 256
 
 
@@ -60,6 +61,7 @@ class Codec:
         self.cut = regex.compile("(" + "|".join(regex.escape(a) for a in sorted(added, key=len, reverse=True)) + ")") if added else None
         self.find = regex.compile(PRE_TOKENS).findall
         self.known: dict[str, tuple[int, ...]] = {}
+        self.before: dict[str, tuple[int, ...]] = {}
 
     def merge(self, piece: bytes) -> tuple[int, ...]:
         """Ids of one pre-token."""
@@ -100,10 +102,11 @@ class Codec:
             for piece in self.find(part):
                 got = known.get(piece)
                 if got is None:
-                    got = merge(piece.encode())
+                    got = self.before.get(piece) or merge(piece.encode())
                     if len(piece) <= 64:
                         if len(known) >= REMEMBERED:
-                            known.clear()
+                            self.before, self.known = known, {}
+                            known = self.known
                         known[piece] = got
                 ids.extend(got)
         return ids
@@ -112,14 +115,9 @@ class Codec:
         return b"".join(map(self.text_of.__getitem__, ids)).decode("utf-8", errors="replace")
 
 
-_codecs: dict[str, Codec] = {}
-
-
 def codec(path: str) -> Codec:
-    """One codec a worker; it lives as long as the worker does."""
-    if path not in _codecs:
-        _codecs[path] = Codec(path)
-    return _codecs[path]
+    """One codec a worker; it lives until another step needs its place."""
+    return held(f"codec {path}", lambda: Codec(path))
 
 
 def default_vocabulary() -> str:
@@ -138,6 +136,7 @@ def _mapped(df: DataFrame, text_col: str, vocabulary: str, fields: list[T.Struct
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark.sql.pandas.types import to_arrow_schema
 
+        release_memory()
         own = codec(vocabulary)
         arrow = to_arrow_schema(schema)
         for whole in batches:

@@ -30,10 +30,14 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from adaptivejoin.llm.common import release_memory, table
+from adaptivejoin.llm.common import held, release_memory, table
 
 ORDER = 3
 SAMPLE_ROWS = 1000
+#: A text is rejected if its bytes cost so many times what those of the dearest training document cost, ``SPARE`` bytes being added to
+#: the length of both: short texts vary more.
+DEAREST = 1.25
+SPARE = 64
 #: A context that was seen less often is left to its shorter one.
 LEAST_SEEN = 4
 UNDETERMINED = "und"
@@ -74,12 +78,18 @@ def grams(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return np.unique(code, return_counts=True)
 
 
-def count_grams(docs: DataFrame, sample_rows: int = SAMPLE_ROWS) -> list:
-    """Rows (lang, gram, n) of the training sample; there are at most as many as the sample has distinct grams."""
+def training_sample(docs: DataFrame, sample_rows: int = SAMPLE_ROWS) -> DataFrame:
+    """(lang, text) of about ``sample_rows`` documents of each language, none of them held out."""
     labelled = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out())
     sizes = labelled.groupBy("lang").agg(F.count("*").alias("rows"))
     draw = F.pmod(F.xxhash64(F.col("doc_id"), F.lit("train")), F.lit(1 << 30)).cast("double") / float(1 << 30)
-    sample = labelled.join(F.broadcast(sizes), "lang").where(draw * F.col("rows") < sample_rows).select("lang", "text")
+    # One row a language; the planner broadcasts them if they are few.
+    return labelled.join(sizes, "lang").where(draw * F.col("rows") < sample_rows).select("lang", "text")
+
+
+def count_grams(docs: DataFrame, sample_rows: int = SAMPLE_ROWS) -> pa.Table:
+    """Rows (lang, gram, n) of the training sample; there are at most as many as the sample has distinct grams."""
+    sample = training_sample(docs, sample_rows)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -200,9 +210,6 @@ def code_lengths(texts: pa.Array, model: Model, piece: int = PIECE_BYTES) -> np.
     return out
 
 
-_models: dict[str, Model] = {}
-
-
 def _scored(docs: DataFrame, counts, text_col: str) -> DataFrame:
     """(row, lang_pred, score, bits_per_byte); ``row`` holds the columns of ``docs``."""
     row = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row")
@@ -212,11 +219,8 @@ def _scored(docs: DataFrame, counts, text_col: str) -> DataFrame:
     shared, name, at = docs.sparkSession.sparkContext.broadcast(counts), uuid.uuid4().hex, docs.columns.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        if name not in _models:
-            _models.clear()
-            _models[name] = build(*shared.value)
-            release_memory()
-        model = _models[name]
+        model = held(f"language {name}", lambda: build(*shared.value))
+        release_memory()
         names = np.array([*model.langs, UNDETERMINED], dtype=object)
         for batch in batches:
             texts = batch.column(0).field(at).fill_null("")
@@ -241,10 +245,26 @@ def predict(docs: DataFrame, counts, id_col: str = "doc_id", text_col: str = "te
     return found.select("row.doc_id", "row.held_out", "lang_pred", "score", "bits_per_byte")
 
 
+def _surprise(size: Column) -> Column:
+    """Bits a byte, ``SPARE`` bytes being added that cost nothing."""
+    return F.col("bits_per_byte") * size / (size + SPARE)
+
+
+def dearest(docs: DataFrame, counts, sample_rows: int = SAMPLE_ROWS) -> float:
+    """What the bytes of the dearest training document cost."""
+    found = _scored(training_sample(docs, sample_rows).select("text"), counts, "text")
+    return found.agg(F.max(_surprise(F.octet_length("row.text")))).first()[0] or 0.0
+
+
 def accepted(docs: DataFrame, counts=None, least_score: float = 0.5) -> DataFrame:
-    """The rows of ``docs`` whose language could be told, with their own columns; the others are rejected."""
-    found = _scored(docs, counts or train(docs), "text")
-    return found.where((F.col("lang_pred") != UNDETERMINED) & (F.col("score") >= least_score)).select(*[F.col("row").getField(c).alias(c) for c in docs.columns])
+    """The rows of ``docs`` whose language could be told, with their own columns; the others are rejected: texts without a letter,
+    those that two languages explain alike, and those that no learned language explains about as well as its training documents."""
+    counts = counts or train(docs)
+    found = _scored(docs, counts, "text")
+    told = (F.col("lang_pred") != UNDETERMINED) & (F.col("score") >= least_score)
+    if counts[0]:
+        told &= _surprise(F.octet_length("row.text")) <= DEAREST * dearest(docs, counts)
+    return found.where(told).select(*[F.col("row").getField(c).alias(c) for c in docs.columns])
 
 
 def query(spark, sf_dir: str) -> DataFrame:
