@@ -64,6 +64,16 @@ def held(name: str, make: Callable[[], Any]) -> Any:
     return _held[name]
 
 
+def release_shuffles(spark: SparkSession) -> None:
+    """Let go of the shuffle files of steps whose results are saved: Spark deletes them when the driver collects their handles."""
+    import gc
+    import time
+
+    gc.collect()
+    time.sleep(1)  # the events of the last step are still being told
+    spark._jvm.System.gc()
+
+
 class Workspace:
     """Intermediate tables of one run, written to the shared folder so that lost executors cost no recomputation."""
 

@@ -11,9 +11,9 @@ nothing and are left out. At a shared word the lengths (length filter), the word
 sketches, whose distance never exceeds that of the sets, discard almost all pairs that are not similar.
 
 Lines with equal sets are one node. At each word a later line keeps its ``FIRST`` candidates of the least estimated distance, and
-up to ``RESERVE`` where that estimate is no clear sign; they are verified with all their words. A line that none of them settles
-and that has more is looked up again with all its candidates, so nothing
-is lost and a group of near copies yields a few pairs a line. Lists of more than a block of lines are dealt out by pairs of
+up to ``RESERVE`` where that estimate is no clear sign; they are verified with all their words. A line that none of them settles and
+that has more is looked up again: it is held, with its words, while all lines that share one of its first words stream past and are
+compared in full. So nothing is lost, and a group of near copies yields a few pairs a line. Lists of more than a block of lines are dealt out by pairs of
 blocks. The lines themselves travel in the same shuffle, under keys of their sets, salted by row, so that a line with a
 third of all places is spread; what remains of them is which places are first. Rows of the shuffle are a key and one packed
 value, and are sorted by the key alone. Removed lines go back by a key of the row.
@@ -36,7 +36,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from adaptivejoin.llm import tokens
-from adaptivejoin.llm.common import Workspace, release_memory, row_keyed, table
+from adaptivejoin.llm.common import Workspace, release_memory, release_shuffles, row_keyed, table
 
 #: The similarity as a fraction, so that thresholds are integers.
 NUM, DEN = 4, 5
@@ -51,6 +51,8 @@ CHUNK = 1 << 16
 SALTS = 64
 SPREAD = 16
 REMEMBERED = 50_000
+#: Lines looked up again that are held at a time, and how many ways the lines that stream past them are dealt.
+HELD, WAYS = 4096, 16
 ROWS_A_BATCH = 2500
 #: Rows of the shuffle that are compared at a time.
 GATHERED = 1 << 15
@@ -58,7 +60,7 @@ GATHERED = 1 << 15
 SHORT = 48
 #: Sets of more words have wider sketches: a narrow one would be full of differences.
 NARROW = 60
-#: Sets of at most so many words have four sketches instead: in a large group of near copies a chance collision in one is common.
+#: Sets of at most so many words have three sketches instead: in a large group of near copies a chance collision in one is common.
 SMALL = 40
 LAST_ID = (1 << 63) - 1
 
@@ -137,8 +139,8 @@ def ordered_sets(lines: tokens.Lines, rarity: np.ndarray) -> tuple[np.ndarray, n
 
 
 def describe(word: np.ndarray, line: np.ndarray, n_lines: int) -> tuple[np.ndarray, ...]:
-    """Of each line: first word, size, set hash, and parity sketches: one of 64 bits, and in the other
-    places one of 192 for a set of over ``NARROW`` words, three more of 64 for a set of up to ``SMALL``."""
+    """Of each line: first word, size, set hash, and parity sketches: one of 64 bits, and in the other places one of 192 for a set of
+    over ``NARROW`` words, two more of 64 for a set of up to ``SMALL``. Where all similar sets have the wide one, the first is 0."""
     size = np.bincount(line, minlength=n_lines)
     begin = np.cumsum(size) - size
     some = size > 0
@@ -154,7 +156,7 @@ def describe(word: np.ndarray, line: np.ndarray, n_lines: int) -> tuple[np.ndarr
         if few.any():
             small = few[line]
             starts = np.flatnonzero(np.diff(line[small], prepend=-1))
-            for k in (1, 2, 3):
+            for k in (1, 2):
                 sketch[few, k] = np.bitwise_xor.reduceat(np.uint64(1) << ((spread[small] >> np.uint64(8 * k)) & np.uint64(63)), starts)
         wide = size > NARROW
         if wide.any():
@@ -162,11 +164,12 @@ def describe(word: np.ndarray, line: np.ndarray, n_lines: int) -> tuple[np.ndarr
             starts, part = np.flatnonzero(np.diff(line[long], prepend=-1)), (spread[long] >> np.uint64(6)) % np.uint64(3) + np.uint64(1)
             for k in (1, 2, 3):
                 sketch[wide, k] = np.bitwise_xor.reduceat(np.where(part == k, bit[long], 0), starts)
+            sketch[size * NUM > NARROW * DEN, 0] = 0
     return begin, size, out[0], sketch
 
 
-#: Packed values of eight bytes each. A set: its hash, document, place and row. A word's line: these but the row, its size with the
-#: word above it, and sketches.
+#: Packed values of eight bytes each. A set: its hash, document, place and row. A word's line: these but the row, its size (above it
+#: the word, where the key is salted), and sketches.
 OF_SET, OF_LINE = 4, 8
 SET, DOC, AT, SIZE, SKETCH = 0, 1, 2, 3, 4
 ROW = "key long, packed binary"
@@ -202,9 +205,10 @@ def _bits(x: np.ndarray) -> np.ndarray:
     return x if x.dtype == np.uint64 else x.astype(np.int64).view(np.uint64)
 
 
-def _nodes(shared, docs=None, sets=None, keys=None, hot: int = 255, parts: int = 1):
+def _nodes(shared, docs=None, sets=None, keys=None, hot: int = 255, parts: int = 1, blocks: int = 0):
     """With ``sets`` or ``keys`` only the meeting words, of lines in the one table (in documents of ``docs``) or of words in the other.
-    Words of class ``hot`` or more are salted over ``parts`` keys; their lists are put together later."""
+    Words of class ``hot`` or more are salted over ``parts`` keys; their lists are put together later. With ``blocks`` rows are
+    those of ``_asked``: lines of ``sets`` are asked for, in so many blocks, and meet all lines of their words."""
     meets_only = sets is not None or keys is not None
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -239,7 +243,7 @@ def _nodes(shared, docs=None, sets=None, keys=None, hot: int = 255, parts: int =
                         meets[i] = True
                 pos = np.arange(len(word)) - begin[line]
                 prefix = size - (-(-NUM * size // DEN)) + 1
-                if sets is not None:
+                if sets is not None and not blocks:
                     meets &= _in_table(sets.value, h)
                 use = np.flatnonzero(meets[line] & (pos < prefix[line]) & (cls > 1))
                 # 32 bits of the word: words that share them only cost filters.
@@ -250,13 +254,72 @@ def _nodes(shared, docs=None, sets=None, keys=None, hot: int = 255, parts: int =
                 li = line[use]
                 common = np.flatnonzero(cls[use] >= hot)
                 packed = np.empty((len(use), OF_LINE), np.uint64)
-                packed[:, SET], packed[:, DOC], packed[:, AT], packed[:, SIZE], packed[:, SKETCH:] = h[li], doc[li], number[li] | _bits(pos[use]), _bits(size[li]) | (key << np.uint64(32)), sketch[li]
+                packed[:, SET], packed[:, DOC], packed[:, AT], packed[:, SIZE], packed[:, SKETCH:] = h[li], doc[li], number[li] | _bits(pos[use]), _bits(size[li]), sketch[li]
+                if blocks:
+                    yield from _asked(key, packed, word, begin[li], _in_table(sets.value, h[li]), blocks)
+                    continue
+                packed[common, SIZE] |= key[common] << np.uint64(32)
                 key[common] = np.uint64(HOT) | (tokens.mix(key[common] + (h[li[common]] % np.uint64(parts) << np.uint64(32))) >> np.uint64(2))
                 yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), _binary(packed)], names=["key", "packed"])
 
     return run
 
 
+ASKED = "key long, asked int, packed binary"
+
+
+def _asked(key, packed, word, begin, asked, blocks: int) -> Iterator[pa.RecordBatch]:
+    """Rows (key, 0 for a line asked for, packed with its words): each in every way of its word and in its block, and all lines in one
+    way and in every block."""
+    out_key, out_asked, out = [], [], []
+    for i in range(len(key)):
+        own = int(packed[i, SET])
+        value = packed[i].tobytes() + word[begin[i] : begin[i] + int(packed[i, SIZE])].tobytes()
+        places = [(own // WAYS % blocks, way, 0) for way in range(WAYS)] if asked[i] else []
+        for block, way, kind in [*places, *((block, own % WAYS, 1) for block in range(blocks))]:
+            out_key.append((int(key[i]) * WAYS + way) * blocks + block), out_asked.append(kind), out.append(value)
+    yield pa.RecordBatch.from_arrays([pa.array(out_key, pa.int64()), pa.array(out_asked, pa.int32()), pa.array(out, pa.binary())], names=["key", "asked", "packed"])
+
+
+def _settled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The sets asked for that an earlier line matches; rows come by key, those asked for first."""
+    release_memory()
+    key, held = None, []
+    for batch in batches:
+        keys, kinds, values = batch.column(0).to_numpy(), batch.column(1).to_numpy(), batch.column(2)
+        cuts = np.concatenate(([0], np.flatnonzero(np.diff(keys) | np.diff(kinds)) + 1, [len(keys)]))
+        found = []
+        for lo, hi in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
+            if lo == hi:
+                continue
+            if keys[lo] != key:
+                key, held = keys[lo], []
+            lines = [np.frombuffer(v.as_buffer(), np.uint64) for v in values[lo:hi]]
+            if kinds[lo] == 0:
+                held += [x.copy() for x in lines]
+            elif held:
+                hit = [_matches(x, lines) for x in held]
+                found += [int(x[SET]) for x, ok in zip(held, hit, strict=True) if ok]
+                held = [x for x, ok in zip(held, hit, strict=True) if not ok]
+        yield pa.RecordBatch.from_arrays([pa.array(np.array(found, np.uint64).view(np.int64))], names=["b"])
+
+
+def _matches(asked: np.ndarray, lines: list[np.ndarray]) -> bool:
+    """Whether one of the lines comes before the one asked for and is similar to it, word by word."""
+    rows = np.stack([asked[:OF_LINE], *(x[:OF_LINE] for x in lines)])
+    i, j, _, _ = near(rows, np.zeros(len(lines), np.int64), np.arange(1, len(rows)))
+    j = j[_earlier(rows, j, i)]
+    if not len(j):
+        return False
+    own = np.sort(asked[OF_LINE:])
+    words = [lines[x - 1][OF_LINE:] for x in j.tolist()]
+    flat = np.concatenate(words)
+    same = own[np.minimum(np.searchsorted(own, flat), len(own) - 1)] == flat
+    size = np.array([len(w) for w in words])
+    both = np.add.reduceat(same.astype(np.int64), np.cumsum(size) - size)
+    return bool((both * (NUM + DEN) >= NUM * (size + len(own))).any())
+
+
 def near(rows: np.ndarray, i: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Of pairs (i, j) of rows that meet at a word those that pass the filters, with their estimated distance and its limit: lengths,
     words left after it, sketches. The cheap filters go first; each leaves fewer pairs to the next."""
@@ -332,18 +395,14 @@ def _places(keys: np.ndarray, rows: np.ndarray) -> Iterator[pa.RecordBatch]:
             yield _found(kind, part[:, SET], part[:, 3], part[:, DOC], part[:, AT])
 
 
-def _limited(rows: np.ndarray, pairs: Iterator[tuple[np.ndarray, np.ndarray]], first: int, asked) -> pa.RecordBatch | None:
-    """The pairs that pass, with the earlier set first: of each later row the ``first`` nearest (0: all)."""
+def _limited(rows: np.ndarray, pairs: Iterator[tuple[np.ndarray, np.ndarray]], first: int) -> pa.RecordBatch | None:
+    """The pairs that pass, with the earlier set first: of each later row the ``first`` nearest."""
     got = []
     for i, j in pairs:
         i, j, apart, most = near(rows, i, j)
         if len(i):
             ok = _earlier(rows, i, j)
-            i, j = np.where(ok, i, j), np.where(ok, j, i)
-            if asked is not None:
-                ok = asked[j]
-                i, j, apart, most = i[ok], j[ok], apart[ok], most[ok]
-            got.append((i, j, apart, most))
+            got.append((np.where(ok, i, j), np.where(ok, j, i), apart, most))
     if not got:
         return None
     i, j, apart, most = (np.concatenate(x) for x in zip(*got, strict=True))
@@ -353,14 +412,14 @@ def _limited(rows: np.ndarray, pairs: Iterator[tuple[np.ndarray, np.ndarray]], f
     count = np.diff(np.append(begin, len(j)))
     rank = np.arange(len(j)) - np.repeat(begin, count)
     # Half of the limit or less: the nearest is almost certainly similar, so a few will do.
-    kept = np.where(2 * apart[begin] <= most[begin], first, max(first, RESERVE)) if first else count
+    kept = np.where(2 * apart[begin] <= most[begin], first, max(first, RESERVE))
     more = np.repeat(count > kept, count)
     keep = rank < np.repeat(kept, count)
     i, j = i[keep], j[keep]
     return _found(0, rows[i, SET], rows[j, SET], rows[i, DOC], rows[j, DOC], n=2 * rank[keep] + more[keep])
 
 
-def _lists(keys: np.ndarray, rows: np.ndarray, first: int, block: int, sets) -> Iterator[pa.RecordBatch]:
+def _lists(keys: np.ndarray, rows: np.ndarray, first: int, block: int) -> Iterator[pa.RecordBatch]:
     """Whole lists of words, in adjacent rows; a set stays once in each, at its first place."""
     again = np.zeros(len(keys), bool)
     again[1:] = keys[1:] == keys[:-1]
@@ -373,20 +432,19 @@ def _lists(keys: np.ndarray, rows: np.ndarray, first: int, block: int, sets) ->
     size = np.repeat(count, count)
     place = np.arange(len(size)) - np.repeat(begin, count)
     few = (size > 1) & (size <= SHORT)
-    asked = lambda part: None if sets is None else _in_table(sets, part[:, SET])
-    part = rows[few]
-    if (got := _limited(part, short_pairs(size[few], place[few]), first, asked(part))) is not None:
+    if (got := _limited(rows[few], short_pairs(size[few], place[few]), first)) is not None:
         yield got
     for g in np.flatnonzero(count > SHORT).tolist():
         part = rows[begin[g] : begin[g] + count[g]]
         if count[g] > block:
-            yield _passed(part)
-        elif (got := _limited(part, long_pairs(len(part)), first, asked(part))) is not None:
+            yield _passed(part, keys[begin[g]])
+        elif (got := _limited(part, long_pairs(len(part)), first)) is not None:
             yield got
 
 
-def _passed(rows: np.ndarray) -> pa.RecordBatch:
-    return _found(3, rows[:, SET], None, rows[:, DOC], rows[:, AT], key=rows[:, SIZE] >> np.uint64(32), packed=rows)
+def _passed(rows: np.ndarray, key=None) -> pa.RecordBatch:
+    """Rows of too long a list, for another stage; without ``key`` the word above their size is their key."""
+    return _found(3, rows[:, SET], None, rows[:, DOC], rows[:, AT], key=rows[:, SIZE] >> np.uint64(32) if key is None else np.full(len(rows), key), packed=rows)
 
 
 def _gathered(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[bool, np.ndarray, np.ndarray]]:
@@ -414,17 +472,16 @@ def _gathered(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[bool, np.ndar
         yield out()
 
 
-def _meet(first: int, block: int, sets=None):
-    """Pairs of the lists of a stream sorted by key, and the places of sets. With ``sets`` only pairs whose later set is in that table."""
+def _meet(first: int, block: int):
+    """Pairs of the lists of a stream sorted by key, and the places of sets."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         release_memory()
-        table = None if sets is None else sets.value
         held: tuple[bool, np.ndarray, np.ndarray] | None = None
         over = None  # the key of a list that has exceeded its limit
 
         def close(of_sets, keys, rows):
-            return _places(keys, rows) if of_sets else _lists(keys, rows, first, block, table)
+            return _places(keys, rows) if of_sets else _lists(keys, rows, first, block)
 
         for of_sets, keys, rows in _gathered(batches):
             if held is not None and held[0] == of_sets:
@@ -441,7 +498,7 @@ def _meet(first: int, block: int, sets=None):
             if over is not None:
                 same = int(np.searchsorted(keys, over, "right")) if not of_sets else 0
                 if same:
-                    yield _passed(rows[:same])
+                    yield _passed(rows[:same], over)
                     keys, rows = keys[same:], rows[same:]
                 if len(keys):
                     over = None
@@ -459,7 +516,7 @@ def _meet(first: int, block: int, sets=None):
                 keys, rows = keys[order[head]], rows[order[head]]
             elif len(keys) > 4 * block:
                 over = keys[0]
-                yield _passed(rows)
+                yield _passed(rows, over)
                 continue
             held = of_sets, keys, rows
         if held is not None:
@@ -543,6 +600,7 @@ def _decided(docs: DataFrame, work: Workspace, id_col: str, text_col: str, first
     hot = max(int(np.log2(2 * block)) + 1, int(np.log2(max(total / (8 * parts), 1))) + 2)
     salted = {"hot": hot, "parts": parts}
     found = work.save(_dealt(texts.mapInArrow(_nodes(rarity, **salted), ROW)).mapInArrow(_meet(first, block), FOUND), "found")
+    release_shuffles(spark)
     place = F.shiftright("at", 32).cast("int").alias("line")
     begins = found.where("kind = 1").select(F.col("a").alias("set"), "doc", place, F.col("b").alias("row_key"))
     again = found.where("kind = 2").select(F.col("b").alias("row_key"), place)
@@ -555,16 +613,20 @@ def _decided(docs: DataFrame, work: Workspace, id_col: str, text_col: str, first
     left = work.save(left, "left")
     if not left.isEmpty():
         # The lines are cut again: those asked for, for their words, then all that meet them. Tables of fixed size hold documents,
-        # sets and words, so only these rows are shuffled.
+        # sets and words, whose chance hits are compared in vain, so only these rows are shuffled.
         asked_sets = shared(count_table(left.select("b"), _first_column))
         asked_docs = shared(count_table(left.select("doc_b").distinct(), _first_column))
         keys = texts.mapInArrow(_nodes(rarity, docs=asked_docs, sets=asked_sets), ROW).select("key")
         asked_keys = shared(count_table(keys, _first_column))
-        rows = texts.mapInArrow(_nodes(rarity, keys=asked_keys, **salted), ROW)
-        rest = work.save(_dealt(rows).mapInArrow(_meet(0, block, asked_sets), FOUND), "rest")
-        rest = _pairs(rest, 0, block).join(left.select("b"), "b", "left_semi").join(checked.select("a", "b"), ["a", "b"], "left_anti")
-        matched = matched.unionAll(_verified(work.save(rest, "rest-pairs"), texts, work, rarity).where("same").select("b")).distinct()
-    return begins, again, firsts, work.save(matched, "matched")
+        blocks = -(-left.count() // HELD)
+        rows = texts.mapInArrow(_nodes(rarity, sets=asked_sets, keys=asked_keys, blocks=blocks), ASKED)
+        rest = rows.repartition("key").sortWithinPartitions("key", "asked").mapInArrow(_settled, "b long")
+        matched = matched.unionAll(rest).distinct()
+    matched = work.save(matched, "matched")
+    for done in (pairs, checked, left):
+        work.drop(done)
+    release_shuffles(spark)
+    return begins, again, firsts, matched
 
 
 @contextmanager

@@ -108,8 +108,11 @@ def test_near_copies_in_small_blocks_match_brute_force(spark, monkeypatch):
         rows.append((d, " ".join(mine) + "\n" + common + "\n" + " ".join(f"u{d}-{k % 9}" for k in range(12))))
     want = brute(rows)
     df = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
-    for first, block, short in ((3, 2048, 48), (1, 7, 2), (2, 60, 3)):
+    # The least reserve and few lines held at a time: many lines are looked up again.
+    for first, block, short, reserve, held in ((3, 2048, 48, 64, 4096), (1, 7, 2, 1, 5), (2, 60, 3, 2, 3)):
         monkeypatch.setattr(lines, "SHORT", short)
+        monkeypatch.setattr(lines, "RESERVE", reserve)
+        monkeypatch.setattr(lines, "HELD", held)
         got = {r.row.doc_id: r.text for r in lines.deduplicate(df, first=first, block=block).collect()}
         assert got == want
 
