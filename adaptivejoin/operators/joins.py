@@ -8,7 +8,7 @@ from dataclasses import dataclass, field
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from adaptivejoin.operators.routing import SHIP, Access
+from adaptivejoin.operators.routing import FETCH, SHIP, Access
 
 
 @dataclass(frozen=True)
@@ -62,41 +62,54 @@ def ship_join(probe: DataFrame, stored: DataFrame, key: str, stored_key: str, ca
 
 def fetch_join(probe: DataFrame, stored: DataFrame, key: str, stored_key: str, call: CallSpec, how: str = "inner", lane: str = "lane", dedupe: bool = True) -> DataFrame:
     """Values travel to the lanes: each lane's list of distinct keys meets the stored side, and comes back as (lane, key) with the
-    value. Without ``dedupe`` every access fetches for itself, as when nothing is kept."""
+    value. Without ``dedupe`` every access fetches for itself, as when nothing is kept: its value travels to its lane, and the call
+    runs there."""
+    if not dedupe:
+        right = _stored(stored, stored_key, call).hint("shuffle_hash")
+        return _finish(probe.join(right, F.col(key) == F.col("__key"), how).repartition(lane), probe, call, how)
     needs = probe.where(F.col(key).isNotNull()).select(F.col(lane).alias("__lane"), F.col(key).alias("__need"))
-    if dedupe:
-        needs = needs.distinct()
-        values = needs.join(_stored(stored, stored_key, call), F.col("__need") == F.col("__key")).drop("__need")
-        joined = probe.join(values, (F.col(lane) == F.col("__lane")) & (F.col(key) == F.col("__key")), how)
-        return _finish(joined, probe, call, how)
-    return keyed_join(probe, stored, key, stored_key, call, how, "shuffle_hash")
+    values = needs.distinct().join(_stored(stored, stored_key, call), F.col("__need") == F.col("__key")).drop("__need")
+    joined = probe.join(values, (F.col(lane) == F.col("__lane")) & (F.col(key) == F.col("__key")), how)
+    return _finish(joined, probe, call, how)
+
+
+#: The place of a value with its owner, where those of lanes have the lane's number.
+OWNER = -1
 
 
 def adaptive_join(routed: DataFrame, stored: DataFrame, access: Access, stored_key: str, call: CallSpec, how: str = "inner") -> DataFrame:
-    """Rows routed to ship go to their key's owner; the others stay in their lanes, where the bought values come once each.
+    """Rows routed to ship meet the value at its owner; the others meet the copy that their lane has bought, which it gets once.
 
-    The routes come from a window over (lane, key), so the second branch finds its rows already dealt that way.
+    Both are one join on (place, key), so the probe is read and routed once; the bought keys, one row of each (lane, key), come from
+    the same exchange of the routed rows. A hot key's rows are spread over the lanes, what ships of it can be split.
     """
     if not call.pushable:
         return fetch_join(routed, stored, access.key, stored_key, call, how, access.lane)
-    ships = F.col(access.key).isNull() | (F.col("route") == SHIP)
-    far = ship_join(routed.where(ships), stored, access.key, stored_key, call, how)
-    near = fetch_join(routed.where(~ships), stored, access.key, stored_key, call, how, access.lane)
-    return far.unionByName(near)
+    lane = F.col(access.lane).cast("int")
+    values = _stored(stored, stored_key, call)
+    needs = routed.where(F.col("route") == FETCH).select(lane.alias("__place"), F.col(access.key).alias("__need"))
+    bought = needs.join(values, F.col("__need") == F.col("__key")).drop("__need")
+    copies = values.withColumn("__place", F.lit(OWNER)).unionByName(bought)
+    # A frozen router knows keys as local whose purchase is in another part of its input; every route but ship has one in its lane.
+    place = F.when(F.col(access.key).isNull() | (F.col("route") == SHIP), F.lit(OWNER)).otherwise(lane)
+    return _finish(routed.withColumn("__at", place).join(copies, (F.col("__at") == F.col("__place")) & (F.col(access.key) == F.col("__key")), how), routed, call, how)
 
 
-def heavy_hitter_join(probe: DataFrame, stored: DataFrame, key: str, stored_key: str, call: CallSpec, weight: Column, least: int, sample: Column | None = None, most_keys: int = 10_000) -> DataFrame:
+def heavy_hitter_join(probe: DataFrame, stored: DataFrame, key: str, stored_key: str, call: CallSpec, weight: Column, least: Column | int, sample: Column | None = None, most_bytes: int = 64 << 20, most_keys: int = 100_000) -> DataFrame:
     """Known statistics: keys whose weight reaches ``least`` are replicated and their rows stay where they are; the rest is dealt by key.
 
-    At most ``total / least`` keys can be heavy; the replicated side is limited to the heaviest ``most_keys``, the others just stay
-    with the rest, so the broadcast has a bound and no row is lost.
+    At most ``total / least`` keys can be heavy. The replicated side is broadcast only where its values are measured to fit
+    ``most_bytes`` (and its keys ``most_keys``); otherwise the heavy keys' rows are salted, so no row is lost and none is hot.
     """
     counted = probe.where(sample) if sample is not None else probe
-    heavy = counted.where(F.col(key).isNotNull()).groupBy(F.col(key).alias("__heavy")).agg(weight.alias("w")).where(F.col("w") >= least).orderBy(F.col("w").desc(), "__heavy").limit(most_keys).select("__heavy")
+    heavy = counted.where(F.col(key).isNotNull()).groupBy(F.col(key).alias("__heavy")).agg(weight.alias("w")).where(F.col("w") >= least).select("__heavy")
     right = _stored(stored, stored_key, call)
-    heavy_values = right.join(F.broadcast(heavy), F.col("__key") == F.col("__heavy"), "left_semi")
+    heavy_values = right.join(heavy, F.col("__key") == F.col("__heavy"), "left_semi")
+    found = heavy_values.agg(F.count("*").alias("n"), F.coalesce(F.sum(F.octet_length(F.to_json(F.struct(*call.value)))), F.lit(0)).alias("bytes")).first()
+    if found["n"] > most_keys or found["bytes"] > most_bytes:
+        return salted_join(probe, stored, key, stored_key, call, F.xxhash64(*probe.columns), 16)
     a = _finish(probe.join(F.broadcast(heavy_values), F.col(key) == F.col("__key")), probe, call, "inner")
-    rest = probe.join(F.broadcast(heavy), F.col(key) == F.col("__heavy"), "left_anti")
+    rest = probe.join(F.broadcast(heavy_values.select(F.col("__key").alias("__heavy"))), F.col(key) == F.col("__heavy"), "left_anti")
     return a.unionByName(keyed_join(rest, stored, key, stored_key, call, "inner", "shuffle_hash"))
 
 
@@ -125,13 +138,10 @@ def estimated_bytes(df: DataFrame) -> int:
     return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
 
 
-#: A stored side under this estimate goes to every lane at once: each would buy all of it after a few accesses.
-SMALL_BYTES = 1 << 20
-
-
-def chain_join(probe: DataFrame, stages: list[Stage], lanes: int, by: Column, seq: tuple[str, ...], small: int = SMALL_BYTES) -> DataFrame:
-    """Left-deep: each stage routes and joins the rows of the one before, with counts of its own. Rows keep their lanes throughout;
-    a stage whose stored side is small needs no routing and no exchange."""
+def chain_join(probe: DataFrame, stages: list[Stage], lanes: int, by: Column, seq: tuple[str, ...], small: int = 0) -> DataFrame:
+    """Left-deep: each stage routes and joins the rows of the one before, with counts of its own. Rows keep their lanes throughout.
+    Each stage reads the one before once. With ``small``, a stored side under so many bytes by the planner's estimate goes to every
+    lane at once and needs no routing: each would buy all of it after a few accesses."""
     from adaptivejoin.operators.routing import assign_lanes, ski_route
 
     rows = assign_lanes(probe, lanes, by)

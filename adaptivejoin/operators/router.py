@@ -1,7 +1,8 @@
 """Routing with a bounded cache: a fold over the accesses of each lane.
 
 Lanes are independent, so they are dealt over the tasks; a lane's rows stream past in order and only its counters and cache
-residents are held, both bounded. A task may hold several lanes, one after the other.
+residents are held. Residents are bounded by the budget, counters by ``eps``; exact counts (no ``eps``) grow with the keys of a
+lane and are there for comparison. A task may hold several lanes, one after the other.
 """
 
 from __future__ import annotations
@@ -64,6 +65,8 @@ class LaneRouter:
                 self.counter.reset(key)
                 self.counter.add(key)
             self.updated[key] = updated_at
+            if len(self.updated) > 2 * len(self.counter.table) + 1024:  # times of keys that are no longer counted
+                self.updated = {k: v for k, v in self.updated.items() if k in self.counter.table}
         return route
 
     def _miss(self, key, size, count, rent, buy, use_mem, use_disk, priority) -> str:

@@ -27,8 +27,16 @@ class Access:
     seq: tuple[str, ...] = ("seq",)
 
 
+def reserved(df: DataFrame, *names: str) -> None:
+    """Refuse a relation whose own columns an operator would overwrite."""
+    taken = [n for n in names if n in df.columns]
+    if taken:
+        raise ValueError(f"columns {taken} are set here: rename the relation's own")
+
+
 def assign_lanes(df: DataFrame, lanes: int, by: Column) -> DataFrame:
     """A lane for each row, evenly, by a hash of the row's identity."""
+    reserved(df, "lane")
     return df.withColumn("lane", F.pmod(portable_hash(by), F.lit(lanes)).cast("int"))
 
 
@@ -56,12 +64,28 @@ def threshold(rent: Column, buy: Column, use: Column, first_ships: bool = True)
 
 def ski_route(probe: DataFrame, access: Access, rent: Column, buy: Column, use: Column, first_ships: bool = True, epoch: tuple[str, ...] = ()) -> DataFrame:
     """``probe`` with the access count ``c`` and the ``route``: ship, then fetch once, then local."""
+    reserved(probe, "c", "route")
     order = W.partitionBy(access.lane, access.key, *epoch).orderBy(*access.seq)
     m = threshold(rent, buy, use, first_ships)
     c = F.col("c")
     return probe.withColumn("c", F.row_number().over(order).cast("long")).withColumn("route", F.when(c <= m, SHIP).when(c == m + 1, FETCH).otherwise(LOCAL))
 
 
+def online_route(probe: DataFrame, stored: DataFrame, access: Access, stored_key: str, size: str, rent: Column, buy: Column, use: Column) -> DataFrame:
+    """Routes without knowing anything beforehand. The first call of a key in a lane ships and its reply brings the value's size,
+    from which ``rent``, ``buy`` and ``use`` follow (expressions over ``size``). So only one row of each (lane, key) with a second
+    access meets the store, and only its narrow size column; keys that the store lacks always ship."""
+    reserved(probe, "c", "route")
+    order = W.partitionBy(access.lane, access.key).orderBy(*access.seq)
+    counted = probe.withColumn("c", F.row_number().over(order).cast("long"))
+    again = counted.where((F.col("c") == 2) & F.col(access.key).isNotNull()).select(F.col(access.lane).alias("__lane"), F.col(access.key).alias("__key"))
+    sizes = stored.select(F.col(stored_key).alias("__stored"), F.col(size).alias(size))
+    replies = again.join(sizes, F.col("__key") == F.col("__stored")).select("__lane", "__key", threshold(rent, buy, use).alias("__m"))
+    known = counted.join(replies, (F.col(access.lane) == F.col("__lane")) & (F.col(access.key) == F.col("__key")), "left")
+    route = F.when(F.col("__m").isNull() | (F.col("c") <= F.col("__m")), SHIP).when(F.col("c") == F.col("__m") + 1, FETCH).otherwise(LOCAL)
+    return known.withColumn("route", route).drop("__lane", "__key", "__m")
+
+
 def route_cost(rent: Column, buy: Column, use: Column) -> Column:
     """What an access on its route costs; the access that buys also uses the value."""
     return F.when(F.col("route") == SHIP, rent).when(F.col("route") == FETCH, buy + use).otherwise(use)

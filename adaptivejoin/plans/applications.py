@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from adaptivejoin.functions.costs import CostProfile
 from adaptivejoin.functions.hashing import portable_hash, row_id
 from adaptivejoin.operators import joins, routing
 from adaptivejoin.operators.joins import CallSpec, Stage
@@ -43,12 +44,15 @@ def dictionary(spark, folder) -> DataFrame:
 
 
 def tokens(docs: DataFrame, ids: tuple[str, ...]) -> DataFrame:
-    """(ids, pos, token, ctx): every token with up to five on each side."""
+    """(ids, pos, token, ctx): every token with up to five on each side. Contexts are cut within the row, so that no token carries
+    the words of its whole text."""
     ws = docs.select(*ids, word_array(F.col("text")).alias("ws"))
-    at = ws.select(*ids, "ws", F.posexplode("ws").alias("pos", "token"))
-    lo = F.greatest(F.lit(1), F.col("pos") + 1 - CONTEXT)
-    ctx = F.slice("ws", lo, F.least(F.size("ws"), F.col("pos") + 1 + CONTEXT) - lo + 1)
-    return at.select(*ids, "pos", "token", ctx.alias("ctx"))
+
+    def window(token, i):
+        lo = F.greatest(F.lit(1), i + 1 - CONTEXT)
+        return F.struct(i.alias("pos"), token.alias("token"), F.slice("ws", lo, F.least(F.size("ws"), i + 1 + CONTEXT) - lo + 1).alias("ctx"))
+
+    return ws.select(*ids, F.inline(F.transform("ws", window)))
 
 
 def spots(spark, folder, docs: DataFrame, ids: tuple[str, ...]) -> DataFrame:
@@ -71,12 +75,26 @@ def scored(spots_: DataFrame, models_: DataFrame, ids: tuple[str, ...]) -> DataF
 
     A token's candidates travel as one value, so that the annotation is a keyed call on the token.
     """
-    value = models_.groupBy("token").agg(F.collect_list(F.struct("entity", "weights")).alias("cands"))
-    places = F.transform("ctx", lambda w: (portable_hash(w) % DIMS + 1).cast("int"))
+    return chosen(placed(spots_).join(model_store(models_), "token").withColumn("best", best_entity()), ids)
+
+
+def model_store(models_: DataFrame) -> DataFrame:
+    """(token, cands, value_bytes): the models of a token as one stored value."""
+    return models_.groupBy("token").agg(F.collect_list(F.struct("entity", "weights")).alias("cands"), (F.count("*") * 8 * (DIMS + 1)).alias("value_bytes"))
+
+
+def placed(spots_: DataFrame) -> DataFrame:
+    """Spots with the places of their context words: the parameters of the call."""
+    return spots_.withColumn("places", F.transform("ctx", lambda w: (portable_hash(w) % DIMS + 1).cast("int"))).drop("ctx")
+
+
+def best_entity():
     score = lambda c: F.aggregate("places", F.lit(0).cast("long"), lambda a, p: a + F.element_at(c["weights"], p))
-    best = F.array_max(F.transform("cands", lambda c: F.struct(score(c).alias("score"), (-c["entity"]).alias("minus"))))
-    joined = spots_.withColumn("places", places).join(value, "token")
-    return joined.withColumn("best", best).select(*ids, "pos", "token", (-F.col("best.minus")).alias("entity"), F.col("best.score").alias("score"))
+    return F.array_max(F.transform("cands", lambda c: F.struct(score(c).alias("score"), (-c["entity"]).alias("minus"))))
+
+
+def chosen(rows: DataFrame, ids: tuple[str, ...]) -> DataFrame:
+    return rows.select(*ids, "pos", "token", (-F.col("best.minus")).alias("entity"), F.col("best.score").alias("score"))
 
 
 WORDS = "regexp_extract_all(lower(coalesce(text, '')), '[a-z]+')"
@@ -113,6 +131,72 @@ def annotate_top_tokens(spark, folder):
     return spots(spark, folder, table(spark, folder, "documents"), ("doc_id",)).groupBy("token").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "token").limit(20)
 
 
+ENTITIES = ORACLES["annotate_entities"]
+ANNOTATION = CallSpec(("cands",), best_entity, "best")
+
+
+def annotated_by(name: str, lanes: int = 8):
+    """Annotation as a keyed join under one of the strategies; all of them give the same entities."""
+
+    def add(join):
+        @query(f"annotate_{name}", ENTITIES)
+        def annotate(spark, folder):
+            rows = placed(spots(spark, folder, table(spark, folder, "documents"), ("doc_id",)))
+            rows = st.spooled(routing.assign_lanes(rows, lanes, F.col("doc_id")), "spots")
+            stored = st.spooled(model_store(models(spark, folder)).withColumnRenamed("token", "skey"), "models")
+            return chosen(join(rows, stored), ("doc_id",))
+
+        return join
+
+    return add
+
+
+SPOT = Access("token", "lane", ("doc_id", "pos"))
+
+
+@annotated_by("batched_fetch")
+def annotate_batched_fetch(rows, stored):
+    return joins.fetch_join(rows, stored, "token", "skey", ANNOTATION, dedupe=False)
+
+
+@annotated_by("always_ship")
+def annotate_always_ship(rows, stored):
+    return joins.ship_join(rows, stored, "token", "skey", ANNOTATION)
+
+
+@annotated_by("coin_flip")
+def annotate_coin_flip(rows, stored):
+    coin = F.pmod(portable_hash(F.concat_ws("-", "doc_id", "pos")), F.lit(2))
+    far = joins.ship_join(rows.where(coin == 0), stored, "token", "skey", ANNOTATION)
+    return far.unionByName(joins.fetch_join(rows.where(coin == 1), stored, "token", "skey", ANNOTATION, dedupe=False))
+
+
+@annotated_by("adaptive")
+def annotate_adaptive(rows, stored):
+    p = CostProfile(home_cpu_us=48, lane_cpu_us=20)
+    routed = routing.online_route(rows, stored, SPOT, "skey", "value_bytes", p.rent(), p.buy(F.col("value_bytes")), p.use_memory())
+    return joins.adaptive_join(routed, stored, SPOT, "skey", ANNOTATION)
+
+
+@annotated_by("plain_reduce")
+def annotate_plain_reduce(rows, stored):
+    return joins.keyed_join(rows, stored, "token", "skey", ANNOTATION, hint="shuffle_hash")
+
+
+@annotated_by("full_stats_heavy_hitter")
+def annotate_full_stats_heavy_hitter(rows, stored):
+    return joins.heavy_hitter_join(rows, stored, "token", "skey", ANNOTATION, F.count("*"), max(1, rows.count() // 100))
+
+
+@annotated_by("cost_aware_replicate")
+def annotate_cost_aware_replicate(rows, stored):
+    """A call costs as many scores as its token has candidates."""
+    costs = rows.groupBy("token").agg(F.count("*").alias("n")).join(stored.select("skey", F.size("cands").alias("k")), F.col("token") == F.col("skey"))
+    least = max(1, (costs.agg(F.sum(F.col("n") * F.col("k"))).first()[0] or 0) // 100)
+    known = rows.join(stored.select(F.col("skey").alias("of"), F.size("cands").alias("scores")), F.col("token") == F.col("of"), "left").drop("of")
+    return joins.heavy_hitter_join(known, stored, "token", "skey", ANNOTATION, F.sum("scores"), least)
+
+
 @query("annotate_index", f"WITH {_spots_sql('documents', 'doc_id')}, {MODELS}, {_scored_sql('doc_id')} SELECT entity, count(*) AS mentions, count(DISTINCT doc_id) AS docs FROM ranked WHERE r = 1 GROUP BY entity")
 def annotate_index(spark, folder):
     """The step after annotation: an index by entity."""
@@ -250,6 +334,7 @@ def _prefetched(mode: AccessMode):
 
 query("prefetch_pipeline", RESULT_BY_KEY)(_prefetched(AccessMode("async", 256, 4)))
 query("prefetch_single_calls", RESULT_BY_KEY)(_prefetched(AccessMode("async", 1, 8)))
+query("prefetch_compute_requests", RESULT_BY_KEY)(lambda spark, folder: st.shipped_join(spark, folder, AccessMode("async", 256, 4)).groupBy("key").agg(F.count("*").alias("n"), F.sum("result").alias("total")))
 
 
 @query("param_pull", "SELECT vec_id, label, CAST(floor(CAST(embedding[1] AS DOUBLE) * 1024) AS BIGINT) AS w FROM embeddings WHERE vec_id BETWEEN 100 AND 199")
@@ -321,6 +406,17 @@ def op_formats_roundtrip(spark, folder):
     return out.unionAll(spark.read.text(path).select(F.lit("text").alias("f"), parts[0].cast("int").alias("n_nationkey"), parts[1].alias("n_name")))
 
 
+@query("op_observe", "SELECT count(*) AS n, CAST(sum(l_partkey) AS BIGINT) AS keys FROM lineitem")
+def op_observe(spark, folder):
+    """Figures taken while the rows pass, without a pass of their own."""
+    from pyspark.sql import Observation
+
+    seen = Observation("passing")
+    rows = table(spark, folder, "lineitem").select("l_partkey").observe(seen, F.count("*").alias("n"), F.sum("l_partkey").alias("keys"))
+    rows.write.format("noop").mode("overwrite").save()
+    return spark.createDataFrame([(seen.get["n"], seen.get["keys"])], "n long, keys long")
+
+
 @query("op_datasource_store", "SELECT home, count(*) AS n, CAST(sum(k * k % 1009) AS BIGINT) AS total FROM (SELECT k, CAST(k % 4 AS INTEGER) AS home FROM (SELECT unnest(range(0, 2000)) AS k)) GROUP BY home")
 def op_datasource_store(spark, folder):
     spark.dataSource.register(st.KeyedStoreSource)

@@ -35,7 +35,7 @@ PLAIN = f"WITH {S.probe(1.0)}, store AS (SELECT p_partkey AS skey, p_size, p_ret
 
 
 def priced(spark, folder: str, z: float, moving: bool = False) -> DataFrame:
-    """Accesses with the size of their value. Sizes are per key, a narrow column of the store."""
+    """Accesses with the size of their value, for traces that report costs and bytes; the joins learn sizes from replies instead."""
     probe = X.zipf_probe(spark, folder, z, moving=moving)
     return probe.join(X.part_store(spark, folder).select("skey", "value_bytes"), F.col("key") == F.col("skey")).drop("skey")
 
@@ -81,12 +81,11 @@ def ship_join(spark, folder):
 
 
 def adaptive(spark, folder, how="inner", probe=None, z=1.0) -> DataFrame:
-    """The flagship: cost terms, routes, and the hybrid join."""
+    """The flagship: routes from what the first replies bring, and the hybrid join."""
     rent, buy, mem = terms()
     store = X.part_store(spark, folder)
     probe = X.zipf_probe(spark, folder, z) if probe is None else probe
-    sized = probe.join(store.select(F.col("skey").alias("sized_key"), "value_bytes"), F.col("key") == F.col("sized_key"), "left").drop("sized_key").withColumn("value_bytes", F.coalesce("value_bytes", F.lit(0)))
-    routed = routing.ski_route(sized, X.ACCESS, rent, buy, mem).drop("value_bytes")
+    routed = routing.online_route(probe, store, X.ACCESS, "skey", "value_bytes", rent, buy, mem)
     return joins.adaptive_join(routed, store, X.ACCESS, "skey", X.PART_CALL, how)
 
 
@@ -175,9 +174,45 @@ def _counts(name: str, first_ships: bool, use_sql: str, use) -> None:
 _counts("ski_classic", False, "0", lambda: F.lit(0))
 _counts("ski_recurring", False, C["mem"], None)
 _counts("ski_never_buy", False, C["rent"], PROFILE.rent)
-_counts("tiered_trace_unbounded", True, C["mem"], None)
 
 
+@query("tiered_trace_unbounded", f"WITH {S.routed(PROFILE, 1.0)} SELECT key, count(*) FILTER (route = 'ship') AS ship, count(*) FILTER (route = 'fetch') AS fetch, count(*) FILTER (route = 'local') AS local FROM trace GROUP BY key")
+def tiered_trace_unbounded(spark, folder):
+    """The bounded router with memory for everything: the closed form's counts."""
+    from adaptivejoin.operators.router import CacheBudget, tiered_route
+
+    routed = tiered_route(priced(spark, folder, 1.0), X.ACCESS, PROFILE, CacheBudget(1 << 60, 0))
+    n = lambda r, name: F.count_if(F.col("route") == r).alias(name)
+    return routed.groupBy("key").agg(n("ship", "ship"), n("fetch_mem", "fetch"), n("local_mem", "local"))
+
+
+@query("online_trace", f"WITH {S.routed(PROFILE, 1.0)} SELECT row_id, c, route FROM trace")
+def online_trace(spark, folder):
+    """Routes when sizes are learned from first replies: those of full knowledge."""
+    rent, buy, mem = terms()
+    return routing.online_route(X.zipf_probe(spark, folder, 1.0), X.part_store(spark, folder), X.ACCESS, "skey", "value_bytes", rent, buy, mem).select("row_id", "c", "route")
+
+
+@query("measured_costs", "SELECT * FROM (VALUES ('home_cpu_us'), ('lane_cpu_us'), ('home_disk_us'), ('bandwidth')) v(resource), (SELECT true AS measured)")
+def measured_costs(spark, folder):
+    """The cost profile as measured on the machines that run this: whether each figure is a positive time or rate."""
+    from adaptivejoin.functions.measure import measured_profile
+
+    p = measured_profile(spark, X.part_store(spark, folder), "skey", ("p_size", "p_retailprice"))
+    rows = [(n, getattr(p, n) > 0) for n in ("home_cpu_us", "lane_cpu_us", "home_disk_us", "bandwidth")]
+    return spark.createDataFrame(rows, "resource string, measured boolean")
+
+
+@query("adaptive_join_measured", PLAIN)
+def adaptive_join_measured(spark, folder):
+    """The hybrid join with rent, buy and use from measured costs; whatever they are, the result is that of the plain join."""
+    from adaptivejoin.functions.measure import measured_profile
+
+    store = X.part_store(spark, folder)
+    p = measured_profile(spark, store, "skey", ("p_size", "p_retailprice"))
+    routed = routing.online_route(X.zipf_probe(spark, folder, 1.0), store, X.ACCESS, "skey", "value_bytes", p.rent(), p.buy(F.col("value_bytes")), p.use_memory())
+    return joins.adaptive_join(routed, store, X.ACCESS, "skey", X.PART_CALL).select(*RESULT)
+
 @query("tiered_trace_zero", f"WITH {S.routed(PROFILE, 1.0)} SELECT key, count(*) AS ship FROM trace GROUP BY key")
 def tiered_trace_zero(spark, folder):
     """Without memory and disk every access ships."""
@@ -257,8 +292,8 @@ def updates_holders(spark, folder):
 LEARN = "10 * l_orderkey < (SELECT max(l_orderkey) + 1 FROM lineitem)"
 FROZEN = f"""early AS (SELECT *, row_number() OVER (PARTITION BY lane, key ORDER BY {S.SEQ}) AS c, {S.threshold('rent', 'buy', 'use')} AS m FROM priced WHERE {LEARN}),
 bought AS (SELECT DISTINCT lane, key FROM early WHERE c = m + 1),
-frozen AS (SELECT row_id, lane, key, rent, buy, use, CASE WHEN c <= m THEN 'ship' WHEN c = m + 1 THEN 'fetch' ELSE 'local' END AS route FROM early
-UNION ALL SELECT row_id, p.lane, p.key, rent, buy, use, CASE WHEN b.key IS NOT NULL THEN 'local' ELSE 'ship' END FROM priced p LEFT JOIN bought b ON p.lane = b.lane AND p.key = b.key WHERE NOT ({LEARN}))"""
+frozen AS (SELECT row_id, lane, key, {S.SEQ}, value_bytes, rent, buy, use, CASE WHEN c <= m THEN 'ship' WHEN c = m + 1 THEN 'fetch' ELSE 'local' END AS route FROM early
+UNION ALL SELECT row_id, p.lane, p.key, {S.SEQ}, value_bytes, rent, buy, use, CASE WHEN b.key IS NOT NULL THEN 'local' ELSE 'ship' END FROM priced p LEFT JOIN bought b ON p.lane = b.lane AND p.key = b.key WHERE NOT ({LEARN}))"""
 
 
 def frozen(spark, folder, z: float, moving: bool) -> DataFrame:

@@ -102,7 +102,7 @@ def freq_exact(spark, folder):
     return X.zipf_probe(spark, folder, 1.0).groupBy("lane", "key").agg(F.count("*").alias("n"))
 
 
-@query("freq_lossy_bounds", f"WITH {S.probe(1.0)} SELECT lane, count(DISTINCT key) AS keys, true AS within FROM probe GROUP BY lane")
+@query("freq_lossy_bounds")
 def freq_lossy_bounds(spark, folder):
     """Whether for every key the estimate lies within its bounds, a forgotten key being estimated as 0."""
     probe = X.zipf_probe(spark, folder, 1.0)
@@ -126,7 +126,7 @@ def freq_sketch_topk(spark, folder):
     return spark.sql("SELECT explode(approx_top_k(key, 10, 1000)) AS top FROM zipf_probe_z1").select("top.item", "top.count")
 
 
-@query("sketch_error", f"WITH {S.probe(1.0)} SELECT true AS never_above, true AS heavy_kept")
+@query("sketch_error")
 def sketch_error(spark, folder):
     """Error of the estimates against exact counts: never above, and every key over the error bound is kept."""
     probe = X.zipf_probe(spark, folder, 1.0)
@@ -138,13 +138,13 @@ def sketch_error(spark, folder):
 
 
 SHIPS = f"""hm AS (SELECT *, CAST({S.h("CAST(key AS VARCHAR)")} % {S.HOMES} AS INTEGER) AS home FROM priced),
-ships AS (SELECT *, (row_number() OVER (PARTITION BY lane, home ORDER BY {S.SEQ}) - 1) // {S.BATCH} AS batch_no, 0 AS local_before FROM hm)"""
+ships AS (SELECT *, (row_number() OVER (PARTITION BY lane, home ORDER BY {S.SEQ}) - 1) // {S.BATCH} AS batch_no, 0 AS local_before, 0 AS asked_before FROM hm)"""
 
 
 def all_ships(spark, folder, z: float = 1.0) -> DataFrame:
     """Every access shipped, in batches of its lane and home."""
     rows = routing.assign_home(core.priced(spark, folder, z), "key", S.HOMES)
-    return batching.by_size(rows, ("lane", "home"), X.SEQ, S.BATCH).withColumn("local_before", F.lit(0))
+    return batching.by_size(rows, ("lane", "home"), X.SEQ, S.BATCH).withColumns({"local_before": F.lit(0), "asked_before": F.lit(0)})
 
 
 @query("batch_by_size", f"WITH {S.routed(PROFILE, 1.0)}, {SHIPS} SELECT lane, home, batch_no, count(*) AS members FROM ships GROUP BY lane, home, batch_no")
@@ -169,15 +169,21 @@ def batch_by_wait(spark, folder):
     return batching.by_wait(e, "user_id", "at", SIZE, WAIT_US)
 
 
-_P = PROFILE
-_BACK = f"half * val + (b - half) * {_P.result_bytes}"
-BATCHES = f"""grouped AS (SELECT lane, home, batch_no, count(*) AS b, CAST(sum(value_bytes) AS BIGINT) AS bytes, max(local_before) AS local FROM ships GROUP BY lane, home, batch_no),
-halved AS (SELECT *, bytes // b AS val, b // 2 AS half FROM grouped),
-before AS (SELECT *, CAST(coalesce(sum(half) OVER l, 0) AS BIGINT) AS lane_returned, CAST(coalesce(sum(b) OVER l, 0) AS BIGINT) AS lane_calls, CAST(coalesce(sum({_BACK}) OVER l, 0) AS BIGINT) AS lane_bytes,
-  CAST(coalesce(sum(b - half) OVER h, 0) AS BIGINT) AS home_kept, CAST(coalesce(sum({_BACK}) OVER h, 0) AS BIGINT) AS home_bytes FROM halved
+
+
+def batches_sql(p, ships: str = "ships", to: str = "tried") -> str:
+    """Relations that end in ``to``, the time of every d of every batch of ``ships``."""
+    back = f"half * val + (b - half) * {p.result_bytes}"
+    return f"""{to}_grouped AS (SELECT lane, home, batch_no, count(*) AS b, CAST(sum(value_bytes) AS BIGINT) AS bytes, max(local_before) AS local, max(asked_before) AS asked FROM {ships} GROUP BY lane, home, batch_no),
+{to}_halved AS (SELECT *, bytes // b AS val, b // 2 AS half FROM {to}_grouped),
+{to}_before AS (SELECT *, CAST(coalesce(sum(half) OVER l, 0) AS BIGINT) AS lane_returned, CAST(coalesce(sum(b) OVER l, 0) AS BIGINT) AS lane_calls, CAST(coalesce(sum({back}) OVER l, 0) AS BIGINT) AS lane_bytes,
+  CAST(coalesce(sum(b - half) OVER h, 0) AS BIGINT) AS home_kept, CAST(coalesce(sum({back}) OVER h, 0) AS BIGINT) AS home_bytes FROM {to}_halved
   WINDOW l AS (PARTITION BY lane ORDER BY batch_no, home ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), h AS (PARTITION BY home ORDER BY batch_no, lane ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
-tried AS (SELECT lane, home, batch_no, b, d, greatest({_P.lane_cpu_us * _P.bandwidth} * (local + lane_returned + b - d), {_P.key_bytes + _P.param_bytes} * (lane_calls + b) + lane_bytes + d * {_P.result_bytes} + (b - d) * val,
-  {_P.home_cpu_us * _P.bandwidth} * (home_kept + d), home_bytes + d * {_P.result_bytes} + (b - d) * val) AS time FROM (SELECT *, unnest(range(0, b + 1)) AS d FROM before))"""
+{to} AS (SELECT lane, home, batch_no, b, d, greatest({p.lane_cpu_us * p.bandwidth} * (local + lane_returned + b - d), {p.key_bytes + p.param_bytes} * (lane_calls + b) + asked + lane_bytes + d * {p.result_bytes} + (b - d) * val,
+  {p.home_cpu_us * p.bandwidth} * (home_kept + d), home_bytes + d * {p.result_bytes} + (b - d) * val) AS time FROM (SELECT *, unnest(range(0, b + 1)) AS d FROM {to}_before))"""
+
+
+BATCHES = batches_sql(PROFILE)
 SPLIT = f"WITH {S.routed(PROFILE, 1.0)}, {SHIPS}, {BATCHES}"
 
 

@@ -79,8 +79,9 @@ op("join_cross", "SELECT r_name, n_name FROM region CROSS JOIN nation")(lambda s
 
 
 def _outer(how: str):
-    op(f"join_outer_{how}", f"SELECT c_custkey, o_orderkey FROM (SELECT * FROM customer WHERE c_custkey % 2 = 0) {how} JOIN (SELECT * FROM orders WHERE o_orderkey % 5 = 0) ON c_custkey = o_custkey")(
-        lambda s, d: t(s, d, "customer").where("c_custkey % 2 = 0").join(t(s, d, "orders").where("o_orderkey % 5 = 0"), F.col("c_custkey") == F.col("o_custkey"), how).select("c_custkey", "o_orderkey"))
+    """Keys moved by seven: both sides have rows without a partner."""
+    op(f"join_outer_{how}", f"SELECT c_custkey, o_orderkey FROM customer {how} JOIN orders ON c_custkey = o_custkey + 7")(
+        lambda s, d: t(s, d, "customer").join(t(s, d, "orders"), F.col("c_custkey") == F.col("o_custkey") + 7, how).select("c_custkey", "o_orderkey"))
 
 
 for _how in ("left", "right", "full"):
@@ -89,14 +90,16 @@ op("join_semi", "SELECT doc_id FROM documents WHERE doc_id IN (SELECT doc_id FRO
 op("join_anti", "SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM labels)")(lambda s, d: t(s, d, "documents").select("doc_id").join(t(s, d, "labels"), "doc_id", "left_anti"))
 
 
-@op("join_range", "WITH b AS (SELECT o_custkey AS k, 1000 * (o_orderkey % 50) AS lo FROM orders WHERE o_orderkey % 100 = 7) SELECT k, lo, count(*) AS n FROM b JOIN customer ON c_acctbal >= lo AND c_acctbal < lo + 1500 GROUP BY k, lo")
+@op("join_range", "WITH b AS (SELECT o_custkey AS k, 1000 * (o_orderkey % 50) AS lo FROM orders) SELECT k, lo, count(*) AS n FROM b JOIN customer ON c_acctbal >= lo AND c_acctbal < lo + 1500 GROUP BY k, lo")
 def join_range(s, d):
-    """Intervals meet values in cells of the width of a cell at most, so the range join is an equi-join with a filter."""
+    """Intervals meet values in cells as wide as they are, so the range join is an equi-join with a filter. Equal intervals are
+    joined once; what they count goes back to the orders that ask for them."""
     cell = 1500
-    b = t(s, d, "orders").where("o_orderkey % 100 = 7").select(F.col("o_custkey").alias("k"), (1000 * (F.col("o_orderkey") % 50)).alias("lo"))
-    b = b.withColumn("cell", F.explode(F.sequence(F.floor(F.col("lo") / cell), F.floor((F.col("lo") + 1500) / cell))))
+    orders = t(s, d, "orders").select(F.col("o_custkey").alias("k"), (1000 * (F.col("o_orderkey") % 50)).alias("lo")).groupBy("k", "lo").agg(F.count("*").alias("times"))
+    b = orders.select("lo").distinct().withColumn("cell", F.explode(F.sequence(F.floor(F.col("lo") / cell), F.floor((F.col("lo") + 1500) / cell))))
     c = t(s, d, "customer").select("c_acctbal", F.floor(F.col("c_acctbal") / cell).alias("cell"))
-    return b.join(c, "cell").where("c_acctbal >= lo and c_acctbal < lo + 1500").groupBy("k", "lo").agg(F.count("*").alias("n"))
+    held = b.join(c, "cell").where("c_acctbal >= lo and c_acctbal < lo + 1500").groupBy("lo").agg(F.count("*").alias("held"))
+    return orders.join(held, "lo").select("k", "lo", (F.col("times") * F.col("held")).alias("n"))
 
 
 @op("join_asof", "SELECT a.event_id, max(u.event_id) AS last_update FROM (SELECT * FROM events WHERE event_type <> 'purchase') a ASOF LEFT JOIN (SELECT user_id, ts, event_id FROM events WHERE event_type = 'purchase') u ON a.user_id = u.user_id AND a.ts >= u.ts GROUP BY a.event_id")

@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 from adaptivejoin.functions.costs import CostProfile
-from adaptivejoin.functions.hashing import UNIVERSE
 
 LANES = 8
 HOMES = 8
@@ -26,7 +25,7 @@ def probe(z: float, lanes: int = LANES, moving: bool = False) -> str:
     phase = ", 10 * l_orderkey // (SELECT max(l_orderkey) + 1 FROM lineitem) AS phase"
     key = f"({rank} + phase * 97) % (SELECT n FROM universe)" if moving else rank
     return f"""
-universe AS (SELECT least({UNIVERSE}, count(*)) AS n FROM part),
+universe AS (SELECT count(*) AS n FROM part),
 weights AS (SELECT k, CAST(floor(1000000000 / {POWER[z]}) AS BIGINT) AS w FROM (SELECT unnest(generate_series(1, (SELECT CAST(n AS BIGINT) FROM universe))) AS k)),
 bounds AS (SELECT k, CAST(sum(w) OVER (ORDER BY k) AS BIGINT) - w AS lo, CAST(sum(w) OVER (ORDER BY k) AS BIGINT) AS hi FROM weights),
 drawn AS (SELECT *, {h("row_id")} % (SELECT max(hi) FROM bounds) AS u, {h("row_id || '#'")} % {lanes} AS lane

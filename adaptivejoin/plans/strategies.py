@@ -7,14 +7,17 @@ It is integer arithmetic over aggregates, so that any SQL engine can repeat it;
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from adaptivejoin.functions.costs import BOTH_HEAVY, COMPUTE_HEAVY, DATA_HEAVY, CostProfile
 from adaptivejoin.functions.hashing import SKEWS, portable_hash
 from adaptivejoin.operators import balance, batching, joins, routing
 from adaptivejoin.plans import core
+from adaptivejoin.plans import kernels as K
 from adaptivejoin.plans import sqltext as S
 from adaptivejoin.plans import workloads as X
+from adaptivejoin.sources.store import spooled
 from adaptivejoin.tables import table
 
 QUERIES: dict = {}
@@ -89,13 +92,19 @@ def cache_only(spark, folder):
     return core.adaptive(spark, folder)
 
 
-def split_join(routed: DataFrame, store: DataFrame) -> DataFrame:
-    """Shipped calls in batches; of each batch the owner computes ``d`` and sends the values of the others back to their lanes."""
-    ships = routed.where(F.col("route") == "ship")
-    rows = batching.by_size(routing.assign_home(ships, "key", S.HOMES), ("lane", "home"), X.SEQ, S.BATCH)
-    from pyspark.sql import Window as W
+def batched_ships(routed: DataFrame, profile: CostProfile) -> DataFrame:
+    """What of the routed rows ships, in batches of its lane and home, with the other work of the lanes up to each row."""
+    ships = balance.with_lane_work(routed, X.SEQ, profile).where(F.col("route") == "ship")
+    return batching.by_size(routing.assign_home(ships, "key", S.HOMES), ("lane", "home"), X.SEQ, S.BATCH)
+
 
-    rows = rows.withColumn("in_batch", F.row_number().over(W.partitionBy("lane", "home", "batch_no").orderBy(*X.SEQ)))
+def split_join(routed: DataFrame, store: DataFrame) -> DataFrame:
+    """Shipped calls in batches; of each batch the owner computes ``d`` and sends the values of the others back to their lanes. The
+    routed rows are narrow and are saved once: four steps read them."""
+    routed = spooled(routed.select("row_id", "key", "qty", "lane", *X.SEQ, "route", "value_bytes"), "routed")
+    rows = batched_ships(routed, core.PROFILE)
+    place = (F.row_number().over(W.partitionBy("lane", "home").orderBy(*X.SEQ)) - 1) % S.BATCH + 1
+    rows = spooled(rows.withColumn("in_batch", place), "batched")
     d = balance.split_exact(balance.batch_lines(rows, core.PROFILE)).select("lane", "home", "batch_no", "d")
     rows = rows.join(d, ["lane", "home", "batch_no"])
     keep = ["row_id", "key", "qty", "lane"]
@@ -107,20 +116,20 @@ def split_join(routed: DataFrame, store: DataFrame) -> DataFrame:
 
 @strategy("split_only")
 def split_only(spark, folder):
-    rows = core.priced(spark, folder, 1.0).withColumn("route", F.lit("ship")).withColumn("local_before", F.lit(0))
+    rows = core.priced(spark, folder, 1.0).withColumn("route", F.lit("ship"))
     return split_join(rows, X.part_store(spark, folder))
 
 
 @strategy("full_adaptive")
 def full_adaptive(spark, folder):
     """Routing by frequency, and the split of what ships."""
-    t = core.trace(spark, folder).withColumn("local_before", F.lit(0))
-    return split_join(t, X.part_store(spark, folder))
+    return split_join(core.trace(spark, folder), X.part_store(spark, folder))
 
 
 @strategy("frozen_adaptive")
 def frozen_adaptive(spark, folder):
-    return joins.adaptive_join(core.frozen(spark, folder, 1.0, False), X.part_store(spark, folder), X.ACCESS, "skey", X.PART_CALL)
+    """Decisions of the first tenth are kept; what ships is still split."""
+    return split_join(core.frozen(spark, folder, 1.0, False), X.part_store(spark, folder))
 
 
 @strategy("plain_reduce")
@@ -136,9 +145,15 @@ def _heavy(spark, folder, weight, least, sample=None):
 
 @strategy("cost_aware_replicate")
 def cost_aware_replicate(spark, folder):
-    """Known statistics: frequency times the cost of a call, which grows with the key's rank here."""
-    n = table(spark, folder, "lineitem").count()
-    return _heavy(spark, folder, F.sum(1 + F.col("key") % 7), max(1, 4 * n // HEAVY_SHARE))
+    """Known statistics: a key's frequency times the cost of its calls, here the bytes that a call reads. A key is heavy if it has one
+    in so many of the bytes of all calls."""
+    p, s = _probe(spark, folder)
+    per = p.groupBy("key").agg(F.count("*").alias("n")).join(s.select("skey", "value_bytes"), F.col("key") == F.col("skey"))
+    cost = spooled(per.select(F.col("key").alias("of"), (F.col("n") * F.col("value_bytes")).alias("bytes")), "costs")
+    least = max(1, (cost.agg(F.sum("bytes")).first()[0] or 0) // HEAVY_SHARE)
+    heavy = cost.where(F.col("bytes") >= least).select("of")
+    marked = p.join(F.broadcast(heavy), F.col("key") == F.col("of"), "left")  # at most HEAVY_SHARE keys are heavy
+    return joins.heavy_hitter_join(marked.withColumn("heavy", F.col("of").isNotNull()).drop("of"), s, "key", "skey", X.PART_CALL, F.max(F.col("heavy").cast("int")), 1).drop("heavy")
 
 
 @strategy("full_stats_heavy_hitter")
@@ -171,10 +186,34 @@ def salted_join(spark, folder):
 
 LOADS = {"data_heavy": (DATA_HEAVY, 100_000), "compute_heavy": (COMPUTE_HEAVY, 1_000), "both_heavy": (BOTH_HEAVY, 100_000)}
 ROUTES = ("naive_fetch", "batched_fetch", "always_ship", "coin_flip", "cache_only")
+SPLITS = ("split_only", "full_adaptive", "frozen_adaptive")
+#: The reduce-side plan has the callers' nodes for its reducers as well.
+REDUCERS = S.LANES + S.HOMES
+
+
+def _transfers(p: CostProfile, value: int) -> tuple[int, int]:
+    """Time on the wire of a value and of a shipped call with its result."""
+    return -(-(value + p.key_bytes) // p.bandwidth), -(-(p.result_bytes + p.key_bytes + p.param_bytes) // p.bandwidth)
+
+
+def _split_time_sql(name: str, p: CostProfile, value: int, routed: str) -> tuple[str, str]:
+    """(relations, select) of a strategy that splits its shipped batches."""
+    val, res = _transfers(p, value)
+    over = f"OVER (PARTITION BY lane ORDER BY {S.SEQ} ROWS UNBOUNDED PRECEDING)"
+    work = f"""{name}_work AS (SELECT *, CAST({S.h("CAST(key AS VARCHAR)")} % {S.HOMES} AS INTEGER) AS home, CAST(sum(CASE WHEN route <> 'ship' THEN 1 ELSE 0 END) {over} AS BIGINT) AS local_before,
+  CAST(sum(CASE WHEN route = 'fetch' THEN {p.key_bytes} + value_bytes ELSE 0 END) {over} AS BIGINT) AS asked_before FROM {routed}),
+{name}_ships AS (SELECT *, (row_number() OVER (PARTITION BY lane, home ORDER BY {S.SEQ}) - 1) // {S.BATCH} AS batch_no FROM {name}_work WHERE route = 'ship'),
+{K.batches_sql(p, f"{name}_ships", f"{name}_tried")},
+{name}_parts AS (SELECT lane, home, (b - d) * {p.lane_cpu_us} AS cpu_l, d * {p.home_cpu_us} AS cpu_h, b * {p.home_disk_us} AS disk, d * {res} + (b - d) * {val} AS net
+    FROM (SELECT lane, home, b, arg_min(d, time * 1000 + d) AS d FROM {name}_tried GROUP BY lane, home, batch_no, b)
+  UNION ALL SELECT lane, home, {p.lane_cpu_us}, 0, CASE WHEN route = 'fetch' THEN {p.home_disk_us} ELSE 0 END, CASE WHEN route = 'fetch' THEN {val} ELSE 0 END FROM {name}_work WHERE route <> 'ship')"""
+    lanes = f"(SELECT max(x) FROM (SELECT greatest(sum(cpu_l), sum(net)) AS x FROM {name}_parts GROUP BY lane))"
+    homes = f"(SELECT max(x) FROM (SELECT greatest(sum(cpu_h), sum(net), sum(disk)) AS x FROM {name}_parts GROUP BY home))"
+    return work, f"SELECT '{name}' AS strategy, CAST(greatest({lanes}, {homes}) AS BIGINT) AS time_us"
 
 
 def _time_sql(p: CostProfile, value: int, z: float) -> str:
-    val, res = -(-(value + p.key_bytes) // p.bandwidth), -(-(p.result_bytes + p.key_bytes + p.param_bytes) // p.bandwidth)
+    val, res = _transfers(p, value)
     c = S.costs(p, str(value))
     ships = {"naive_fetch": "false", "batched_fetch": "false", "always_ship": "true", "coin_flip": "coin = 0", "cache_only": "route = 'ship'"}
     parts = []
@@ -184,22 +223,65 @@ def _time_sql(p: CostProfile, value: int, z: float) -> str:
         cpu_l, cpu_h, disk = f"CASE WHEN {ships[name]} THEN 0 ELSE {p.lane_cpu_us} END", f"CASE WHEN {ships[name]} THEN {p.home_cpu_us} ELSE 0 END", f"CASE WHEN {store} THEN {p.home_disk_us} ELSE 0 END"
         lane = f"sum({cpu_l}) + sum({net}) + sum({disk})" if name == "naive_fetch" else f"greatest(sum({cpu_l}), sum({net}))"
         parts.append(f"SELECT '{name}' AS strategy, CAST(greatest((SELECT max(x) FROM (SELECT {lane} AS x FROM t GROUP BY lane)), (SELECT max(x) FROM (SELECT greatest(sum({cpu_h}), sum({net}), sum({disk})) AS x FROM t GROUP BY home))) AS BIGINT) AS time_us")
-    return f"""WITH {S.probe(z)}, counted AS (SELECT *, row_number() OVER (PARTITION BY lane, key ORDER BY {S.SEQ}) AS c, {S.threshold(c['rent'], c['buy'], c['mem'])} AS m FROM probe),
-t AS (SELECT lane, {S.h("CAST(key AS VARCHAR)")} % {S.HOMES} AS home, {S.h("row_id || '!'")} % 2 AS coin, CASE WHEN c <= m THEN 'ship' WHEN c = m + 1 THEN 'fetch' ELSE 'local' END AS route FROM counted)
+    splits = [_split_time_sql(n, p, value, r) for n, r in zip(SPLITS, ("all_ship", "routed", "frozen"), strict=True)]
+    reducer = f"SELECT {S.h('CAST(key AS VARCHAR)')} % {REDUCERS} AS node, key, count(*) AS n FROM probe GROUP BY key"
+    parts += [x for _, x in splits]
+    parts.append(f"SELECT 'plain_reduce' AS strategy, CAST(max(greatest(cpu, net, disk)) AS BIGINT) AS time_us FROM (SELECT sum(n) * {p.home_cpu_us} AS cpu, sum(n) * {res} + count(*) * {val} AS net, count(*) * {p.home_disk_us} AS disk FROM ({reducer}) GROUP BY node)")
+    return f"""WITH {S.probe(z)}, priced AS (SELECT *, CAST({value} AS BIGINT) AS value_bytes, {c['rent']} AS rent, {c['buy']} AS buy, {c['mem']} AS use FROM probe),
+counted AS (SELECT *, row_number() OVER (PARTITION BY lane, key ORDER BY {S.SEQ}) AS c, {S.threshold('rent', 'buy', 'use')} AS m FROM priced),
+routed AS (SELECT *, CASE WHEN c <= m THEN 'ship' WHEN c = m + 1 THEN 'fetch' ELSE 'local' END AS route FROM counted),
+all_ship AS (SELECT *, 'ship' AS route FROM priced), {core.FROZEN},
+t AS (SELECT lane, {S.h("CAST(key AS VARCHAR)")} % {S.HOMES} AS home, {S.h("row_id || '!'")} % 2 AS coin, route FROM routed),
+{', '.join(w for w, _ in splits)}
 {' UNION ALL '.join(parts)}"""
 
 
 def modelled(spark, folder, load: str, z: float) -> DataFrame:
     p, value = LOADS[load]
-    rows = routing.ski_route(X.zipf_probe(spark, folder, z).withColumn("value_bytes", F.lit(value)), X.ACCESS, p.rent(), p.buy(F.col("value_bytes")), p.use_memory())
+    probe = X.zipf_probe(spark, folder, z).select("row_id", "lane", *X.SEQ, "key").withColumn("value_bytes", F.lit(value).cast("long"))
+    probe = spooled(probe, "accesses")  # nine strategies read them
+    rent, buy, use = p.rent(), p.buy(F.col("value_bytes")), p.use_memory()
+    rows = spooled(routing.ski_route(probe, X.ACCESS, rent, buy, use).drop("c"), "routed")
     t = routing.assign_home(rows, "key", S.HOMES).withColumn("coin", _coin()).select("lane", "home", "coin", "route")
     # The five strategies read one aggregate: a row for each combination, not for each access.
     t = t.groupBy("lane", "home", "coin", "route").agg(F.count("*").alias("n"))
-    return node_times(t, p, value)
+    top = table(spark, folder, "lineitem").agg(F.max("l_orderkey")).first()[0] + 1
+    frozen = routing.frozen_route(probe, X.ACCESS, rent, buy, use, F.col("l_orderkey") * 10 < top)
+    out = node_times(t, p, value)
+    for name, routed in zip(SPLITS, (probe.withColumn("route", F.lit("ship")), rows, frozen), strict=True):
+        out = out.unionByName(split_time(routed, p, value).select(F.lit(name).alias("strategy"), "time_us"))
+    return out.unionByName(reduce_time(probe, p, value).select(F.lit("plain_reduce").alias("strategy"), "time_us"))
+
+
+def _busiest(parts: DataFrame) -> DataFrame:
+    """time_us of the busiest resource, from the work of (lane, home) pairs."""
+    sums = parts.groupBy("lane", "home").agg(*[F.sum(c).alias(c) for c in ("cpu_l", "cpu_h", "disk", "net")])
+    lanes = sums.groupBy("lane").agg(F.greatest(F.sum("cpu_l"), F.sum("net")).alias("x")).agg(F.max("x").alias("a"))
+    homes = sums.groupBy("home").agg(F.greatest(F.sum("cpu_h"), F.sum("net"), F.sum("disk")).alias("x")).agg(F.max("x").alias("b"))
+    return lanes.crossJoin(homes).select(F.greatest("a", "b").cast("long").alias("time_us"))
+
+
+def split_time(routed: DataFrame, p: CostProfile, value: int) -> DataFrame:
+    """Modelled time when what ships is split batch by batch."""
+    val, res = _transfers(p, value)
+    d = balance.split_exact(balance.batch_lines(batched_ships(routed, p), p))
+    back = F.col("b") - F.col("d")
+    split = d.select("lane", "home", (back * p.lane_cpu_us).alias("cpu_l"), (F.col("d") * p.home_cpu_us).alias("cpu_h"), (F.col("b") * p.home_disk_us).alias("disk"), (F.col("d") * res + back * val).alias("net"))
+    own = routing.assign_home(routed.where("route != 'ship'"), "key", S.HOMES).groupBy("lane", "home").agg(F.count("*").alias("n"), F.count_if(F.col("route") == "fetch").alias("fetched"))
+    own = own.select("lane", "home", (F.col("n") * p.lane_cpu_us).alias("cpu_l"), F.lit(0).cast("long").alias("cpu_h"), (F.col("fetched") * p.home_disk_us).alias("disk"), (F.col("fetched") * val).alias("net"))
+    return _busiest(split.unionByName(own))
+
+
+def reduce_time(probe: DataFrame, p: CostProfile, value: int) -> DataFrame:
+    """Modelled time when accesses and values are dealt by key over all nodes."""
+    val, res = _transfers(p, value)
+    keys = routing.assign_home(probe, "key", REDUCERS).groupBy("home", "key").agg(F.count("*").alias("n"))
+    nodes = keys.groupBy("home").agg(F.greatest(F.sum("n") * p.home_cpu_us, F.sum("n") * res + F.count("*") * val, F.count("*") * p.home_disk_us).alias("x"))
+    return nodes.agg(F.max("x").cast("long").alias("time_us"))
 
 
 def node_times(t: DataFrame, p: CostProfile, value: int) -> DataFrame:
-    val, res = -(-(value + p.key_bytes) // p.bandwidth), -(-(p.result_bytes + p.key_bytes + p.param_bytes) // p.bandwidth)
+    val, res = _transfers(p, value)
     rows = t.withColumn("strategy", F.explode(F.array(*[F.lit(x) for x in ROUTES])))
     s = F.col("strategy")
     ship = (s == "always_ship") | ((s == "coin_flip") & (F.col("coin") == 0)) | ((s == "cache_only") & (F.col("route") == "ship"))
@@ -219,6 +301,23 @@ def _times(load: str, z: float) -> None:
         return modelled(spark, folder, load, z)
 
 
+def _normalised(load: str) -> None:
+    each = " UNION ALL ".join(f"SELECT CAST({z} AS DOUBLE) AS z, strategy, time_us FROM ({_time_sql(*LOADS[load], z)})" for z in SKEWS)
+
+    @query(f"normalised_time_{load}", f"WITH every_time AS ({each}) SELECT z, strategy, time_us * 1000 // (SELECT time_us FROM every_time WHERE z = 0 AND strategy = 'naive_fetch') AS permille FROM every_time")
+    def normalised(spark, folder):
+        """Times of all strategies and skews over that of naive fetching without skew, in thousandths."""
+        every = None
+        for z in SKEWS:
+            one = modelled(spark, folder, load, z).withColumn("z", F.lit(z))
+            every = one if every is None else every.unionByName(one)
+        every = spooled(every, "times")
+        unit = every.where("z = 0 and strategy = 'naive_fetch'").select(F.col("time_us").alias("unit"))
+        return every.crossJoin(F.broadcast(unit)).select("z", "strategy", F.floor(F.col("time_us") * 1000 / F.col("unit")).cast("long").alias("permille"))
+
+
+for _load in LOADS:
+    _normalised(_load)
 for _load in LOADS:
     for _z in SKEWS:
         _times(_load, _z)

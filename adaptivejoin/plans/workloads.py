@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from adaptivejoin.functions.hashing import UNIVERSE, portable_hash, row_id, zipf_key
+from adaptivejoin.functions.hashing import portable_hash, row_id, with_zipf_key
 from adaptivejoin.operators.joins import CallSpec
 from adaptivejoin.operators.routing import Access
 from adaptivejoin.plans.sqltext import LANES
@@ -18,21 +18,21 @@ STRIDE, PHASES = 97, 10
 
 
 def universe(spark: SparkSession, folder: str) -> int:
-    """Keys of the generator: parquet footers give the count."""
-    return min(UNIVERSE, table(spark, folder, "part").count())
+    """Keys of the generator, all of the store's: parquet footers give the count."""
+    return table(spark, folder, "part").count()
 
 
 def zipf_probe(spark: SparkSession, folder: str, z: float, lanes: int = LANES, moving: bool = False) -> DataFrame:
     """lineitem rows as accesses with a skewed key; lanes by hash of the row. With ``moving`` the frequent keys change ten times."""
     rows = table(spark, folder, "lineitem").select(row_id(*SEQ).alias("row_id"), *SEQ, F.col("l_quantity").cast("long").alias("qty"))
     n = universe(spark, folder)
-    key = zipf_key(portable_hash(F.col("row_id")), n, z)
     rows = rows.withColumn("lane", F.pmod(portable_hash(F.concat("row_id", F.lit("#"))), F.lit(lanes)).cast("int"))
+    rows = with_zipf_key(rows, portable_hash(F.col("row_id")), n, z)
     if not moving:
-        return rows.withColumn("key", key)
+        return rows
     top = table(spark, folder, "lineitem").agg(F.max("l_orderkey")).first()[0]
     rows = rows.withColumn("phase", F.floor(PHASES * F.col("l_orderkey") / F.lit(top + 1)).cast("long"))
-    return rows.withColumn("key", key).withColumn("key", (F.col("key") + F.col("phase") * STRIDE) % n)
+    return rows.withColumn("key", (F.col("key") + F.col("phase") * STRIDE) % n)
 
 
 def part_store(spark: SparkSession, folder: str) -> DataFrame:

@@ -2,7 +2,14 @@
 
 from __future__ import annotations
 
+import atexit
+import bisect
+import contextlib
+import hashlib
+import tempfile
+import threading
 import uuid
+from collections import OrderedDict
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -13,16 +20,113 @@ from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 from adaptivejoin.functions.hashing import portable_hash
 
 
-def build_store(df: DataFrame, key: str, homes: int, path: str) -> DataFrame:
+def build_store(df: DataFrame, key: str, homes: int, path: str, block_bytes: int = 1 << 20) -> DataFrame:
     """Write ``df`` dealt by home and sorted by key within; row-group statistics then find a key without reading the rest."""
     dealt = df.withColumn("home", F.pmod(portable_hash(F.col(key)), F.lit(homes)).cast("int")).repartition(homes, "home").sortWithinPartitions("home", key)
-    dealt.write.partitionBy("home").parquet(path)
+    dealt.write.option("parquet.block.size", block_bytes).partitionBy("home").parquet(path)
     return df.sparkSession.read.parquet(path)
 
 
+class FileStore:
+    """A client of a built store: finds keys by the statistics of row groups and reads these alone. ``blocks`` row groups are kept, the
+    least recently used going first; 0 reads anew every time. A thread has files of its own."""
+
+    def __init__(self, path: str, key: str, homes: int, columns: tuple[str, ...], blocks: int = 0):
+        self.path, self.key, self.homes, self.columns, self.blocks = path, key, homes, list(columns), blocks
+        self.own = threading.local()
+        self.calls = 0
+
+    def _home(self, key) -> int:
+        return int(hashlib.md5(str(key).encode()).hexdigest()[:15], 16) % self.homes
+
+    def _groups(self, home: int) -> list[tuple]:
+        """(least key, greatest key, file, row group) of a home, in order."""
+        known = self.own.__dict__.setdefault("known", {})
+        if home not in known:
+            import pyarrow.parquet as pq
+            from pyarrow import fs
+
+            where, root = fs.FileSystem.from_uri(self.path) if "://" in self.path or self.path.startswith("file:") else (fs.LocalFileSystem(), self.path)
+            files = [f.path for f in where.get_file_info(fs.FileSelector(f"{root}/home={home}", allow_not_found=True)) if f.path.endswith(".parquet")]
+            found = []
+            for f in files:
+                file = pq.ParquetFile(where.open_input_file(f))
+                at = file.schema_arrow.names.index(self.key)
+                for g in range(file.metadata.num_row_groups):
+                    s = file.metadata.row_group(g).column(at).statistics
+                    found.append((s.min, s.max, file, g))
+            known[home] = sorted(found, key=lambda x: (x[0], x[1]))
+        return known[home]
+
+    def _read(self, home: int, i: int) -> tuple[list, list[list]]:
+        """Keys and columns of a row group."""
+        kept: OrderedDict = self.own.__dict__.setdefault("kept", OrderedDict())
+        if (home, i) in kept:
+            kept.move_to_end((home, i))
+            return kept[home, i]
+        _, _, file, g = self._groups(home)[i]
+        t = file.read_row_group(g, [self.key, *self.columns])
+        got = t[self.key].to_pylist(), [t[c].to_pylist() for c in self.columns]
+        if self.blocks:
+            kept[home, i] = got
+            while len(kept) > self.blocks:
+                kept.popitem(last=False)
+        return got
+
+    def get_many(self, keys: list) -> list:
+        """The value of each key as a tuple, or None; keys of one row group read it once."""
+        self.calls += 1
+        out: list = [None] * len(keys)
+        wanted: dict = {}
+        for place, k in enumerate(keys):
+            if k is not None:
+                home = self._home(k)
+                groups = self._groups(home)
+                i = bisect.bisect_right(groups, k, key=lambda g: g[0]) - 1
+                if i >= 0 and groups[i][1] >= k:
+                    wanted.setdefault((home, i), []).append((place, k))
+        for (home, i), asked in wanted.items():
+            own, columns = self._read(home, i)
+            for place, k in asked:
+                at = bisect.bisect_left(own, k)
+                if at < len(own) and own[at] == k:
+                    out[place] = tuple(c[at] for c in columns)
+        return out
+
+    def call_many(self, requests: list, call) -> list:
+        """Compute requests: ``call(key, params, value)`` where the value is, only results come back."""
+        values = self.get_many([k for k, _ in requests])
+        return [call(k, params, v) for (k, params), v in zip(requests, values, strict=True)]
+
+
+_scratch: dict[str, str] = {}
+
+
+def _forget(spark: SparkSession, folder: str) -> None:
+    with contextlib.suppress(Exception):  # the session may have gone before
+        where = spark._jvm.org.apache.hadoop.fs.Path(folder)
+        where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+
+
 def shared_path(spark: SparkSession, name: str) -> str:
-    folder = spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints"
-    return f"{folder.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    """A new path in a folder of this application, in the folder that all machines share; it is deleted when the application ends."""
+    app = spark.sparkContext.applicationId
+    if app not in _scratch:
+        folder = spark.conf.get("spark.checkpoint.dir", None)
+        if not folder:
+            if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+                raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+            folder = f"file://{tempfile.mkdtemp(prefix='scratch-')}"
+        _scratch[app] = f"{folder.rstrip('/')}/scratch-{app}"
+        atexit.register(_forget, spark, _scratch[app])
+    return f"{_scratch[app]}/{name}-{uuid.uuid4().hex}"
+
+
+def spooled(df: DataFrame, name: str) -> DataFrame:
+    """``df`` written once and read back: several steps read it, and a lost executor costs none of its lineage."""
+    path = shared_path(df.sparkSession, name)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
 class KeyedStoreSource(DataSource):
@@ -51,23 +155,35 @@ class _Reader(DataSourceReader):
         yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array([partition.value] * len(keys), pa.int32()), pa.array([k * k % 1009 for k in keys], pa.int64())], names=["key", "home", "value"])
 
 
-def client_join(spark: SparkSession, folder: str, mode, bounded_values: int = 100_000) -> DataFrame:
-    """(key, result) of the skewed accesses through a store client in the workers.
-
-    The store's values are broadcast to stand in for a remote service, so their number is checked first; a larger store goes
-    through the fetch join instead.
-    """
-    from adaptivejoin.operators import joins
+def client_join(spark: SparkSession, folder: str, mode) -> DataFrame:
+    """(key, result) of the skewed accesses through a store client in the workers, which read the built store by key."""
     from adaptivejoin.plans import workloads as X
-    from adaptivejoin.sources.prefetch import MemoryStore, prefetch_map
+    from adaptivejoin.sources.prefetch import prefetch_map
 
-    probe, store = X.zipf_probe(spark, folder, 1.0), X.part_store(spark, folder)
-    if store.count() > bounded_values:
-        return joins.fetch_join(probe, store, "key", "skey", X.PART_CALL, dedupe=False).select("key", "result")
-    rows = store.select("skey", "p_size", F.floor("p_retailprice").cast("long").alias("price")).collect()
-    values = spark.sparkContext.broadcast({r.skey: (r.p_size, r.price) for r in rows})
+    probe, homes, path = X.zipf_probe(spark, folder, 1.0), 8, shared_path(spark, "store")
+    values = X.part_store(spark, folder).select("skey", "p_size", F.floor("p_retailprice").cast("long").alias("price"))
+    build_store(values, "skey", homes, path)
+    blocks = 0 if mode.kind == "sync" else 2 * homes
 
     def apply(row: dict, value) -> dict | None:
         return {"key": row["key"], "result": (row["key"] * 31 + row["qty"] * 7 + value[0] * value[1]) % 1000003} if value else None
 
-    return prefetch_map(probe.select("key", "qty"), "key", lambda: MemoryStore(values.value), apply, "key long, result long", mode)
+    return prefetch_map(probe.select("key", "qty"), "key", lambda: FileStore(path, "skey", homes, ("p_size", "price"), blocks), apply, "key long, result long", mode)
+
+
+def shipped_join(spark: SparkSession, folder: str, mode) -> DataFrame:
+    """The same with compute requests: the call runs at the client's store and only results come back."""
+    from adaptivejoin.plans import workloads as X
+    from adaptivejoin.sources.prefetch import Ship, prefetch_map
+
+    probe, homes, path = X.zipf_probe(spark, folder, 1.0), 8, shared_path(spark, "store")
+    build_store(X.part_store(spark, folder).select("skey", "p_size", F.floor("p_retailprice").cast("long").alias("price")), "skey", homes, path)
+
+    def call(key, qty, value):
+        return (key * 31 + qty * 7 + value[0] * value[1]) % 1000003 if value else None
+
+    def plan(rows: list[dict]) -> list:
+        return [Ship(r["key"], r["qty"]) for r in rows]
+
+    apply = lambda row, result: {"key": row["key"], "result": result} if result is not None else None
+    return prefetch_map(probe.select("key", "qty"), "key", lambda: FileStore(path, "skey", homes, ("p_size", "price"), 2 * homes), apply, "key long, result long", mode, plan, call)

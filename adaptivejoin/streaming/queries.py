@@ -9,7 +9,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from adaptivejoin.sources.store import shared_path
+from adaptivejoin.sources.store import FileStore, build_store, shared_path, spooled
 from adaptivejoin.tables import table
 
 QUERIES: dict = {}
@@ -26,17 +26,28 @@ def query(name: str, sql: str | None = None):
     return add
 
 
-def stream(spark, folder: str, name: str) -> DataFrame:
-    """The table as a stream of files; its times become instants, which watermarks need."""
+#: Micro-batches of a run.
+FILES = 3
+
+
+def stream(spark, folder: str, name: str, files: int = FILES) -> DataFrame:
+    """The table as a stream of files, one a micro-batch, so that state is carried from batch to batch; its times become instants,
+    which watermarks need."""
     schema = table(spark, folder, name).schema
-    rows = spark.readStream.schema(schema).option("pathGlobFilter", "*.parquet").parquet(_as_folder(spark, folder, name))
+    rows = spark.readStream.schema(schema).option("pathGlobFilter", "*.parquet").option("maxFilesPerTrigger", 1).parquet(_as_folder(spark, folder, name, files))
     return rows.withColumn("ts", F.col("ts").cast("timestamp")) if "ts" in schema.names else rows
 
 
-def _as_folder(spark, folder: str, name: str) -> str:
-    """A stream reads folders: the table is copied in four files, in the order of its key."""
+def _as_folder(spark, folder: str, name: str, files: int) -> str:
+    """A stream reads folders: the table is copied in files that follow the order of its key, written one after the other, since a
+    stream takes files by age."""
     path = shared_path(spark, f"stream-{name}")
-    table(spark, folder, name).repartitionByRange(4, table(spark, folder, name).columns[0]).write.parquet(path)
+    rows = table(spark, folder, name)
+    key = F.col(rows.columns[0])
+    ends = rows.agg(F.min(key).alias("lo"), F.max(key).alias("hi")).first()
+    width = ((ends["hi"] or 0) - (ends["lo"] or 0)) // files + 1
+    for i in range(files):
+        rows.where(F.floor((key - (ends["lo"] or 0)) / width) == i).coalesce(1).write.mode("append").parquet(path)
     return path
 
 
@@ -103,7 +114,7 @@ def stream_annotate(spark, folder):
 
     ids = ("conv_id", "turn")
     rows = A.spots(spark, folder, stream(spark, folder, "conversations"), ids)
-    return finished(A.scored(rows, A.models(spark, folder), ids).select(*ids, "pos", "token", "entity"))
+    return finished(A.scored(rows, spooled(A.models(spark, folder), "models"), ids).select(*ids, "pos", "token", "entity"))
 
 
 LATE = "10 minutes"
@@ -127,9 +138,24 @@ def stream_session(spark, folder):
     return finished(rows, "complete").groupBy("user_id").agg(F.count("*").alias("sessions"), F.sum("n").alias("n"))
 
 
-@query("stream_dedup", "SELECT DISTINCT user_id, event_type FROM events")
+@query("stream_dedup", "SELECT event_id FROM events")
 def stream_dedup(spark, folder):
-    return finished(stream(spark, folder, "events").select("user_id", "event_type").dropDuplicates(["user_id", "event_type"]))
+    """Every event arrives twice; ids are kept only as long as the watermark lets the other copy come."""
+    rows = stream(spark, folder, "events").select("event_id", "ts")
+    twice = rows.unionAll(stream(spark, folder, "events").select("event_id", "ts")).withWatermark("ts", "30 days")
+    return finished(twice.dropDuplicatesWithinWatermark(["event_id"]).select("event_id"))
+
+
+@query("stream_prefetch", "SELECT event_id, c_mktsegment FROM events JOIN customer ON user_id = c_custkey")
+def stream_prefetch(spark, folder):
+    """Store calls ahead of the rows of a stream."""
+    from adaptivejoin.sources.prefetch import AccessMode, prefetch_map
+
+    path = shared_path(spark, "store")
+    build_store(table(spark, folder, "customer").select("c_custkey", "c_mktsegment"), "c_custkey", 4, path)
+    rows = stream(spark, folder, "events").select("event_id", "user_id")
+    apply = lambda r, v: {"event_id": r["event_id"], "c_mktsegment": v[0]} if v else None
+    return finished(prefetch_map(rows, "user_id", lambda: FileStore(path, "c_custkey", 4, ("c_mktsegment",), 8), apply, "event_id long, c_mktsegment string", AccessMode("async", 128, 4)))
 
 
 @query("stream_late_dropped")
@@ -162,8 +188,32 @@ def op_sink_idempotent(spark, folder):
     return spark.read.parquet(out).groupBy("user_id").agg(F.count("*").alias("n"))
 
 
-query("op_stream_static", ORACLES["stream_enrich"])(stream_enrich)
-query("op_stream_state", ORACLES["stream_route"])(stream_route)
+@query("op_stream_static", "SELECT event_id, c_mktsegment FROM events LEFT JOIN (SELECT * FROM customer WHERE c_acctbal > 0) ON user_id = c_custkey")
+def op_stream_static(spark, folder):
+    """An outer join with a selection of a stored relation; the stream's rows all stay."""
+    c = table(spark, folder, "customer").where("c_acctbal > 0").select("c_custkey", "c_mktsegment")
+    return finished(stream(spark, folder, "events").join(c, F.col("user_id") == F.col("c_custkey"), "left").select("event_id", "c_mktsegment"))
+
+
+SCALE = 1024
+
+
+def smooth_key(key: tuple, parts: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+    """Smoothed measurements of one key, alpha 1/2 in fixed point; the mean and how many it holds are the state."""
+    n, mean = state.get if state.exists else (0, 100 * SCALE)
+    for part in parts:
+        for v in part.sort_values(["ts", "event_id"])["v"]:
+            n, mean = n + 1, (int(v) * SCALE + mean) // 2
+    state.update((n, mean))
+    yield pd.DataFrame({"user_id": [key[0]], "n": [n], "smoothed": [mean]})
+
+
+@query("op_stream_state", f"WITH x AS (SELECT user_id, list(CAST(floor(value * 100) AS BIGINT) ORDER BY ts, event_id) AS v FROM events GROUP BY user_id) SELECT user_id, list_reduce(list_prepend(CAST({100 * SCALE} AS BIGINT), v), lambda a, x: (x * {SCALE} + a) // 2) AS smoothed FROM x")
+def op_stream_state(spark, folder):
+    """Costs smoothed while they stream: state by key, carried over the batches; the last value of a key is that of one fold."""
+    rows = stream(spark, folder, "events").select("user_id", "ts", "event_id", F.floor(F.col("value") * 100).cast("long").alias("v"))
+    every = finished(rows.groupBy("user_id").applyInPandasWithState(smooth_key, "user_id long, n long, smoothed long", "n long, mean long", "append", "NoTimeout"))
+    return every.groupBy("user_id").agg(F.max_by("smoothed", "n").alias("smoothed"))
 
 
 @query("op_stream_modes", "SELECT event_type, count(*) AS n FROM events GROUP BY event_type")
