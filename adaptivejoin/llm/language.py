@@ -83,8 +83,8 @@ def training_sample(docs: DataFrame, sample_rows: int = SAMPLE_ROWS) -> DataFram
     labelled = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out())
     sizes = labelled.groupBy("lang").agg(F.count("*").alias("rows"))
     draw = F.pmod(F.xxhash64(F.col("doc_id"), F.lit("train")), F.lit(1 << 30)).cast("double") / float(1 << 30)
-    # One row a language; the planner broadcasts them if they are few.
-    return labelled.join(sizes, "lang").where(draw * F.col("rows") < sample_rows).select("lang", "text")
+    # One row a language: as many as the model has, which the driver holds.
+    return labelled.join(F.broadcast(sizes), "lang").where(draw * F.col("rows") < sample_rows).select("lang", "text")
 
 
 def count_grams(docs: DataFrame, sample_rows: int = SAMPLE_ROWS) -> pa.Table:

@@ -1,4 +1,5 @@
 import math
+import random
 import zlib
 from collections import Counter, defaultdict
 
@@ -112,6 +113,19 @@ def test_held_out_labels_are_not_read(spark):
     assert {r.lang_pred for r in got} == {"p", "q"}
 
 
+def test_texts_that_no_language_explains_are_rejected(spark, sf_dir):
+    """Random letters, a script never seen, and a language that was not learned go; learned ones stay."""
+    folder = sf_dir.replace("sf0.001", "sf0.01")
+    docs = spark.read.parquet(f"{folder}/documents.parquet").select("doc_id", "text", "lang")
+    rng = random.Random(3)
+    noise = ["".join(rng.choice("qwxzkjvybpfgmud ") for _ in range(900)), "Пример текста на другом языке. " * 30, "".join(rng.choice("abcdefghijklmnopqrstuvwxyz0123456789") for _ in range(2000))]
+    df = docs.unionAll(spark.createDataFrame([(10**6 + i, t, None) for i, t in enumerate(noise)], docs.schema))
+    kept = {r.doc_id for r in language.accepted(df).select("doc_id").collect()}
+    assert not {10**6 + i for i in range(len(noise))} & kept
+    clean = docs.where("lang is not null and length(text) > 200")
+    assert len(kept & {r.doc_id for r in clean.collect()}) / clean.count() > 0.99
+
+
 def test_nulls_empty_repeats_and_other_columns(spark):
     rows = [(1, "the cat", "en", "k"), (1, "the cat", "en", "k"), (2, None, "en", "k"), (3, "", None, "k"), (4, "12 34 !", "de", "k"), (None, "der hund", "de", None), (6, "the " * 200000, "en", "k")]
     df = spark.createDataFrame(rows, "doc_id long, text string, lang string, score string")
