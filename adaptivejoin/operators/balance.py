@@ -20,7 +20,8 @@ LINES = ("lane_cpu", "lane_net", "home_cpu", "home_net")
 def batch_lines(ships: DataFrame, profile: CostProfile) -> DataFrame:
     """One row a batch (lane, home, batch_no) with b calls and, of each line, intercept ``*_0`` and slope ``*_1`` in bytes' time.
 
-    Earlier batches are charged with half of their calls returned: no recursion, so each side needs one running sum. ``ships``
+    Batches of one number are decided at the same time; those of smaller numbers are charged with half of their calls returned: no
+    recursion, so each side needs one running sum. ``ships``
     has lane, home, batch_no, value_bytes, ``local_before``, the calls that the lane computes itself up to there, and
     ``asked_before``, the bytes of its requests for values and of their replies (see ``with_lane_work``).
     """
@@ -28,8 +29,8 @@ def batch_lines(ships: DataFrame, profile: CostProfile) -> DataFrame:
     b = ships.groupBy("lane", "home", "batch_no").agg(F.count("*").alias("b"), F.sum("value_bytes").alias("bytes"), F.max("local_before").alias("local"), F.max("asked_before").alias("asked"))
     b = b.withColumn("val", F.floor(F.col("bytes") / F.col("b")).cast("long")).withColumn("half", F.floor(F.col("b") / 2).cast("long"))
     sent_back = F.col("half") * F.col("val") + (F.col("b") - F.col("half")) * p.result_bytes
-    of_lane = W.partitionBy("lane").orderBy("batch_no", "home").rowsBetween(W.unboundedPreceding, -1)
-    of_home = W.partitionBy("home").orderBy("batch_no", "lane").rowsBetween(W.unboundedPreceding, -1)
+    of_lane = W.partitionBy("lane").orderBy("batch_no").rangeBetween(W.unboundedPreceding, -1)
+    of_home = W.partitionBy("home").orderBy("batch_no").rangeBetween(W.unboundedPreceding, -1)
     before = lambda x, w: F.coalesce(F.sum(x).over(w), F.lit(0))
     b = b.withColumns({
         "back": sent_back,

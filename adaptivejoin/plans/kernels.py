@@ -178,7 +178,7 @@ def batches_sql(p, ships: str = "ships", to: str = "tried") -> str:
 {to}_halved AS (SELECT *, bytes // b AS val, b // 2 AS half FROM {to}_grouped),
 {to}_before AS (SELECT *, CAST(coalesce(sum(half) OVER l, 0) AS BIGINT) AS lane_returned, CAST(coalesce(sum(b) OVER l, 0) AS BIGINT) AS lane_calls, CAST(coalesce(sum({back}) OVER l, 0) AS BIGINT) AS lane_bytes,
   CAST(coalesce(sum(b - half) OVER h, 0) AS BIGINT) AS home_kept, CAST(coalesce(sum({back}) OVER h, 0) AS BIGINT) AS home_bytes FROM {to}_halved
-  WINDOW l AS (PARTITION BY lane ORDER BY batch_no, home ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), h AS (PARTITION BY home ORDER BY batch_no, lane ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
+  WINDOW l AS (PARTITION BY lane ORDER BY batch_no RANGE BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), h AS (PARTITION BY home ORDER BY batch_no RANGE BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
 {to} AS (SELECT lane, home, batch_no, b, d, greatest({p.lane_cpu_us * p.bandwidth} * (local + lane_returned + b - d), {p.key_bytes + p.param_bytes} * (lane_calls + b) + asked + lane_bytes + d * {p.result_bytes} + (b - d) * val,
   {p.home_cpu_us * p.bandwidth} * (home_kept + d), home_bytes + d * {p.result_bytes} + (b - d) * val) AS time FROM (SELECT *, unnest(range(0, b + 1)) AS d FROM {to}_before))"""
 
