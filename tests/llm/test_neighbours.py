@@ -87,3 +87,36 @@ def test_invalid_tied_repeated_and_few(spark):
     got = sorted((r.query_id, r["rank"], r.vec_id, r.score) for r in neighbours.search(df, every=50).collect())
     assert got == [(0, 1, 2, 1.0), (0, 2, 3, 1.0), (0, 3, 1, 0.0)]
     assert neighbours.search(df.limit(0), every=50).collect() == []
+
+
+def test_leaves_and_a_large_block_cost_little():
+    """Leaves hold every vector that a plain window holds, and a query of a large block counts few windows."""
+    rng = np.random.default_rng(6)
+    n = 8000
+    v = rng.standard_normal((n, 16))
+    index = neighbours.Index(np.arange(n), v, 40)
+    unit = v / np.linalg.norm(v, axis=1)[:, None]
+    at = index.directions @ unit[7].astype(np.float32)
+    plain = (np.abs(index.directions @ unit.T.astype(np.float32) - at[:, None]) <= 0.7).sum(axis=0)
+    counted = index.collisions(at, 0.7)
+    assert (counted >= plain - 1).all() and (counted - plain.astype(int)).mean() < 40 * 2 / neighbours.LEAVES
+    calls = []
+    count, index.collisions = index.collisions, lambda *a: calls.append(a) or count(*a)
+    hits = 0
+    for q in range(0, n, 100):
+        got, _ = index.search(q, v[q], 5)
+        s = unit @ unit[q]
+        s[q] = -2
+        hits += len({*got.tolist()} & {*np.argsort(-s)[:5].tolist()})
+    assert len(calls) <= 3 * 80 and hits / 400 >= 0.9
+
+
+def test_copies_beyond_an_answer_are_not_held(spark):
+    """Many equal vectors: the smallest ids are the answer, in a task that holds k + 1 of them."""
+    rng = np.random.default_rng(8)
+    rows = [(i, [1.0, 2.0] if i % 3 else rng.standard_normal(2).tolist()) for i in range(600)]
+    got = neighbours.search(spark.createDataFrame(rows, "vec_id long, embedding array<float>"), every=50).collect()
+    same = [i for i in range(600) if i % 3]
+    for q in (50, 100, 200):
+        assert [r.vec_id for r in sorted((r for r in got if r.query_id == q), key=lambda r: r["rank"])] == [i for i in same if i != q][:5]
+    assert max(r.verified for r in got) < 250
