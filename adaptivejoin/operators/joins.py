@@ -114,8 +114,9 @@ def heavy_hitter_join(probe: DataFrame, stored: DataFrame, key: str, stored_key:
 
 
 def salted_join(probe: DataFrame, stored: DataFrame, key: str, stored_key: str, call: CallSpec, salt: Column, salts: int) -> DataFrame:
-    """Every key over ``salts`` partitions: stored rows are repeated, probe rows draw one."""
-    right = _stored(stored, stored_key, call).withColumn("__salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+    """Every key over ``salts`` partitions: stored rows are repeated, probe rows draw one. Both sides are dealt and sorted: the planner
+    takes the repeated side for as small as it was, and would send all of it through the driver."""
+    right = _stored(stored, stored_key, call).withColumn("__salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1)))).hint("merge")
     left = probe.withColumn("__mine", F.pmod(salt, F.lit(salts)).cast("int"))
     return _finish(left.join(right, (F.col(key) == F.col("__key")) & (F.col("__mine") == F.col("__salt"))), probe, call, "inner")
 

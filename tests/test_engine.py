@@ -191,6 +191,12 @@ def test_baselines_differ_in_their_plans(spark, sf_dir):
     assert "ShuffledHashJoin" in reduce and "hashpartitioning(lane" not in reduce
 
 
+def test_salted_side_is_never_sent_through_the_driver(spark, sf_dir):
+    p, s = X.zipf_probe(spark, sf_dir, 1.0), X.part_store(spark, sf_dir)
+    plan = executed(joins.salted_join(p, s, "key", "skey", X.PART_CALL, F.xxhash64("row_id"), 8))
+    assert "SortMergeJoin" in plan and "Broadcast" not in plan
+
+
 def test_chain_routes_every_stage(spark, sf_dir):
     """Every stage has a window over (lane, key); the result is that of sending each stored side everywhere."""
     from adaptivejoin.functions.hashing import row_id
