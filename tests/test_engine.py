@@ -412,3 +412,12 @@ def test_text_operators_stay_apart():
         if "llm" not in f.relative_to(root).parts:
             assert "adaptivejoin.llm" not in f.read_text()
     assert "adaptivejoin" in sys.modules
+
+
+def test_max_by_takes_the_smallest_key_of_a_tie(spark, tmp_path):
+    from adaptivejoin.plans import relational
+
+    rows = [(3, 1, 5.0), (1, 1, 9.0), (2, 1, 9.0), (4, 2, None), (5, 3, 7.0), (None, 3, 8.0), (6, 4, -1.0), (7, 4, float("nan")), (8, 4, float("nan"))]
+    spark.createDataFrame(rows, "o_orderkey long, o_custkey long, o_totalprice double").coalesce(1).write.parquet(f"{tmp_path}/orders.parquet")
+    got = {r.o_custkey: r.top for r in relational.QUERIES["op_max_by"](spark, str(tmp_path)).collect()}
+    assert got == {1: 1, 2: None, 3: 5, 4: 7}
