@@ -421,3 +421,15 @@ def test_max_by_takes_the_smallest_key_of_a_tie(spark, tmp_path):
     spark.createDataFrame(rows, "o_orderkey long, o_custkey long, o_totalprice double").coalesce(1).write.parquet(f"{tmp_path}/orders.parquet")
     got = {r.o_custkey: r.top for r in relational.QUERIES["op_max_by"](spark, str(tmp_path)).collect()}
     assert got == {1: 1, 2: None, 3: 5, 4: 7}
+
+
+def test_keyed_store_source_reads_what_was_built(spark, tmp_path):
+    from adaptivejoin.functions.hashing import portable_hash
+    from adaptivejoin.sources import store as keyed
+
+    rows = [(k, k * k) for k in range(50)]
+    keyed.build_store(spark.createDataFrame(rows, "k long, v int"), "k", 3, f"{tmp_path}/s")
+    spark.dataSource.register(keyed.KeyedStoreSource)
+    got = spark.read.format("keyed_store").option("path", f"{tmp_path}/s").option("homes", 3).option("key", "k").option("value", "v").load()
+    assert sorted((r.key, r.value) for r in got.collect()) == rows
+    assert got.where(F.col("home") != F.pmod(portable_hash(F.col("key")), F.lit(3))).count() == 0
