@@ -433,3 +433,16 @@ def test_keyed_store_source_reads_what_was_built(spark, tmp_path):
     got = spark.read.format("keyed_store").option("path", f"{tmp_path}/s").option("homes", 3).option("key", "k").option("value", "v").load()
     assert sorted((r.key, r.value) for r in got.collect()) == rows
     assert got.where(F.col("home") != F.pmod(portable_hash(F.col("key")), F.lit(3))).count() == 0
+
+
+def test_single_fetches_do_not_read_the_disk_anew(spark, sf_dir, monkeypatch):
+    """One call for each access, of a store that keeps the row groups it has read."""
+    import pyarrow.parquet as pq
+    from adaptivejoin.sources import prefetch, store
+
+    seen, reads, read = [], [], pq.ParquetFile.read_row_group
+    monkeypatch.setattr(prefetch, "prefetch_map", lambda df, key, connect, *rest: seen.append(connect()) or df)
+    monkeypatch.setattr(pq.ParquetFile, "read_row_group", lambda self, *a, **k: reads.append(a) or read(self, *a, **k))
+    store.client_join(spark, sf_dir, prefetch.AccessMode("sync", 1, 1))
+    assert seen[0].get_many([5])[0] == seen[0].get_many([5])[0] is not None
+    assert len(reads) == 1 and seen[0].calls == 2
