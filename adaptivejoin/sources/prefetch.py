@@ -10,6 +10,7 @@ from dataclasses import dataclass
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import types as T
 
 
 @dataclass(frozen=True)
@@ -85,6 +86,9 @@ def prefetch_map(df: DataFrame, key: str, connect: Callable, apply: Callable, sc
     ``plan(rows)`` names the request of each row ahead of time, on a thread of its own: a key to fetch the stored value of, or ``Ship``
     to run ``call(key, params, value)`` at the store; by default the value of column ``key`` is fetched.
     """
+    from pyspark.sql.pandas.types import to_arrow_schema
+
+    fields = to_arrow_schema(T.StructType.fromDDL(schema))  # of a batch whose values are all null, nothing could be inferred
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         client = connect()
@@ -93,7 +97,7 @@ def prefetch_map(df: DataFrame, key: str, connect: Callable, apply: Callable, sc
         def out(rows):
             made = [x for r in rows if r is not None for x in (r if isinstance(r, list) else [r])]
             if made:
-                yield pa.RecordBatch.from_pylist(made)
+                yield pa.RecordBatch.from_pylist(made, schema=fields)
 
         def one(request):
             if isinstance(request, Ship):

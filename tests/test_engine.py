@@ -446,3 +446,16 @@ def test_single_fetches_do_not_read_the_disk_anew(spark, sf_dir, monkeypatch):
     store.client_join(spark, sf_dir, prefetch.AccessMode("sync", 1, 1))
     assert seen[0].get_many([5])[0] == seen[0].get_many([5])[0] is not None
     assert len(reads) == 1 and seen[0].calls == 2
+
+
+def test_models_are_fetched_without_a_shuffle_of_values(spark, sf_dir):
+    from adaptivejoin.plans import applications as A
+
+    rows = [(1, 0, "w", [1, 2], 0), (None, 3, "w", [2], 1), (2, 1, "v", [1], 0), (3, 0, "none", [1], 0)]
+    spots = spark.createDataFrame(rows, "doc_id long, pos int, token string, places array<int>, lane int")
+    models = [("w", [(9, [4, 1]), (7, [0, 5]), (8, None)]), ("v", [(1, [None, 2])])]
+    stored = spark.createDataFrame(models, "skey string, cands array<struct<entity: long, weights: array<long>>>")
+    got = A.annotate_batched_fetch(spots, stored)
+    assert sorted(map(str, A.chosen(got, ("doc_id",)).collect())) == sorted(map(str, A.chosen(spots.join(stored, F.col("token") == F.col("skey")).withColumn("best", A.best_entity()), ("doc_id",)).collect()))
+    plan = executed(got)
+    assert "Join" not in plan and "hashpartitioning(lane" in plan and "cands" not in plan
