@@ -30,7 +30,7 @@ from adaptivejoin.llm.common import held, release_memory, table
 #: Fixed value: how the byte-level vocabulary cuts a text into pre-tokens.
 PRE_TOKENS = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 #: Pre-tokens of a generation; the last two are remembered.
-REMEMBERED = 40_000
+REMEMBERED = 60_000
 ROWS_A_BATCH = 256
 
 
@@ -44,7 +44,8 @@ def byte_alphabet() -> dict[str, int]:
 class Codec:
     """Encoder and decoder of one vocabulary file."""
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, remembered: int | None = None):
+        self.remembered = remembered or REMEMBERED
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
         letters = byte_alphabet()
@@ -104,7 +105,7 @@ class Codec:
                 if got is None:
                     got = self.before.get(piece) or merge(piece.encode())
                     if len(piece) <= 64:
-                        if len(known) >= REMEMBERED:
+                        if len(known) >= self.remembered:
                             self.before, self.known = known, {}
                             known = self.known
                         known[piece] = got
@@ -115,9 +116,9 @@ class Codec:
         return b"".join(map(self.text_of.__getitem__, ids)).decode("utf-8", errors="replace")
 
 
-def codec(path: str) -> Codec:
+def codec(path: str, remembered: int | None = None) -> Codec:
     """One codec a worker; it lives until another step needs its place."""
-    return held(f"codec {path}", lambda: Codec(path))
+    return held(f"codec {path} {remembered}", lambda: Codec(path, remembered))
 
 
 def default_vocabulary() -> str:
@@ -126,7 +127,7 @@ def default_vocabulary() -> str:
     return public_tokenizers.path("byte_bpe_50k.json")
 
 
-def _mapped(df: DataFrame, text_col: str, vocabulary: str, fields: list[T.StructField], make) -> DataFrame:
+def _mapped(df: DataFrame, text_col: str, vocabulary: str, fields: list[T.StructField], make, remembered: int | None = None) -> DataFrame:
     """``df`` with more columns that ``make(ids, codec)`` gives for each text; an input column of the same name is replaced."""
     new = [f.name for f in fields]
     keep = [c for c in df.columns if c not in new]
@@ -137,7 +138,7 @@ def _mapped(df: DataFrame, text_col: str, vocabulary: str, fields: list[T.Struct
         from pyspark.sql.pandas.types import to_arrow_schema
 
         release_memory()
-        own = codec(vocabulary)
+        own = codec(vocabulary, remembered)
         arrow = to_arrow_schema(schema)
         for whole in batches:
             for at in range(0, whole.num_rows, ROWS_A_BATCH):
@@ -168,8 +169,9 @@ def decode(df: DataFrame, vocabulary: str | None = None, ids_col: str = "ids") -
     return df.withColumn("decoded", text(F.col(f"`{ids_col}`")))
 
 
-def digests(df: DataFrame, vocabulary: str | None = None, text_col: str = "text", with_ids: bool = False) -> DataFrame:
-    """``df`` with n_tokens and digests of the ids (little-endian unsigned 32-bit) and of the decoded text; with the ids, if asked."""
+def digests(df: DataFrame, vocabulary: str | None = None, text_col: str = "text", with_ids: bool = False, remembered: int | None = None) -> DataFrame:
+    """``df`` with n_tokens and digests of the ids (little-endian unsigned 32-bit) and of the decoded text; with the ids, if asked.
+    ``remembered``: pre-tokens of a generation, where workers have less room."""
     fields = [T.StructField("n_tokens", T.LongType()), T.StructField("ids_sha256", T.StringType()), T.StructField("decoded_sha256", T.StringType())]
     if with_ids:
         fields.append(T.StructField("ids", T.ArrayType(T.IntegerType())))
@@ -183,7 +185,7 @@ def digests(df: DataFrame, vocabulary: str | None = None, text_col: str = "text"
         found = n, hashlib.sha256(out.tobytes()).hexdigest(), hashlib.sha256(decoded.encode()).hexdigest()
         return (*found, np.frombuffer(ids, np.uint32).astype(np.int32)) if with_ids else found
 
-    return _mapped(df, text_col, vocabulary or default_vocabulary(), fields, make)
+    return _mapped(df, text_col, vocabulary or default_vocabulary(), fields, make, remembered)
 
 
 def query(spark, sf_dir: str) -> DataFrame:

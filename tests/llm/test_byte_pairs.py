@@ -56,3 +56,10 @@ def test_frames_with_nulls_repeats_and_other_columns(spark):
     back = byte_pairs.decode(out)
     assert {(r.text or "", r.decoded) for r in back.collect()} == {("", ""), ("hello world", "hello world")}
     assert byte_pairs.encode(df.limit(0)).collect() == []
+
+
+def test_a_worker_remembers_as_many_pre_tokens_as_it_is_given():
+    own = byte_pairs.Codec(byte_pairs.default_vocabulary(), 3)
+    text = " ".join(f"w{c}" for c in "abcdefghij")
+    first = own.encode(text)
+    assert len(own.known) <= 3 and len(own.before) <= 3 and own.encode(text) == first
