@@ -13,10 +13,10 @@ result; further columns pass through ``encode``.
 from __future__ import annotations
 
 import hashlib
-import heapq
 import json
 from array import array
 from collections.abc import Iterator
+from heapq import heapify, heappop, heappush
 
 import numpy as np
 import pyarrow as pa
@@ -30,7 +30,9 @@ from adaptivejoin.llm.common import held, release_memory, table
 #: Fixed value: how the byte-level vocabulary cuts a text into pre-tokens.
 PRE_TOKENS = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 #: Pre-tokens of a generation; the last two are remembered.
-REMEMBERED = 60_000
+REMEMBERED = 120_000
+#: Longer ones are not remembered.
+LONGEST = 64
 ROWS_A_BATCH = 256
 
 
@@ -41,6 +43,25 @@ def byte_alphabet() -> dict[str, int]:
     return {chr(b): b for b in own} | {chr(256 + i): b for i, b in enumerate(rest)}
 
 
+class Memory(dict):
+    """What ``make`` gives for a string, remembered for the last two generations of strings."""
+
+    def __init__(self, make, size: int):
+        self.make, self.size = make, size
+        self.before: dict[str, bytes] = {}
+
+    def __missing__(self, key: str) -> bytes:
+        got = self.before.get(key)
+        if got is None:
+            got = self.make(key)
+        if len(key) <= LONGEST:
+            if len(self) >= self.size:
+                self.before = self.copy()
+                self.clear()
+            self[key] = got
+        return got
+
+
 class Codec:
     """Encoder and decoder of one vocabulary file."""
 
@@ -54,15 +75,20 @@ class Codec:
         vocab = {raw(k): v for k, v in spec["model"]["vocab"].items() if k not in added}
         self.text_of = {v: k for k, v in vocab.items()} | {v: k.encode() for k, v in added.items()}
         self.byte_id = [vocab[bytes([b])] for b in range(256)]
-        self.merges: dict[tuple[int, int], tuple[int, int]] = {}
+        self.ranks: list[dict[int, int]] = [{} for _ in range(max(vocab.values()) + 1)]  # by left id, then right id
+        self.joined: list[int] = []  # the id of each rank
         for rank, m in enumerate(spec["model"]["merges"]):
             a, b = map(raw, m.split(" ") if isinstance(m, str) else m)
-            self.merges.setdefault((vocab[a], vocab[b]), (rank, vocab[a + b]))
+            self.ranks[vocab[a]].setdefault(vocab[b], rank)
+            self.joined.append(vocab[a + b])
         self.added = added
         self.cut = regex.compile("(" + "|".join(regex.escape(a) for a in sorted(added, key=len, reverse=True)) + ")") if added else None
         self.find = regex.compile(PRE_TOKENS).findall
-        self.known: dict[str, tuple[int, ...]] = {}
-        self.before: dict[str, tuple[int, ...]] = {}
+        self.known = Memory(lambda piece: array("I", self.merge(piece.encode())).tobytes(), self.remembered)
+
+    @property
+    def before(self) -> dict[str, bytes]:
+        return self.known.before
 
     def merge(self, piece: bytes) -> tuple[int, ...]:
         """Ids of one pre-token."""
@@ -70,46 +96,45 @@ class Codec:
         n = len(symbols)
         if n == 1:
             return tuple(symbols)
-        merges = self.merges
+        by_left, joined, bits = self.ranks, self.joined, n.bit_length()
+        place = (1 << bits) - 1
+        # Rank of each symbol with the next one; -1: none.
+        ranks = [by_left[a].get(b, -1) for a, b in zip(symbols, symbols[1:], strict=False)]
+        ranks.append(-1)
         after, before = list(range(1, n + 1)), list(range(-1, n - 1))
-        heap = []
-        for i in range(n - 1):
-            if m := merges.get((symbols[i], symbols[i + 1])):
-                heap.append((m[0], i, symbols[i], symbols[i + 1], m[1]))
-        heapq.heapify(heap)
+        heap = [rank << bits | i for i, rank in enumerate(ranks) if rank >= 0]
+        heapify(heap)
         while heap:
-            _, i, left, right, joined = heapq.heappop(heap)
-            j = after[i]
-            if symbols[i] != left or j >= n or symbols[j] != right:
+            least = heappop(heap)
+            i, rank = least & place, least >> bits
+            if ranks[i] != rank:
                 continue  # stale
-            symbols[i], symbols[j] = joined, -1
+            symbols[i] = new = joined[rank]
+            j = after[i]
+            symbols[j] = ranks[j] = -1
             after[i] = k = after[j]
             if k < n:
                 before[k] = i
-                if m := merges.get((joined, symbols[k])):
-                    heapq.heappush(heap, (m[0], i, joined, symbols[k], m[1]))
+                ranks[i] = rank = by_left[new].get(symbols[k], -1)
+                if rank >= 0:
+                    heappush(heap, rank << bits | i)
+            else:
+                ranks[i] = -1
             h = before[i]
-            if h >= 0 and (m := merges.get((symbols[h], joined))):
-                heapq.heappush(heap, (m[0], h, symbols[h], joined, m[1]))
-        return tuple(s for s in symbols if s >= 0)
+            if h >= 0:
+                ranks[h] = rank = by_left[symbols[h]].get(new, -1)
+                if rank >= 0:
+                    heappush(heap, rank << bits | h)
+        return tuple([s for s in symbols if s >= 0])
 
     def encode(self, text: str) -> array:
         ids = array("I")
-        known, merge = self.known, self.merge
+        known = self.known.__getitem__
         for part in self.cut.split(text) if self.cut else (text,):
             if part in self.added:
                 ids.append(self.added[part])
-                continue
-            for piece in self.find(part):
-                got = known.get(piece)
-                if got is None:
-                    got = self.before.get(piece) or merge(piece.encode())
-                    if len(piece) <= 64:
-                        if len(known) >= self.remembered:
-                            self.before, self.known = known, {}
-                            known = self.known
-                        known[piece] = got
-                ids.extend(got)
+            else:
+                ids.frombytes(b"".join(map(known, self.find(part))))
         return ids
 
     def decode(self, ids) -> str:

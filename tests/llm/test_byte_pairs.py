@@ -63,3 +63,13 @@ def test_a_worker_remembers_as_many_pre_tokens_as_it_is_given():
     text = " ".join(f"w{c}" for c in "abcdefghij")
     first = own.encode(text)
     assert len(own.known) <= 3 and len(own.before) <= 3 and own.encode(text) == first
+
+
+def test_remembered_ids_are_packed_and_outlive_a_generation():
+    own = byte_pairs.Codec(PATH, 50)
+    pieces = [f" w{i}x" for i in range(120)]
+    want = {p: tuple(own.merge(p.encode())) for p in pieces}
+    assert list(own.encode("".join(pieces))) == [i for p in pieces for i in want[p]]
+    assert own.before and all(type(v) is bytes for v in [*own.known.values(), *own.before.values()])
+    assert all(tuple(np.frombuffer(v, np.uint32)) == tuple(own.merge(k.encode())) for k, v in [*own.known.items(), *own.before.items()])
+    assert not any(len(k) > byte_pairs.LONGEST for k in own.known) and list(own.encode("a" * 500)) == list(own.merge(b"a" * 500))
