@@ -5,7 +5,7 @@ from __future__ import annotations
 import contextlib
 import tempfile
 import uuid
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 from typing import Any
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -64,6 +64,18 @@ def held(name: str, make: Callable[[], Any]) -> Any:
     return _held[name]
 
 
+@contextlib.contextmanager
+def small_batches(spark: SparkSession, rows: int) -> Iterator[None]:
+    """Fewer texts at a time on their way to the workers while the steps in here run; afterwards the session is as before."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(name)
+    spark.conf.set(name, str(min(rows, int(before)) if int(before) > 0 else rows))
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before)
+
+
 def release_shuffles(spark: SparkSession) -> None:
     """Let go of the shuffle files of steps whose results are saved: Spark deletes them when the driver collects their handles."""
     import gc

@@ -28,7 +28,6 @@ pieces of about ``tokens.PIECE_BYTES`` or one text; an empty table gives an empt
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
-from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
@@ -36,7 +35,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from adaptivejoin.llm import tokens
-from adaptivejoin.llm.common import Workspace, release_memory, release_shuffles, row_keyed, table
+from adaptivejoin.llm.common import Workspace, release_memory, release_shuffles, row_keyed, small_batches, table
 
 #: The similarity as a fraction, so that thresholds are integers.
 NUM, DEN = 4, 5
@@ -629,21 +628,9 @@ def _decided(docs: DataFrame, work: Workspace, id_col: str, text_col: str, first
     return begins, again, firsts, matched
 
 
-@contextmanager
-def _small_batches(spark, rows: int = ROWS_A_BATCH):
-    """Fewer texts at a time on their way to the workers while the steps in here run; afterwards the session is as before."""
-    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    before = spark.conf.get(name)
-    spark.conf.set(name, str(min(rows, int(before)) if int(before) > 0 else rows))
-    try:
-        yield
-    finally:
-        spark.conf.set(name, before)
-
-
 def _removals(rows: DataFrame, work: Workspace, id_col: str, text_col: str, first: int, block: int) -> DataFrame:
     """(gone_from, gone): of each row that loses lines, by its key, their numbers from 0."""
-    with _small_batches(rows.sparkSession):
+    with small_batches(rows.sparkSession, ROWS_A_BATCH):
         begins, again, firsts, matched = _decided(rows, work, id_col, text_col, first, block)
     # What may go besides later places: first places under other salts, and sets that match an earlier one.
     sets = firsts.join(matched.select(F.col("b").alias("set"), F.lit(True).alias("matched")), "set", "left").where("times > 1 or matched").select("set", "first_row", "matched")
