@@ -53,10 +53,13 @@ REMEMBERED = 50_000
 #: Lines looked up again that are held at a time, and how many ways the lines that stream past them are dealt.
 HELD, WAYS = 4096, 16
 ROWS_A_BATCH = 2500
+#: Turns in which the rows are dealt, each with its share of the keys: the texts are cut in every turn, but only one share lies on disk.
+TURNS = 2
 #: Rows of the shuffle that are compared at a time.
 GATHERED = 1 << 15
-#: Lists up to this size are compared at all offsets at once, across lists.
+#: Lists up to this size are compared together, and so many pairs of rows at a time.
 SHORT = 48
+PAIRS = 1 << 18
 #: Sets of more words have wider sketches: a narrow one would be full of differences.
 NARROW = 60
 #: Sets of at most so many words have three sketches instead: in a large group of near copies a chance collision in one is common.
@@ -137,9 +140,10 @@ def ordered_sets(lines: tokens.Lines, rarity: np.ndarray) -> tuple[np.ndarray, n
     return lines.word[keep], lines.line[keep], cls[keep]
 
 
-def describe(word: np.ndarray, line: np.ndarray, n_lines: int) -> tuple[np.ndarray, ...]:
+def describe(word: np.ndarray, line: np.ndarray, n_lines: int, sketched: bool = True) -> tuple[np.ndarray, ...]:
     """Of each line: first word, size, set hash, and parity sketches: one of 64 bits, and in the other places one of 192 for a set of
-    over ``NARROW`` words, two more of 64 for a set of up to ``SMALL``. Where all similar sets have the wide one, the first is 0."""
+    over ``NARROW`` words, two more of 64 for a set of up to ``SMALL``. Where all similar sets have the wide one, the first is 0.
+    Not ``sketched``: the sketches stay 0."""
     size = np.bincount(line, minlength=n_lines)
     begin = np.cumsum(size) - size
     some = size > 0
@@ -149,6 +153,7 @@ def describe(word: np.ndarray, line: np.ndarray, n_lines: int) -> tuple[np.ndarr
         at = begin[some]
         spread = tokens.mix(word + np.uint64(0x5851F42D4C957F2D))
         out[0, some] = tokens.mix(np.add.reduceat(spread, at) + size[some].astype(np.uint64))
+    if some.any() and sketched:
         bit = np.uint64(1) << (spread & np.uint64(63))
         sketch[some, 0] = np.bitwise_xor.reduceat(bit, at)
         few = some & (size <= SMALL)
@@ -204,10 +209,11 @@ def _bits(x: np.ndarray) -> np.ndarray:
     return x if x.dtype == np.uint64 else x.astype(np.int64).view(np.uint64)
 
 
-def _nodes(shared, docs=None, sets=None, keys=None, hot: int = 255, parts: int = 1, blocks: int = 0):
+def _nodes(shared, docs=None, sets=None, keys=None, hot: int = 255, parts: int = 1, blocks: int = 0, turn: int = 0, turns: int = 1):
     """With ``sets`` or ``keys`` only the meeting words, of lines in the one table (in documents of ``docs``) or of words in the other.
     Words of class ``hot`` or more are salted over ``parts`` keys; their lists are put together later. With ``blocks`` rows are
-    those of ``_asked``: lines of ``sets`` are asked for, in so many blocks, and meet all lines of their words."""
+    those of ``_asked``: lines of ``sets`` are asked for, in so many blocks, and meet all lines of their words. Of ``turns`` only the rows
+    whose key falls to this ``turn``; those of one key fall to the same."""
     meets_only = sets is not None or keys is not None
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -229,7 +235,9 @@ def _nodes(shared, docs=None, sets=None, keys=None, hot: int = 255, parts: int =
                 if not meets_only:
                     own = _bits(row_keys[lo + lines.row[of]])
                     key = tokens.mix(h[of] + tokens.mix(own) % np.uint64(SPREAD)) | np.uint64(1 << 63)
-                    yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), _binary(np.stack([h[of], doc[of], number[of], own], 1))], names=["key", "packed"])
+                    now = np.flatnonzero(key % np.uint64(turns) == turn)
+                    part = of[now]
+                    yield pa.RecordBatch.from_arrays([pa.array(key[now].view(np.int64)), _binary(np.stack([h[part], doc[part], number[part], own[now]], 1))], names=["key", "packed"])
                 # Of equal lines only those before the earliest met so far go on: the rest are the same node.
                 meets = np.zeros(len(size), bool)
                 of = of[size[of] >= LEAST_NEAR]
@@ -240,20 +248,22 @@ def _nodes(shared, docs=None, sets=None, keys=None, hot: int = 255, parts: int =
                             first_at.clear()
                         first_at[x] = (d, k)
                         meets[i] = True
-                pos = np.arange(len(word)) - begin[line]
                 prefix = size - (-(-NUM * size // DEN)) + 1
                 if sets is not None and not blocks:
                     meets &= _in_table(sets.value, h)
-                use = np.flatnonzero(meets[line] & (pos < prefix[line]) & (cls > 1))
+                meeting = np.flatnonzero(meets)
+                li = np.repeat(meeting, prefix[meeting])
+                use = np.arange(len(li)) + np.repeat(begin[meeting] + prefix[meeting] - np.cumsum(prefix[meeting]), prefix[meeting])
+                rare = cls[use] > 1
+                li, use = li[rare], use[rare]
                 # 32 bits of the word: words that share them only cost filters.
                 key = word[use] >> np.uint64(32)
-                if keys is not None:
-                    hit = _in_table(keys.value, key)
-                    use, key = use[hit], key[hit]
-                li = line[use]
+                if keys is not None or turns > 1:
+                    hit = key % np.uint64(turns) == turn if keys is None else _in_table(keys.value, key)
+                    li, use, key = li[hit], use[hit], key[hit]
                 common = np.flatnonzero(cls[use] >= hot)
                 packed = np.empty((len(use), OF_LINE), np.uint64)
-                packed[:, SET], packed[:, DOC], packed[:, AT], packed[:, SIZE], packed[:, SKETCH:] = h[li], doc[li], number[li] | _bits(pos[use]), _bits(size[li]), sketch[li]
+                packed[:, SET], packed[:, DOC], packed[:, AT], packed[:, SIZE], packed[:, SKETCH:] = h[li], doc[li], number[li] | _bits(use - begin[li]), _bits(size[li]), sketch[li]
                 if blocks:
                     yield from _asked(key, packed, word, begin[li], _in_table(sets.value, h[li]), blocks)
                     continue
@@ -322,16 +332,26 @@ def _matches(asked: np.ndarray, lines: list[np.ndarray]) -> bool:
 def near(rows: np.ndarray, i: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Of pairs (i, j) of rows that meet at a word those that pass the filters, with their estimated distance and its limit: lengths,
     words left after it, sketches. The cheap filters go first; each leaves fewer pairs to the next."""
-    size, pos = rows[:, SIZE].astype(np.int32), (rows[:, AT] & np.uint64(0xFFFFFFFF)).astype(np.int32)
-    a, b = size[i], size[j]
-    ok = np.minimum(a, b) * DEN >= np.maximum(a, b) * NUM
-    i, j, total = i[ok], j[ok], (a + b)[ok]
-    need = needed(total)
-    ok = np.minimum(size[i] - pos[i], size[j] - pos[j]) >= need
-    i, j, most = i[ok], j[ok], (total - 2 * need)[ok]
-    apart = np.bitwise_count(rows[i, SKETCH] ^ rows[j, SKETCH]).astype(np.int32)
+    size, reach = _reach(rows)
+    ok = (reach[i] >= size[j]) & (reach[j] >= size[i])
+    return _alike(rows, size, np.ascontiguousarray(rows[:, SKETCH]), i[ok], j[ok])
+
+
+def _reach(rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The size of each row's set, and that of the largest set for which the words left after the meeting word can be enough overlap.
+    A set that starts at the word reaches as far as lengths allow at all."""
+    size = (rows[:, SIZE] & np.uint64(0xFFFFFFFF)).astype(np.int64)
+    left = size - (rows[:, AT] & np.uint64(0xFFFFFFFF)).astype(np.int64)
+    return size, (NUM + DEN) * left // NUM - size
+
+
+def _alike(rows: np.ndarray, size: np.ndarray, sketch: np.ndarray, i: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """The sketches' part of ``near``; ``sketch``: the first of each row."""
+    total = size[i] + size[j]
+    most = total - 2 * needed(total)
+    apart = np.bitwise_count(sketch[i] ^ sketch[j])
     ok = apart <= most
-    i, j, most, apart = i[ok], j[ok], most[ok], apart[ok]
+    i, j, most, apart = i[ok], j[ok], most[ok].astype(np.int32), apart[ok].astype(np.int32)
     further = np.bitwise_count(rows[i, SKETCH + 1 :] ^ rows[j, SKETCH + 1 :]).astype(np.int32)
     small, wide = (size[i] <= SMALL) & (size[j] <= SMALL), (size[i] > NARROW) & (size[j] > NARROW)
     apart = np.maximum(apart, np.where(small, further.max(axis=1, initial=0), np.where(wide, further.sum(axis=1), 0)))
@@ -346,24 +366,22 @@ def _earlier(rows: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
     return (doc[i] < doc[j]) | (same & ((line[i] < line[j]) | ((line[i] == line[j]) & (own[i] < own[j]))))
 
 
-def short_pairs(size: np.ndarray, place: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """All pairs of rows in many short lists at once, by how far apart they are: ``place`` of each row within its list of ``size``."""
-    i = np.arange(len(size))
-    for d in range(1, int(size.max(initial=0))):
-        i = i[place[i] + d < size[i]]
-        if not len(i):
-            return
-        yield i, i + d
-
-
-def long_pairs(n: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """All pairs within one list, a stretch of rows with those before them at a time."""
-    step = max(1, (1 << 19) // max(n, 1))
-    for lo in range(0, n, step):
-        hi = min(lo + step, n)
-        i, j = np.indices((hi, hi - lo), np.int32).reshape(2, -1)
-        ok = i < j + lo
-        yield i[ok], j[ok] + lo
+def fitting_pairs(size: np.ndarray, reach: np.ndarray, group: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """All pairs of rows in the lists of a ``group`` that are within each other's reach, a stretch of pairs at a time. Rows are in order
+    of group and size, so those within a row's reach follow it without a gap."""
+    n, key = len(size), group << 32
+    end = np.searchsorted(key + size, key + reach, "right")
+    count = np.maximum(end - np.arange(1, n + 1), 0)
+    upto = np.cumsum(count)
+    lo = 0
+    while lo < n:
+        hi = max(int(np.searchsorted(upto, upto[lo] - count[lo] + PAIRS, "right")), lo + 1)
+        part = count[lo:hi]
+        i = np.repeat(np.arange(lo, hi), part)
+        j = np.arange(len(i)) + np.repeat(np.arange(lo + 1, hi + 1) + part - np.cumsum(part), part)
+        ok = reach[j] >= size[i]
+        yield i[ok], j[ok]
+        lo = hi
 
 
 #: kind 0: a pair of sets (a, b) with their documents, n twice its rank for b and odd if b has more; 1: the first place (doc, at) of a set
@@ -379,8 +397,18 @@ def _found(kind: int, a, b=None, doc=None, at=None, n=None, key=None, packed=Non
 
 
 def _firsts(keys: np.ndarray, rows: np.ndarray, *more: int) -> tuple[np.ndarray, np.ndarray]:
-    """(order, head): an order by key, set and place, and which of it are the first of their key and set."""
-    order = np.lexsort((*(rows[:, c] for c in more), rows[:, AT], rows[:, DOC].view(np.int64), rows[:, SET], keys))
+    """(order, head): an order by key and set, of equal ones by place, and which of it are the first of their key and set. The keys are
+    in order."""
+    full = lambda at: at[np.lexsort((*(rows[at, c] for c in more), rows[at, AT], rows[at, DOC].view(np.int64), rows[at, SET], keys[at]))]
+    group = np.cumsum(np.concatenate(([False], keys[1:] != keys[:-1]))[: len(keys)])
+    if len(keys) and group[-1] < 1 << 20:
+        packed = (_bits(group) << np.uint64(44)) | (rows[:, SET] >> np.uint64(20))
+        order = np.argsort(packed)
+        same = packed[order[1:]] == packed[order[:-1]]
+        tied = np.flatnonzero(np.concatenate((same, [False])) | np.concatenate(([False], same)))
+        order[tied] = full(order[tied])
+    else:
+        order = full(np.arange(len(keys)))
     k, x = keys[order], rows[order, SET]
     return order, np.concatenate(([True], (k[1:] != k[:-1]) | (x[1:] != x[:-1])))[: len(order)]
 
@@ -394,11 +422,14 @@ def _places(keys: np.ndarray, rows: np.ndarray) -> Iterator[pa.RecordBatch]:
             yield _found(kind, part[:, SET], part[:, 3], part[:, DOC], part[:, AT])
 
 
-def _limited(rows: np.ndarray, pairs: Iterator[tuple[np.ndarray, np.ndarray]], first: int) -> pa.RecordBatch | None:
-    """The pairs that pass, with the earlier set first: of each later row the ``first`` nearest."""
+def _limited(rows: np.ndarray, group: np.ndarray, first: int) -> pa.RecordBatch | None:
+    """The pairs of lists that pass, with the earlier set first: of each later row the ``first`` nearest. Rows are in order of group
+    and size."""
     got = []
-    for i, j in pairs:
-        i, j, apart, most = near(rows, i, j)
+    size, reach = _reach(rows)
+    sketch = np.ascontiguousarray(rows[:, SKETCH])
+    for i, j in fitting_pairs(size, reach, group):
+        i, j, apart, most = _alike(rows, size, sketch, i, j)
         if len(i):
             ok = _earlier(rows, i, j)
             got.append((np.where(ok, i, j), np.where(ok, j, i), apart, most))
@@ -425,19 +456,23 @@ def _lists(keys: np.ndarray, rows: np.ndarray, first: int, block: int) -> Iterat
     again[:-1] |= again[1:]
     keys, rows = keys[again], rows[again]
     order, head = _firsts(keys, rows)
-    keys, rows = keys[order[head]], rows[order[head]]
-    begin = np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1])))[: len(keys)]
-    count = np.diff(np.append(begin, len(keys)))
-    size = np.repeat(count, count)
-    place = np.arange(len(size)) - np.repeat(begin, count)
-    few = (size > 1) & (size <= SHORT)
-    if (got := _limited(rows[few], short_pairs(size[few], place[few]), first)) is not None:
+    once = order[head]
+    keys = keys[once]
+    group = np.cumsum(np.concatenate(([False], keys[1:] != keys[:-1]))[: len(keys)])
+    count = np.bincount(group)
+    order = np.flatnonzero(count[group] > 1)
+    size = (rows[once[order], SIZE] & np.uint64(0xFFFFFFFF)).astype(np.int64)
+    order = order[np.argsort(group[order] << 32 | size)]
+    keys, rows, group = keys[order], rows[once[order]], group[order]
+    few = count[group] <= SHORT
+    if (got := _limited(rows[few], group[few], first)) is not None:
         yield got
-    for g in np.flatnonzero(count > SHORT).tolist():
-        part = rows[begin[g] : begin[g] + count[g]]
-        if count[g] > block:
-            yield _passed(part, keys[begin[g]])
-        elif (got := _limited(part, long_pairs(len(part)), first)) is not None:
+    begin = np.flatnonzero(~few & np.concatenate(([True], group[1:] != group[:-1]))[: len(group)])
+    for lo in begin.tolist():
+        hi = lo + int(count[group[lo]])
+        if hi - lo > block:
+            yield _passed(rows[lo:hi], keys[lo])
+        elif (got := _limited(rows[lo:hi], group[lo:hi], first)) is not None:
             yield got
 
 
@@ -567,7 +602,7 @@ def _verified(pairs: DataFrame, docs: DataFrame, work: Workspace, rarity) -> Dat
             texts = batch.column(1).filter(pa.array(hit((batch.column(0).to_numpy() ^ -1).view(np.uint64))))
             for _, lines in tokens.pieces(texts):
                 word, line, _ = ordered_sets(lines, own)
-                begin, size, h, _ = describe(word, line, len(lines.row))
+                begin, size, h, _ = describe(word, line, len(lines.row), sketched=False)
                 of = np.flatnonzero((size >= LEAST_NEAR) & hit(h))
                 _, once = np.unique(h[of], return_index=True)
                 of = of[once]
@@ -598,8 +633,13 @@ def _decided(docs: DataFrame, work: Workspace, id_col: str, text_col: str, first
     total = (np.bincount(rarity.value, minlength=64) * 2.0 ** (np.arange(64) - 0.5))[1:].sum()
     hot = max(int(np.log2(2 * block)) + 1, int(np.log2(max(total / (8 * parts), 1))) + 2)
     salted = {"hot": hot, "parts": parts}
-    found = work.save(_dealt(texts.mapInArrow(_nodes(rarity, **salted), ROW)).mapInArrow(_meet(first, block), FOUND), "found")
-    release_shuffles(spark)
+    found = None
+    for turn in range(TURNS):
+        rows = _dealt(texts.mapInArrow(_nodes(rarity, turn=turn, turns=TURNS, **salted), ROW))
+        more = work.save(rows.mapInArrow(_meet(first, block), FOUND), "found")
+        found = more if found is None else found.unionAll(more)
+        del rows
+        release_shuffles(spark)
     place = F.shiftright("at", 32).cast("int").alias("line")
     begins = found.where("kind = 1").select(F.col("a").alias("set"), "doc", place, F.col("b").alias("row_key"))
     again = found.where("kind = 2").select(F.col("b").alias("row_key"), place)

@@ -9,10 +9,6 @@ import numpy as np
 import pyarrow as pa
 
 PIECE_BYTES = 1 << 19
-SPACE = np.zeros(256, bool)
-SPACE[[9, 10, 11, 12, 13, 32]] = True
-FOLD = np.arange(256, dtype=np.uint8)
-FOLD[65:91] += 32
 _BLOCK_MASK = np.array([(1 << 8 * k) - 1 for k in range(9)], np.uint64)
 _LENGTH = np.uint64(0x9E3779B97F4A7C15)
 #: Words of more bytes are hashed one by one.
@@ -31,8 +27,8 @@ def word_hashes(data: np.ndarray, begin: np.ndarray, length: np.ndarray) -> np.n
     64 bits, so neither the order of bytes nor their place in a word can be exchanged."""
     from xxhash import xxh64_intdigest
 
-    rows = np.lib.stride_tricks.as_strided(data, (max(len(data) - 7, 0), 8), (1, 1))
-    block = lambda at, size: rows[at].view("<u8").ravel() & _BLOCK_MASK[np.minimum(size, 8)]
+    eight = np.ndarray((max(len(data) - 7, 0),), "<u8", data, strides=(1,))  # those that begin at each byte
+    block = lambda at, size: eight[at] & _BLOCK_MASK.take(size, mode="clip")
     out = mix(block(begin, length) ^ (length.astype(np.uint64) * _LENGTH))
     at, left = np.flatnonzero((length > 8) & (length <= LONG_WORD)), 8
     while len(at):
@@ -76,18 +72,17 @@ def pieces(texts: pa.Array, size: int = PIECE_BYTES) -> Iterator[tuple[int, Line
 
 def split(data: np.ndarray, at: np.ndarray) -> Lines:
     n, rows = len(data), len(at) - 1
-    solid = ~SPACE[data]
-    first, last = solid.copy(), solid.copy()
-    if n:
-        first[1:] &= ~solid[:-1]
-        last[:-1] &= ~solid[1:]
-        inner = at[1:-1][(at[1:-1] > 0) & (at[1:-1] < n)]
-        first[inner] = solid[inner]
-        last[inner - 1] = solid[inner - 1]
-    begin = np.flatnonzero(first)
-    length = np.flatnonzero(last) + 1 - begin
+    solid = (data - np.uint8(9) > 4) & (data != 32)
+    edges = np.flatnonzero(solid[1:] != solid[:-1]) + 1
+    inner = at[1:-1][(at[1:-1] > 0) & (at[1:-1] < n)]
+    cut = np.unique(inner[solid[inner] & solid[inner - 1]])  # one word ends and the next begins where rows meet
+    ends = [x for x, word in ((0, solid[:1]), (n, solid[-1:])) if word.any()]
+    if len(cut) or ends:
+        edges = np.sort(np.concatenate((edges, cut, cut, np.array(ends, np.int64))), kind="stable")
+    begin = edges[0::2]
+    length = edges[1::2] - begin
     folded = np.zeros(n + 8, np.uint8)
-    np.take(FOLD, data, out=folded[:n])
+    np.bitwise_or(data, (data - np.uint8(65) < 26).view(np.uint8) << np.uint8(5), out=folded[:n])
     word = word_hashes(folded, begin, length) if len(begin) else np.zeros(0, np.uint64)
     breaks = np.flatnonzero(data == 10)
     of_break = np.searchsorted(at, breaks, "right") - 1

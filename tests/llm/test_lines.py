@@ -173,3 +173,38 @@ def test_short_lines_take_part(spark):
     want = {1: f"x\n{few}\np q r\n \ne f g h", 2: "q p r s\n", 3: "x y\n\ne f g"}
     df = spark.createDataFrame(rows, "doc_id long, text string")
     assert {r.row.doc_id: r.text for r in lines.deduplicate(df).collect()} == want == brute(rows, 1)
+
+
+def test_only_pairs_within_reach_are_compared():
+    """Pairs that lengths or places rule out are never made; all others are, once."""
+    rng = np.random.default_rng(3)
+    n = 600
+    size = rng.integers(4, 60, n)
+    group = rng.integers(0, 9, n)
+    order = np.lexsort((size, group))
+    size, group = size[order], group[order]
+    pos = rng.integers(0, size // 5 + 1)
+    rows = np.zeros((n, lines.OF_LINE), np.uint64)
+    rows[:, lines.SIZE], rows[:, lines.AT] = size.astype(np.uint64) | np.uint64(7 << 32), pos.astype(np.uint64) | np.uint64(5 << 32)
+    most, reach = lines._reach(rows)
+    assert (most == size).all()
+    enough = lambda i, j: 9 * min(size[i] - pos[i], size[j] - pos[j]) >= 4 * (size[i] + size[j]) and 5 * min(size[i], size[j]) >= 4 * max(size[i], size[j])
+    want = [(i, j) for i in range(n) for j in range(i + 1, n) if group[i] == group[j] and enough(i, j)]
+    got = [p for i, j in lines.fitting_pairs(size, reach, group) for p in zip(i.tolist(), j.tolist(), strict=True)]
+    assert sorted(got) == want and 2 * len(want) < sum(int(c) * (int(c) - 1) // 2 for c in np.bincount(group))
+
+
+def test_turns_share_the_keys(spark, sf_dir):
+    """Rows of all turns together are those of one, and no key falls to two turns."""
+    texts = pa.array([r.text for r in spark.read.parquet(f"{sf_dir}/documents.parquet").collect()], pa.string())
+    ids = pa.array(range(len(texts)), pa.int64())
+    table = type("Table", (), {"value": np.full(1 << 10, 2, np.uint8)})
+
+    def rows(**turn):
+        run = lines._nodes(table, hot=9, parts=4, **turn)(iter([pa.RecordBatch.from_arrays([ids, texts, ids], names=["doc", "text", "row_key"])]))
+        return sorted((k, v) for b in run for k, v in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True))
+
+    one, parts = rows(), [rows(turn=t, turns=3) for t in range(3)]
+    assert sorted(sum(parts, [])) == one and all(parts)
+    keys = [{k for k, _ in p} for p in parts]
+    assert sum(map(len, keys)) == len(set().union(*keys))
