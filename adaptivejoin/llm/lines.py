@@ -14,9 +14,10 @@ Lines with equal sets are one node. At each word a later line keeps its ``FIRST`
 up to ``RESERVE`` where that estimate is no clear sign; they are verified with all their words. A line that none of them settles and
 that has more is looked up again: it is held, with its words, while all lines that share one of its first words stream past and are
 compared in full. So nothing is lost, and a group of near copies yields a few pairs a line. Lists of more than a block of lines are dealt out by pairs of
-blocks. The lines themselves travel in the same shuffle, under keys of their sets, salted by row, so that a line with a
-third of all places is spread; what remains of them is which places are first. Rows of the shuffle are a key and one packed
-value, and are sorted by the key alone. Removed lines go back by a key of the row.
+blocks. The lines themselves travel in the same shuffle, under keys of their sets; of equal lines that a worker holds all but the
+first are known to go and are dealt by row, so that a line with a third of all places is spread; what remains of them is which places
+are first. Rows of the shuffle are a key and one packed value. They are bundled by bucket, the leading bits of their keys, so that the
+JVM deals and sorts a few bundles; a worker opens and sorts a bucket at a time. Removed lines go back by a key of the row.
 
 Words are compared by 64-bit hashes of all their bytes (``tokens.word_hashes``).
 
@@ -48,15 +49,18 @@ BLOCK = 2048
 TABLE_BITS = 23
 CHUNK = 1 << 16
 SALTS = 64
-SPREAD = 16
 REMEMBERED = 50_000
 #: Lines looked up again that are held at a time, and how many ways the lines that stream past them are dealt.
 HELD, WAYS = 4096, 16
 ROWS_A_BATCH = 2500
 #: Turns in which the rows are dealt, each with its share of the keys: the texts are cut in every turn, but only one share lies on disk.
-TURNS = 2
-#: Rows of the shuffle that are compared at a time.
-GATHERED = 1 << 15
+TURNS = 1
+#: Rows that a worker holds to bundle them, and the most in a bundle.
+BUNDLED, BUNDLE = 1 << 18, 256
+#: Rows of a bucket of keys, about.
+A_BUCKET = 1 << 18
+#: Rows that are compared at a time, or held of a bucket before long lists are passed on.
+GATHERED = 1 << 17
 #: Lists up to this size are compared together, and so many pairs of rows at a time.
 SHORT = 48
 PAIRS = 1 << 18
@@ -209,12 +213,18 @@ def _bits(x: np.ndarray) -> np.ndarray:
     return x if x.dtype == np.uint64 else x.astype(np.int64).view(np.uint64)
 
 
-def _nodes(shared, docs=None, sets=None, keys=None, hot: int = 255, parts: int = 1, blocks: int = 0, turn: int = 0, turns: int = 1):
-    """With ``sets`` or ``keys`` only the meeting words, of lines in the one table (in documents of ``docs``) or of words in the other.
-    Words of class ``hot`` or more are salted over ``parts`` keys; their lists are put together later. With ``blocks`` rows are
-    those of ``_asked``: lines of ``sets`` are asked for, in so many blocks, and meet all lines of their words. Of ``turns`` only the rows
-    whose key falls to this ``turn``; those of one key fall to the same."""
-    meets_only = sets is not None or keys is not None
+def _holding(lines: tokens.Lines, cells: np.ndarray) -> tokens.Lines:
+    """The lines that hold a word whose key is in the table."""
+    hit = np.zeros(len(lines.row), bool)
+    hit[lines.line[_in_table(cells, lines.word >> np.uint64(32))]] = True
+    keep = hit[lines.line]
+    return tokens.Lines(lines.word[keep], (np.cumsum(hit) - 1)[lines.line[keep]], lines.row[hit], lines.number[hit])
+
+
+def _nodes(shared, sets=None, keys=None, hot: int = 255, parts: int = 1, blocks: int = 0, turn: int = 0, turns: int = 1):
+    """Words of class ``hot`` or more are salted over ``parts`` keys; their lists are put together later. With ``blocks`` rows are
+    those of ``_asked``: only words in ``keys``; lines of ``sets`` are asked for, in so many blocks, and meet all lines of their words. Of
+    ``turns`` only the rows whose key falls to this ``turn``; those of one key fall to the same."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Rows with a negative key are the lines that take part (the place is a line's number); the others are words that a line
@@ -223,18 +233,18 @@ def _nodes(shared, docs=None, sets=None, keys=None, hot: int = 255, parts: int =
         rarity = shared.value
         first_at: dict[int, tuple[int, int]] = {}
         for batch in batches:
-            if docs is not None:
-                batch = batch.filter(pa.array(_in_table(docs.value, batch.column(0).to_numpy().view(np.uint64))))
             ids, row_keys = batch.column(0).to_numpy(), batch.column(2).to_numpy()
             for lo, lines in tokens.pieces(batch.column(1)):
+                if blocks:
+                    lines = _holding(lines, keys.value)
                 word, line, cls = ordered_sets(lines, rarity)
                 begin, size, h, sketch = describe(word, line, len(lines.row))
                 of = np.flatnonzero(size >= LEAST_WORDS)
                 doc = _bits(ids[lo + lines.row])
                 number = _bits(lines.number) << np.uint64(32)
-                if not meets_only:
+                if not blocks:
                     own = _bits(row_keys[lo + lines.row[of]])
-                    key = tokens.mix(h[of] + tokens.mix(own) % np.uint64(SPREAD)) | np.uint64(1 << 63)
+                    key = h[of] | np.uint64(1 << 63)
                     now = np.flatnonzero(key % np.uint64(turns) == turn)
                     part = of[now]
                     yield pa.RecordBatch.from_arrays([pa.array(key[now].view(np.int64)), _binary(np.stack([h[part], doc[part], number[part], own[now]], 1))], names=["key", "packed"])
@@ -249,8 +259,6 @@ def _nodes(shared, docs=None, sets=None, keys=None, hot: int = 255, parts: int =
                         first_at[x] = (d, k)
                         meets[i] = True
                 prefix = size - (-(-NUM * size // DEN)) + 1
-                if sets is not None and not blocks:
-                    meets &= _in_table(sets.value, h)
                 meeting = np.flatnonzero(meets)
                 li = np.repeat(meeting, prefix[meeting])
                 use = np.arange(len(li)) + np.repeat(begin[meeting] + prefix[meeting] - np.cumsum(prefix[meeting]), prefix[meeting])
@@ -258,8 +266,8 @@ def _nodes(shared, docs=None, sets=None, keys=None, hot: int = 255, parts: int =
                 li, use = li[rare], use[rare]
                 # 32 bits of the word: words that share them only cost filters.
                 key = word[use] >> np.uint64(32)
-                if keys is not None or turns > 1:
-                    hit = key % np.uint64(turns) == turn if keys is None else _in_table(keys.value, key)
+                if blocks or turns > 1:
+                    hit = _in_table(keys.value, key) if blocks else key % np.uint64(turns) == turn
                     li, use, key = li[hit], use[hit], key[hit]
                 common = np.flatnonzero(cls[use] >= hot)
                 packed = np.empty((len(use), OF_LINE), np.uint64)
@@ -384,8 +392,7 @@ def fitting_pairs(size: np.ndarray, reach: np.ndarray, group: np.ndarray) -> Ite
         lo = hi
 
 
-#: kind 0: a pair of sets (a, b) with their documents, n twice its rank for b and odd if b has more; 1: the first place (doc, at) of a set
-#: a under its salt, in row b; 2: a later place; 3: a packed row of too long a list.
+#: kind 0: a pair of sets (a, b), n twice its rank for b and odd if b has more; 1: the first place (at) of a set a, in row b; 2: a later place; 3: a packed row of too long a list.
 FOUND = "kind int, a long, b long, doc long, at long, n int, key long, packed binary"
 FOUND_NAMES = [x.split()[0] for x in FOUND.split(", ")]
 
@@ -413,13 +420,34 @@ def _firsts(keys: np.ndarray, rows: np.ndarray, *more: int) -> tuple[np.ndarray,
     return order, np.concatenate(([True], (k[1:] != k[:-1]) | (x[1:] != x[:-1])))[: len(order)]
 
 
-def _places(keys: np.ndarray, rows: np.ndarray) -> Iterator[pa.RecordBatch]:
-    """Whole groups of rows of sets: the first of each (key, set), and the others."""
+#: Marks the place of a set that is known to be a later one.
+LATE = np.uint64(1)
+
+
+def _late_apart(keys: np.ndarray, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Of equal sets that a worker holds only the first keeps its key; the others are marked and dealt by their documents' rows, so that
+    a line with a third of all places is spread."""
+    order = np.argsort(keys)
+    keys, rows = keys[order], rows[order]
     order, head = _firsts(keys, rows, 3)
-    for kind, use in ((1, order[head]), (2, order[~head])):
-        if len(use):
-            part = rows[use]
-            yield _found(kind, part[:, SET], part[:, 3], part[:, DOC], part[:, AT])
+    late = order[~head]
+    rows[late, AT] |= LATE
+    keys[late] = (tokens.mix(rows[late, 3]) | np.uint64(1 << 63)).view(np.int64)
+    return keys, rows
+
+
+def _parted(keys: np.ndarray, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(which rows of sets have the first place of their set, all others); keys are in order."""
+    fresh = np.flatnonzero((rows[:, AT] & LATE) == 0)
+    order, head = _firsts(keys[fresh], rows[fresh], 3)
+    first = np.zeros(len(keys), bool)
+    first[fresh[order[head]]] = True
+    return np.flatnonzero(first), np.flatnonzero(~first)
+
+
+def _places(kind: int, rows: np.ndarray) -> Iterator[pa.RecordBatch]:
+    if len(rows):
+        yield _found(kind, rows[:, SET], rows[:, 3], at=rows[:, AT])
 
 
 def _limited(rows: np.ndarray, group: np.ndarray, first: int) -> pa.RecordBatch | None:
@@ -450,11 +478,7 @@ def _limited(rows: np.ndarray, group: np.ndarray, first: int) -> pa.RecordBatch
 
 
 def _lists(keys: np.ndarray, rows: np.ndarray, first: int, block: int) -> Iterator[pa.RecordBatch]:
-    """Whole lists of words, in adjacent rows; a set stays once in each, at its first place."""
-    again = np.zeros(len(keys), bool)
-    again[1:] = keys[1:] == keys[:-1]
-    again[:-1] |= again[1:]
-    keys, rows = keys[again], rows[again]
+    """Whole lists of words met again, in order of key; a set stays once in each, at its first place."""
     order, head = _firsts(keys, rows)
     once = order[head]
     keys = keys[once]
@@ -478,89 +502,199 @@ def _lists(keys: np.ndarray, rows: np.ndarray, first: int, block: int) -> Iterat
 
 def _passed(rows: np.ndarray, key=None) -> pa.RecordBatch:
     """Rows of too long a list, for another stage; without ``key`` the word above their size is their key."""
-    return _found(3, rows[:, SET], None, rows[:, DOC], rows[:, AT], key=rows[:, SIZE] >> np.uint64(32) if key is None else np.full(len(rows), key), packed=rows)
+    return _found(3, rows[:, SET], None, rows[:, DOC], rows[:, AT], key=rows[:, SIZE] >> np.uint64(32) if key is None else np.broadcast_to(key, len(rows)), packed=rows)
 
 
-def _gathered(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[bool, np.ndarray, np.ndarray]]:
-    """(of sets, keys, rows) of a stream sorted by key, about ``GATHERED`` rows at a time."""
-    held: list[tuple[np.ndarray, np.ndarray]] = []
-    of_sets = True
+def _repeated(keys: np.ndarray) -> np.ndarray:
+    """Which keys occur more than once; they are in order."""
+    again = np.zeros(len(keys), bool)
+    again[1:] = keys[1:] == keys[:-1]
+    again[:-1] |= again[1:]
+    return again
+
+
+def _bucket(keys: np.ndarray, bits: int) -> np.ndarray:
+    """The leading bits of keys, in their order: negative for sets, 2^bits and more for salted words."""
+    return np.where(keys < 0, keys >> (63 - bits), np.where(keys < HOT, keys >> (32 - bits), ((keys - HOT) >> (62 - bits)) + (1 << bits)))
+
+
+BUNDLES = "bucket int, packed binary"
+
+
+def _bundled(nodes, bits: int):
+    """The rows of ``nodes`` as bundles, each of one bucket of 2^``bits``: far fewer rows for the shuffle to deal and to sort."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict[int, list[tuple[np.ndarray, np.ndarray]]] = {OF_SET: [], OF_LINE: []}
+        for batch in nodes(batches):
+            keys = batch.column(0).to_numpy()
+            if len(keys):
+                width = OF_SET if keys[0] < 0 else OF_LINE
+                held[width].append((keys, _matrix(batch.column(1), width)))
+                if sum(len(k) for k, _ in held[width]) >= BUNDLED:
+                    yield from _bundles(held[width], bits)
+        for own in held.values():
+            if own:
+                yield from _bundles(own, bits)
+
+    return run
+
 
-    def out():
-        keys, rows = (np.concatenate(x) for x in zip(*held, strict=True))
-        held.clear()
-        return of_sets, keys, rows
+def _bundles(held: list[tuple[np.ndarray, np.ndarray]], bits: int) -> Iterator[pa.RecordBatch]:
+    """Bundles of ``held``, which is emptied. A bundle has the bytes of keys and rows by their place in a row: most places hold a few
+    values only, so that they take little room when compressed."""
+    keys, rows = (np.concatenate(x) for x in zip(*held, strict=True))
+    held.clear()
+    if keys[0] < 0:
+        keys, rows = _late_apart(keys, rows)
+    bucket = _bucket(keys, bits)
+    least = bucket.min()
+    order = np.argsort((bucket - least).astype(np.min_scalar_type(int(bucket.max() - least))), kind="stable")
+    bucket = bucket[order]
+    whole = np.empty((len(keys), 1 + rows.shape[1]), np.uint64)
+    whole[:, 0], whole[:, 1:] = keys[order].view(np.uint64), rows[order]
+    size = 8 * whole.shape[1]
+    own, out = whole.view(np.uint8), np.empty(whole.nbytes, np.uint8)
+    begin = np.flatnonzero(np.diff(bucket, prepend=bucket[0] - 1))
+    place = np.arange(len(bucket)) - np.repeat(begin, np.diff(np.append(begin, len(bucket))))
+    cut = np.append(np.flatnonzero(place % BUNDLE == 0), len(bucket))
+    for lo, hi in zip(cut[:-1].tolist(), cut[1:].tolist(), strict=True):
+        out[lo * size : hi * size].reshape(size, hi - lo)[:] = own[lo:hi].T
+    values = pa.Array.from_buffers(pa.binary(), len(cut) - 1, [None, pa.py_buffer((cut * size).astype(np.int32)), pa.py_buffer(out)])
+    batch = pa.RecordBatch.from_arrays([pa.array(bucket[cut[:-1]].astype(np.int32)), values], names=["bucket", "packed"])
+    for lo in range(0, batch.num_rows, BUNDLE):
+        yield batch.slice(lo, BUNDLE)
+
+
+def _unbundled(values: pa.Array, width: int) -> np.ndarray:
+    """Rows of bundles: a key and ``width`` values."""
+    _, offsets, data = values.buffers()
+    at = np.frombuffer(offsets, np.int32)[values.offset : values.offset + len(values) + 1].tolist()
+    body, size = np.frombuffer(data, np.uint8), 8 * (1 + width)
+    out = np.empty((at[-1] - at[0], 1), np.uint8).reshape(-1, size)
+    done = 0
+    for lo, hi in zip(at[:-1], at[1:], strict=True):
+        n = (hi - lo) // size
+        out[done : done + n] = body[lo:hi].reshape(size, n).T
+        done += n
+    return out.view(np.uint64)
+
+
+def _by_bucket(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, bool, pa.Array]]:
+    """(bucket, whether it is another than before, bundles) of a stream sorted by bucket."""
+    last = None
+    for batch in batches:
+        bucket, values = batch.column(0).to_numpy(), batch.column(1)
+        cuts = np.concatenate(([0], np.flatnonzero(np.diff(bucket)) + 1, [len(bucket)])).tolist()
+        for lo, hi in zip(cuts[:-1], cuts[1:], strict=True):
+            if lo < hi:
+                yield int(bucket[lo]), last != bucket[lo], values[lo:hi]
+                last = bucket[lo]
+
+
+class _Bucket:
+    """Rows of one bucket. Past a limit, sets keep their first places only and lists of over four blocks are passed on."""
+
+    def __init__(self, of_sets: bool, first: int, block: int):
+        self.of_sets, self.first, self.block = of_sets, first, block
+        self.parts: list[np.ndarray] = []
+        self.limit = GATHERED
+        self.over = np.zeros(0, np.int64)
+
+    def add(self, values: pa.Array) -> Iterator[pa.RecordBatch]:
+        self.parts.append(_unbundled(values, OF_SET if self.of_sets else OF_LINE))
+        if sum(map(len, self.parts)) >= self.limit:
+            keys, rows = self._sorted()
+            if self.of_sets:
+                stay, late = _parted(keys, rows)
+                yield from _places(2, rows[late])
+            else:
+                own, count = np.unique(keys, return_counts=True)
+                self.over = np.union1d(self.over, own[count > 4 * self.block])
+                far = np.isin(keys, self.over)
+                if far.any():
+                    yield _passed(rows[far], keys[far])
+                stay = np.flatnonzero(~far)
+            self.parts = [np.column_stack((keys[stay].view(np.uint64), rows[stay]))]
+            self.limit = max(GATHERED, 2 * len(stay))
+
+    def _sorted(self) -> tuple[np.ndarray, np.ndarray]:
+        whole = np.concatenate(self.parts)
+        self.parts = []
+        keys = np.ascontiguousarray(whole[:, 0]).view(np.int64)
+        order = np.argsort(keys)
+        return keys[order], whole[order, 1:]
+
+    def close(self) -> Iterator[pa.RecordBatch]:
+        keys, rows = self._sorted()
+        if self.of_sets:
+            begin, late = _parted(keys, rows)
+            yield from _places(1, rows[begin])
+            yield from _places(2, rows[late])
+            return
+        if len(self.over):
+            far = np.isin(keys, self.over)
+            if far.any():
+                yield _passed(rows[far], keys[far])
+            keys, rows = keys[~far], rows[~far]
+        again = _repeated(keys)
+        yield from _lists(keys[again], rows[again], self.first, self.block)
+
+
+def _meet_bundles(first: int, block: int, bits: int):
+    """Pairs of the lists of a stream of bundles sorted by bucket, and the places of sets."""
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        release_memory()
+        held: _Bucket | None = None
+        for bucket, new, values in _by_bucket(batches):
+            if new and held is not None:
+                yield from held.close()
+                held = None
+            if bucket >= 1 << bits:
+                yield _passed(_unbundled(values, OF_LINE)[:, 1:])
+                continue
+            held = held or _Bucket(bucket < 0, first, block)
+            yield from held.add(values)
+        if held is not None:
+            yield from held.close()
+
+    return run
+
+
+def _gathered(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(keys, rows) of words in a stream sorted by key, about ``GATHERED`` rows at a time."""
+    held: list[tuple[np.ndarray, np.ndarray]] = []
     for batch in batches:
-        keys = batch.column(0).to_numpy()
-        cut = int(np.searchsorted(keys, 0))
-        for sets, part in ((True, slice(0, cut)), (False, slice(cut, len(keys)))):
-            if part.start < part.stop:
-                if sets != of_sets and held:
-                    yield out()
-                of_sets = sets
-                held.append((keys[part], _matrix(batch.column(1)[part], OF_SET if sets else OF_LINE)))
+        if batch.num_rows:
+            held.append((batch.column(0).to_numpy(), _matrix(batch.column(1), OF_LINE)))
         if sum(len(k) for k, _ in held) >= GATHERED:
-            yield out()
+            yield tuple(np.concatenate(x) for x in zip(*held, strict=True))
+            held.clear()
     if held:
-        yield out()
+        yield tuple(np.concatenate(x) for x in zip(*held, strict=True))
 
 
 def _meet(first: int, block: int):
-    """Pairs of the lists of a stream sorted by key, and the places of sets."""
+    """Pairs of the lists of a stream sorted by key."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         release_memory()
-        held: tuple[bool, np.ndarray, np.ndarray] | None = None
-        over = None  # the key of a list that has exceeded its limit
-
-        def close(of_sets, keys, rows):
-            return _places(keys, rows) if of_sets else _lists(keys, rows, first, block)
-
-        for of_sets, keys, rows in _gathered(batches):
-            if held is not None and held[0] == of_sets:
-                keys, rows = np.concatenate([held[1], keys]), np.concatenate([held[2], rows])
-            elif held is not None:
-                yield from close(*held)
-            held = None
-            salted = int(np.searchsorted(keys, HOT))
-            if salted < len(keys):
-                yield _passed(rows[salted:])
-                keys, rows = keys[:salted], rows[:salted]
-                if not len(keys):
-                    continue
-            if over is not None:
-                same = int(np.searchsorted(keys, over, "right")) if not of_sets else 0
-                if same:
-                    yield _passed(rows[:same], over)
-                    keys, rows = keys[same:], rows[same:]
-                if len(keys):
-                    over = None
-                else:
-                    continue
+        keys, rows = np.zeros(0, np.int64), np.zeros((0, OF_LINE), np.uint64)
+        for more, further in _gathered(batches):
+            keys, rows = np.concatenate([keys, more]), np.concatenate([rows, further])
             tail = int(np.searchsorted(keys, keys[-1]))
-            if tail:
-                yield from close(of_sets, keys[:tail], rows[:tail])
+            again = np.flatnonzero(_repeated(keys[:tail]))
+            yield from _lists(keys[again], rows[again], first, block)
             keys, rows = keys[tail:], rows[tail:]
-            if of_sets:  # of a set that goes on only the first place so far is held
-                order, head = _firsts(keys, rows, 3)
-                late = rows[order[~head]]
-                if len(late):
-                    yield _found(2, late[:, SET], late[:, 3], late[:, DOC], late[:, AT])
-                keys, rows = keys[order[head]], rows[order[head]]
-            elif len(keys) > 4 * block:
-                over = keys[0]
-                yield _passed(rows, over)
-                continue
-            held = of_sets, keys, rows
-        if held is not None:
-            yield from close(*held)
+        again = _repeated(keys)
+        yield from _lists(keys[again], rows[again], first, block)
 
     return run
 
 
-def _dealt(rows: DataFrame) -> DataFrame:
-    return rows.repartition("key").sortWithinPartitions("key")
+def _dealt(rows: DataFrame, by: str) -> DataFrame:
+    return rows.repartition(by).sortWithinPartitions(by)
 
 
 def _pairs(found: DataFrame, first: int, block: int) -> DataFrame:
@@ -581,15 +715,15 @@ def _overfull(rows: DataFrame, first: int, block: int) -> DataFrame:
     # Like keys of words: neither negative nor salted.
     key = F.xxhash64("key", F.least("own", "other"), F.greatest("own", "other")).bitwiseAND(F.lit(HOT - 1))
     paired = own.withColumn("other", other).select(key.alias("key"), F.col("first.packed").alias("packed"))
-    return _dealt(paired).mapInArrow(_meet(first, 1 << 60), FOUND).where("kind = 0").select("a", "b", "doc", "at", "n")
+    return _dealt(paired, "key").mapInArrow(_meet(first, 1 << 60), FOUND).where("kind = 0").select("a", "b", "doc", "at", "n")
 
 
 def _doc_key(c: str) -> Column:
     return F.col(c).bitwiseXOR(F.lit(-1))
 
 
-def _verified(pairs: DataFrame, docs: DataFrame, work: Workspace, rarity) -> DataFrame:
-    """``pairs`` (a, b, doc_a, doc_b, ...) with ``same``, compared word by word. Only documents in pairs are cut into words again,
+def _verified(pairs: DataFrame, docs: DataFrame, work: Workspace, rarity) -> tuple[DataFrame, DataFrame]:
+    """``pairs`` (a, b, doc_a, doc_b, ...) with ``same``, compared word by word, and the words of their sets. Only documents in pairs are cut into words again,
     and only lines in pairs are shuffled; both are found in one table of fixed size, whose chance hits cost time only."""
     wanted_of = pairs.select(F.explode(F.array("a", "b", _doc_key("doc_a"), _doc_key("doc_b"))).alias("h")).distinct()
     wanted = docs.sparkSession.sparkContext.broadcast(count_table(wanted_of, _first_column))
@@ -617,11 +751,29 @@ def _verified(pairs: DataFrame, docs: DataFrame, work: Workspace, rarity) -> Dat
     left, right = (words.select(F.col("set").alias(c), F.col("words").alias(f"words_{c}")) for c in ("a", "b"))
     both = F.size(F.array_intersect("words_a", "words_b"))
     total = F.size("words_a") + F.size("words_b")
-    return pairs.join(left, "a").join(right, "b").select("a", "b", (both * (NUM + DEN) >= NUM * total).alias("same"))
+    return pairs.join(left, "a").join(right, "b").select("a", "b", (both * (NUM + DEN) >= NUM * total).alias("same")), words
+
+
+def _keys_of(rarity):
+    """The keys at which sets meet others, from their words in order."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        release_memory()
+        own = rarity.value
+        for batch in batches:
+            lists = batch.column(0)
+            word = lists.flatten().to_numpy().view(np.uint64)
+            size = lists.value_lengths().to_numpy().astype(np.int64)
+            place = np.arange(len(word)) - np.repeat(np.cumsum(size) - size, size)
+            rare = own[(word & np.uint64(len(own) - 1)).astype(np.int64)] > 1
+            use = rare & (place < np.repeat(size - (-(-NUM * size // DEN)) + 1, size))
+            yield pa.RecordBatch.from_arrays([pa.array((word[use] >> np.uint64(32)).view(np.int64))], names=["key"])
+
+    return run
 
 
 def _decided(docs: DataFrame, work: Workspace, id_col: str, text_col: str, first: int, block: int) -> tuple[DataFrame, ...]:
-    """First places of sets by salt, later places, first places of sets, and the sets that match an earlier one; all of them saved."""
+    """First places of sets, later places, and the sets that match an earlier one; all of them saved."""
     spark = docs.sparkSession
     text = F.col("row").getField(text_col)
     texts = docs.where(text.isNotNull()).select(F.coalesce(F.col("row").getField(id_col).cast("long"), F.lit(LAST_ID)).alias("doc"), text.alias("text"), "row_key")
@@ -633,48 +785,46 @@ def _decided(docs: DataFrame, work: Workspace, id_col: str, text_col: str, first
     total = (np.bincount(rarity.value, minlength=64) * 2.0 ** (np.arange(64) - 0.5))[1:].sum()
     hot = max(int(np.log2(2 * block)) + 1, int(np.log2(max(total / (8 * parts), 1))) + 2)
     salted = {"hot": hot, "parts": parts}
+    # Fewer than a fourth of all words are rows; a bucket is a small share of a task.
+    bits = min(int(max(total / (4 * A_BUCKET), 16 * parts)).bit_length(), 24)
     found = None
     for turn in range(TURNS):
-        rows = _dealt(texts.mapInArrow(_nodes(rarity, turn=turn, turns=TURNS, **salted), ROW))
-        more = work.save(rows.mapInArrow(_meet(first, block), FOUND), "found")
+        rows = _dealt(texts.mapInArrow(_bundled(_nodes(rarity, turn=turn, turns=TURNS, **salted), bits), BUNDLES), "bucket")
+        more = work.save(rows.mapInArrow(_meet_bundles(first, block, bits), FOUND), "found")
         found = more if found is None else found.unionAll(more)
         del rows
         release_shuffles(spark)
     place = F.shiftright("at", 32).cast("int").alias("line")
-    begins = found.where("kind = 1").select(F.col("a").alias("set"), "doc", place, F.col("b").alias("row_key"))
+    begins = found.where("kind = 1").select(F.col("a").alias("set"), F.col("b").alias("row_key"), place)
     again = found.where("kind = 2").select(F.col("b").alias("row_key"), place)
-    first_place = F.min(F.struct("doc", "line", "row_key"))
-    firsts = begins.groupBy("set").agg(F.count("*").alias("times"), first_place.alias("p")).select("set", "times", F.col("p.row_key").alias("first_row"))
     pairs = work.save(_pairs(found, first, block), "candidates")
-    checked = work.save(_verified(pairs, texts, work, rarity), "checked")
+    compared, words = _verified(pairs, texts, work, rarity)
+    checked = work.save(compared, "checked")
     matched = checked.where("same").select("b").distinct()
-    left = pairs.where("more").join(matched, "b", "left_anti").groupBy("b").agg(F.min("doc_b").alias("doc_b"))
+    left = pairs.where("more").join(matched, "b", "left_anti").select("b").distinct()
     left = work.save(left, "left")
     if not left.isEmpty():
-        # The lines are cut again: those asked for, for their words, then all that meet them. Tables of fixed size hold documents,
-        # sets and words, whose chance hits are compared in vain, so only these rows are shuffled.
-        asked_sets = shared(count_table(left.select("b"), _first_column))
-        asked_docs = shared(count_table(left.select("doc_b").distinct(), _first_column))
-        keys = texts.mapInArrow(_nodes(rarity, docs=asked_docs, sets=asked_sets), ROW).select("key")
-        asked_keys = shared(count_table(keys, _first_column))
+        # The lines are cut again, all that meet those asked for. Tables of fixed size hold sets and words, whose chance hits are
+        # compared in vain, so only these rows are shuffled.
+        asked_sets = shared(count_table(left, _first_column))
+        asked_words = words.join(left, F.col("set") == F.col("b"), "left_semi").select("words")
+        asked_keys = shared(count_table(asked_words.mapInArrow(_keys_of(rarity), "key long"), _first_column))
         blocks = -(-left.count() // HELD)
         rows = texts.mapInArrow(_nodes(rarity, sets=asked_sets, keys=asked_keys, blocks=blocks), ASKED)
         rest = rows.repartition("key").sortWithinPartitions("key", "asked").mapInArrow(_settled, "b long")
         matched = matched.unionAll(rest).distinct()
     matched = work.save(matched, "matched")
-    for done in (pairs, checked, left):
+    for done in (pairs, checked, left, words):
         work.drop(done)
     release_shuffles(spark)
-    return begins, again, firsts, matched
+    return begins, again, matched
 
 
 def _removals(rows: DataFrame, work: Workspace, id_col: str, text_col: str, first: int, block: int) -> DataFrame:
     """(gone_from, gone): of each row that loses lines, by its key, their numbers from 0."""
     with small_batches(rows.sparkSession, ROWS_A_BATCH):
-        begins, again, firsts, matched = _decided(rows, work, id_col, text_col, first, block)
-    # What may go besides later places: first places under other salts, and sets that match an earlier one.
-    sets = firsts.join(matched.select(F.col("b").alias("set"), F.lit(True).alias("matched")), "set", "left").where("times > 1 or matched").select("set", "first_row", "matched")
-    gone = again.unionAll(begins.join(sets, "set").where("matched or row_key != first_row").select("row_key", "line"))
+        begins, again, matched = _decided(rows, work, id_col, text_col, first, block)
+    gone = again.unionAll(begins.join(matched, F.col("set") == F.col("b"), "left_semi").select("row_key", "line"))
     return gone.groupBy(F.col("row_key").alias("gone_from")).agg(F.collect_set("line").alias("gone"))
 
 

@@ -208,3 +208,71 @@ def test_turns_share_the_keys(spark, sf_dir):
     assert sorted(sum(parts, [])) == one and all(parts)
     keys = [{k for k, _ in p} for p in parts]
     assert sum(map(len, keys)) == len(set().union(*keys))
+
+
+def _bundles_of(texts, bits=7):
+    """What a worker sends of texts: batches of bundles."""
+    table = type("Table", (), {"value": np.full(1 << 10, 2, np.uint8)})
+    ids = pa.array(range(len(texts)), pa.int64())
+    batch = pa.RecordBatch.from_arrays([ids, pa.array(texts, pa.string()), ids], names=["doc", "text", "row_key"])
+    rows = lines._nodes(table, hot=9, parts=4)
+    return [batch], rows, list(lines._bundled(rows, bits)(iter([batch])))
+
+
+def test_bundles_hold_all_rows_in_few(spark, sf_dir):
+    """The shuffle deals bundles, not rows; buckets are in the order of keys, and no row is lost or changed."""
+    texts = [r.text for r in spark.read.parquet(f"{sf_dir}/documents.parquet").collect()]
+    batches, rows, sent = _bundles_of(texts)
+    want = sorted((k, v) for b in rows(iter(batches)) for k, v in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True) if k >= 0)
+    got, seen = [], set()
+    for bucket, _, values in lines._by_bucket(iter(sent)):
+        whole = lines._unbundled(values, lines.OF_SET if bucket < 0 else lines.OF_LINE)
+        keys = whole[:, 0].copy().view(np.int64)
+        assert (lines._bucket(keys, 7) == bucket).all()
+        seen.update((int(x[1]), int(x[4])) for x in whole if bucket < 0)
+        got += [(k, x[1:].tobytes()) for k, x in zip(keys.tolist(), whole, strict=True) if bucket >= 0]
+    assert sorted(got) == want and 10 * sum(b.num_rows for b in sent) < len(want)
+    sets = [v for b in rows(iter(batches)) for k, v in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True) if k < 0]
+    assert seen == {tuple(np.frombuffer(v, np.uint64)[[0, 3]].tolist()) for v in sets}
+    keys = np.sort(np.array([k for k, _ in want] + [-(1 << 63), -5, 0, lines.HOT, (1 << 63) - 1]))
+    assert (np.diff(lines._bucket(keys, 7)) >= 0).all()
+
+
+def test_a_very_common_line_is_one_row_under_its_key():
+    """A worker sends one place of a set under its key; the other places are marked as later ones and dealt by row."""
+    _, _, sent = _bundles_of([f"a common line here\nown line number {i}" for i in range(300)])
+    rows = np.concatenate([lines._unbundled(v, lines.OF_SET) for bucket, _, v in lines._by_bucket(iter(sent)) if bucket < 0])
+    own, count = np.unique(rows[:, 1], return_counts=True)
+    common = rows[rows[:, 1] == own[count.argmax()]]
+    marked = (common[:, 1 + lines.AT] & lines.LATE) > 0
+    assert len(common) == 300 and marked.sum() == 299 and common[~marked][0, 1 + lines.DOC] == 0
+    assert len(np.unique(common[:, 0])) == 300
+
+
+def test_buckets_over_the_limit_lose_nothing(spark, monkeypatch):
+    """Buckets are thinned while they come in: common lines and long lists, the same result."""
+    rng = random.Random(12)
+    base = [f"w{i}" for i in range(20)]
+    rows = [(d, "the same line\n" + " ".join(w if rng.random() > 0.05 else f"x{rng.randint(0, 40)}" for w in base) + f"\none of ten {d % 10}") for d in range(200)]
+    want = brute(rows)
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    bundled, meet = lines._bundled, lines._meet_bundles
+    for bits in (7, 1):
+        monkeypatch.setattr(lines, "_bundled", lambda nodes, _, bits=bits: _small(bundled(nodes, bits), lines))
+        monkeypatch.setattr(lines, "_meet_bundles", lambda first, block, _, bits=bits: _small(meet(first, block, bits), lines))
+        for block in (2048, 5):
+            assert {r.row.doc_id: r.text for r in lines.deduplicate(df, block=block).collect()} == want
+
+
+def _small(run, module):
+    """Run in a worker with bundles and limits of few rows."""
+
+    def small(batches):
+        before = module.BUNDLED, module.BUNDLE, module.GATHERED
+        module.BUNDLED, module.BUNDLE, module.GATHERED = 40, 4, 8
+        try:
+            yield from run(batches)
+        finally:
+            module.BUNDLED, module.BUNDLE, module.GATHERED = before
+
+    return small
